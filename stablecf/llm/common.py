@@ -74,3 +74,26 @@ def chunked(spark: SparkSession, docs: DataFrame, chunk_bytes: int = 4 << 20, to
     n = max(1, math.ceil(total / chunk_bytes))
     c = F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(n)).cast("int").alias("chunk")
     return docs.select(c, "doc_id", "text").repartition(partitions(spark), "chunk"), n, total
+
+
+_shipped: dict[str, bool] = {}
+
+
+def ship(spark: SparkSession) -> None:
+    """Sends this package to the executors' Python, once per application."""
+    import os
+    import zipfile
+
+    app = spark.sparkContext.applicationId
+    if app in _shipped:
+        return
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    out = os.path.join(tempfile.mkdtemp(prefix="stablecf-code-"), "stablecf_code.zip")
+    with zipfile.ZipFile(out, "w") as z:
+        for d, _, names in os.walk(root):
+            for n in names:
+                if n.endswith(".py"):
+                    full = os.path.join(d, n)
+                    z.write(full, os.path.join("stablecf", os.path.relpath(full, root)))
+    spark.sparkContext.addPyFile(out)
+    _shipped[app] = True

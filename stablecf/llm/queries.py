@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from stablecf.llm import decontaminate, exact_dedup, merkle_audit, sanitise
+from stablecf.llm import decontaminate, exact_dedup, licences, merkle_audit, packing, repeats, sanitise
 from stablecf.llm.common import read
 
 
@@ -15,6 +15,14 @@ def op2_merkle_audit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return merkle_audit.audit(spark, pages, merkle_audit.damaged(pages), "page_id", ["url", "html"])
 
 
+def op4_licence_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.scan_documents(spark, read(spark, sf_dir, "documents")).drop("matches")
+
+
+def op5_pack_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack_documents(spark, read(spark, sf_dir, "documents"))
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(spark, read(spark, sf_dir, "documents"))
 
@@ -23,12 +31,16 @@ def op8_sanitise(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sanitise.digest(sanitise.sanitise(spark, read(spark, sf_dir, "documents"), with_text=False))
 
 
+def op9_remove_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.remove_repeats(spark, read(spark, sf_dir, "documents"), with_text=False).drop("kept")
+
+
 def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.digest(decontaminate.decontaminate(spark, read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_merkle_audit, op6_exact_dedup, op8_sanitise, op10_decontaminate)}
+    return {f.__name__: f for f in (op2_merkle_audit, op4_licence_scan, op5_pack_sequences, op6_exact_dedup, op8_sanitise, op9_remove_repeats, op10_decontaminate)}
 
 
 def oracle_sql() -> dict[str, str]:
