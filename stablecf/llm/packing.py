@@ -16,7 +16,7 @@ that repeat an id are packed one by one; an empty table gives no pieces.
 
 from __future__ import annotations
 
-import math
+import os
 import zlib
 
 import numpy as np
@@ -29,7 +29,8 @@ from stablecf.llm.common import NO_ID, chunked, ids_and_texts, ship
 
 VOCABULARY = "word_bpe_49k.json"
 END_ID = 1
-MEMORY = 1_500_000
+MEMORY = 2_000_000
+SLICE = 1 << 14
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
@@ -106,6 +107,7 @@ class WordTokens:
     """Ids of whole texts through remembered ids of their words."""
 
     def __init__(self, path: str) -> None:
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core, and threads keep memory of their own
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
@@ -115,8 +117,7 @@ class WordTokens:
         self.keys, self.at, self.n, self.pool = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
 
     def learn(self, keys: np.ndarray, words: list[str]) -> None:
-        enc = self.tok.encode_batch_fast(words, add_special_tokens=False)
-        ids = [e.ids for e in enc]
+        ids = [e.ids for i in range(0, len(words), SLICE) for e in self.tok.encode_batch_fast(words[i : i + SLICE], add_special_tokens=False)]
         n = np.fromiter(map(len, ids), np.int64, len(ids))
         at = len(self.pool) + np.cumsum(n) - n
         self.pool = np.concatenate([self.pool, np.fromiter((x for i in ids for x in i), np.uint32, int(n.sum()))])
@@ -160,7 +161,7 @@ def pack_group(group: int, ids: list[int], texts: pa.Array, capacity: int, top_u
     tok = _loaded.get(path) or _loaded.setdefault(path, WordTokens(path))
     data, starts, ends = K.as_bytes(texts)
     parts, counts = [], []
-    for i, j in K.blocks(starts, ends, 4 << 20):
+    for i, j in K.blocks(starts, ends):
         flat, n = tok.texts(data, starts[i:j], ends[i:j])
         parts.append(flat)
         counts.append(n)
