@@ -81,28 +81,91 @@ def _sorted(t: pa.Table) -> pa.Table:
     return t.sort_by([("doc_id", "ascending"), ("text", "ascending")])
 
 
+def _digests(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """128-bit digest of each text as two numbers."""
+    raw = b"".join(hashlib.sha256(data[a:z]).digest()[:16] for a, z in zip(starts.tolist(), ends.tolist(), strict=True))
+    return np.frombuffer(raw, dtype=np.uint64).reshape(-1, 2)
+
+
+def _first_copies(digests: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(order by digest, class of each place, smallest id of each class)."""
+    order = np.lexsort((ids, digests[:, 1], digests[:, 0]))
+    d = digests[order]
+    new = np.append(True, (d[1:] != d[:-1]).any(axis=1))
+    return order, np.cumsum(new) - 1, ids[order][new]
+
+
+def _copy_bucket(digests: np.ndarray, buckets: int) -> np.ndarray:
+    """Owners of texts come after the owners of anchors."""
+    return buckets + (digests[:, 0] % np.uint64(max(1, buckets // 16))).astype(np.int64)
+
+
 def send_anchors(chunk: int, t: pa.Table, buckets: int, length: int, gram: int) -> pa.Table:
+    """Anchors, each once, to their owners, and the digest and smallest id of each text to the owner of copies."""
     data, starts, ends = K.as_bytes(t["text"])
     h = anchors(data, starts, ends, length, gram)[3]
-    return census.blob_rows(census.sent(chunk, np.unique(census.reduced(h, buckets))))
+    rows = census.sent(chunk, np.unique(census.reduced(h, buckets)))
+    d = _digests(data, starts, ends)
+    order, cls, least = _first_copies(d, t["doc_id"].to_numpy())
+    first = order[np.append(True, cls[1:] != cls[:-1])]
+    where = _copy_bucket(d[first], buckets)
+    for b in np.unique(where).tolist():
+        i = np.flatnonzero(where == b)
+        rows.append((b, chunk, K.squeeze(d[first[i], 0], d[first[i], 1], least[i])))
+    return census.blob_rows(rows)
+
+
+def answer_all(t: pa.Table, buckets: int) -> pa.Table:
+    """The owners of anchors say in how many chunks each is; the owners of copies say the smallest id of each text."""
+    bucket = t["bucket"][0].as_py()
+    t = t.sort_by([("chunk", "ascending")])
+    parts = [K.unsqueeze(x) for x in t["body"].to_pylist()]
+    if bucket < buckets:
+        said = census.chunk_counts([K.undelta(p[0]) for p in parts], [[] for _ in parts])
+    else:
+        d = np.stack([np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])], axis=1)
+        order, cls, least = _first_copies(d, np.concatenate([p[2] for p in parts]))
+        out = np.empty(len(order), dtype=np.int64)
+        out[order] = least[cls]
+        said = np.split(out, np.cumsum([len(p[0]) for p in parts])[:-1])
+    return pa.table({"bucket": t["bucket"], "chunk": t["chunk"], "body": pa.array([K.squeeze(x) for x in said], pa.binary())})
+
+
+def _later_copies(t: pa.Table, told: pa.Table, buckets: int, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Whether a document with a smaller id has the same text."""
+    ids, d = t["doc_id"].to_numpy(), _digests(data, starts, ends)
+    order, cls, least = _first_copies(d, ids)
+    first = order[np.append(True, cls[1:] != cls[:-1])]
+    where = _copy_bucket(d[first], buckets)
+    got = dict(zip(told["bucket"].to_pylist(), told["body"].to_pylist(), strict=True))
+    for b in np.unique(where).tolist():
+        least[where == b] = K.unsqueeze(got[b])[0]
+    out = np.zeros(len(ids), dtype=bool)
+    out[order] = least[cls] < ids[order]
+    return out
 
 
 def send_contexts(chunk: int, t: pa.Table, told: pa.Table, buckets: int, length: int, gram: int) -> pa.Table:
-    """Surroundings of the anchors that other documents have too, each different one once, to the anchors' owners."""
+    """Surroundings of the anchors that other documents have too, each different one once, to the anchors' owners.
+
+    A later copy of a whole text repeats everywhere, so it only tells itself so.
+    """
     ids = t["doc_id"].to_numpy()
     data, starts, ends = K.as_bytes(t["text"])
+    copy = _later_copies(t, told, buckets, data, starts, ends)
+    whole = [(-1 - chunk, chunk, K.squeeze(np.flatnonzero(copy).astype(np.uint32)))] if copy.any() else []
     doc, lo, hi, h = anchors(data, starts, ends, length, gram)
     keys, back = np.unique(census.reduced(h, buckets), return_inverse=True)
     if not len(keys):
-        return census.blob_rows([])
+        return census.blob_rows(whole)
     who = ids[doc]
     least, most = np.full(len(keys), NO_ID), np.full(len(keys), -(1 << 63))
     np.minimum.at(least, back, who)
     np.maximum.at(most, back, who)
     again = (least < most) | (census.answers(told, keys, np.uint8) > 0)
-    use = np.flatnonzero(again[back])
+    use = np.flatnonzero(again[back] & ~copy[doc])
     if not len(use):
-        return census.blob_rows([])
+        return census.blob_rows(whole)
     doc, lo, hi, who, bucket = doc[use], lo[use], hi[use], who[use], (keys >> np.uint64(32)).astype(np.int64)[back[use]]
     n = hi - lo + length
     flat = _gather(data, lo, n)
@@ -115,7 +178,7 @@ def send_contexts(chunk: int, t: pa.Table, told: pa.Table, buckets: int, length:
     group = np.cumsum(new) - 1
     rep = order[new]
     mine = who[order] == who[rep][group]  # of the smallest document in this chunk; the others' windows all repeat
-    rows, edge = [], np.flatnonzero(np.append(True, b[1:] != b[:-1]))
+    rows, edge = whole, np.flatnonzero(np.append(True, b[1:] != b[:-1]))
     for a, z in zip(edge.tolist(), np.append(edge[1:], len(b)).tolist(), strict=True):
         g0, g1 = group[a], group[z - 1] + 1
         r, o = rep[g0:g1], order[a:z]
@@ -152,12 +215,38 @@ def _equal(flat: np.ndarray, at: np.ndarray, n: np.ndarray) -> np.ndarray:
 
 def sort_owner(t: pa.Table, length: int) -> pa.Table:
     """(chunk, body) rows: of each answered window run its text's row, its place and one bit per window that a smaller document has."""
+    if t["bucket"][0].as_py() < 0:
+        return t.select(["bucket", "chunk", "body"])
     t = t.sort_by([("chunk", "ascending")])
     parts = [K.unsqueeze(x) for x in t["body"].to_pylist()]
     n = np.concatenate([p[0] for p in parts]).astype(np.int64)
     who = np.concatenate([p[1] for p in parts])
     flat = np.concatenate([p[6] for p in parts])
     at = np.cumsum(n) - n
+    # the same surroundings from several chunks are sorted once, for the smallest document
+    ctx = _hashes(flat, at, n)
+    o = np.lexsort((who, ctx))
+    new = np.append(True, (ctx[o][1:] != ctx[o][:-1]) | ~_equal(flat, at[o], n[o]))
+    of = np.empty(len(o), dtype=np.int64)
+    of[o] = np.cumsum(new) - 1
+    least_here = who[o[new]][of]
+    later = who > least_here
+    bits, full = _window_bits(flat, at[o[new]], n[o[new]], who[o[new]], length)
+    bits, full = bits[of], full[of]
+    bits[later] = full[later]
+    rows, base = [], 0
+    for p, chunk in zip(parts, t["chunk"].to_pylist(), strict=True):
+        g = p[2].astype(np.int64) + base
+        mask = np.where(p[3] > 0, bits[g], full[g])
+        has = mask > 0
+        if has.any():
+            rows.append((0, chunk, K.squeeze(p[4][has], p[5][has], mask[has])))
+        base += len(p[0])
+    return census.blob_rows(rows)
+
+
+def _window_bits(flat: np.ndarray, at: np.ndarray, n: np.ndarray, who: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """For each piece of ``flat``: bits of its windows that a piece of a smaller document has too, and all its windows' bits."""
     wins = n - length + 1
     first = np.cumsum(wins) - wins
     ctx = np.repeat(np.arange(len(n)), wins)
@@ -171,15 +260,7 @@ def sort_owner(t: pa.Table, length: int) -> pa.Table:
     repeats[order] = least < owner
     bits = np.bitwise_or.reduceat(np.where(repeats, np.uint64(1) << k.astype(np.uint64), np.uint64(0)), first)
     full = (np.uint64(2) << (wins - 1).astype(np.uint64)) - np.uint64(1)
-    rows, base = [], 0
-    for p, chunk in zip(parts, t["chunk"].to_pylist(), strict=True):
-        g = p[2].astype(np.int64) + base
-        mask = np.where(p[3] > 0, bits[g], full[g])
-        has = mask > 0
-        if has.any():
-            rows.append((0, chunk, K.squeeze(p[4][has], p[5][has], mask[has])))
-        base += len(p[0])
-    return census.blob_rows(rows)
+    return bits, full
 
 
 def cut(t: pa.Table, told: pa.Table, length: int, with_text: bool) -> pa.Table:
@@ -187,7 +268,14 @@ def cut(t: pa.Table, told: pa.Table, length: int, with_text: bool) -> pa.Table:
     base = int(starts[0]) if len(starts) else 0
     edge = np.zeros((int(ends[-1]) - base if len(ends) else 0) + 1, dtype=np.int32)
     for body in told["body"].to_pylist():
-        doc, lo, mask = K.unsqueeze(body)
+        doc, *rest = K.unsqueeze(body)
+        if not rest:  # later copies of whole texts
+            doc = doc.astype(np.int64)
+            doc = doc[ends[doc] - starts[doc] >= length]
+            np.add.at(edge, starts[doc] - base, 1)
+            np.add.at(edge, ends[doc] - base, -1)
+            continue
+        lo, mask = rest
         first = starts[doc.astype(np.int64)] + lo.astype(np.int64) - base
         for k in range(int(mask.max()).bit_length()):
             s = first[(mask >> np.uint64(k)) & np.uint64(1) > 0] + k
@@ -230,7 +318,7 @@ def remove_repeats(spark: SparkSession, df: DataFrame, length: int = 50, gram: i
     def rest_of(t: pa.Table, told: pa.Table) -> pa.Table:
         return cut(_sorted(t), told, length, with_text)
 
-    told = census.owners(chunks.groupBy("chunk").applyInArrow(anchors_of, census.BLOB), census.chunk_counts)
+    told = chunks.groupBy("chunk").applyInArrow(anchors_of, census.BLOB).groupBy("bucket").applyInArrow(lambda t: answer_all(t, buckets), census.BLOB)
     contexts = chunks.groupBy("chunk").cogroup(told.groupBy("chunk")).applyInArrow(contexts_of, census.BLOB)
     repeats = contexts.groupBy("bucket").applyInArrow(lambda t: sort_owner(t, length), census.BLOB)
     repeats = staged(spark, repeats, "repeats")
