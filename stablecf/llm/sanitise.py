@@ -130,7 +130,8 @@ def sanitise(
     ne = has.select("doc_id", F.explode("spans").alias("s")).select("doc_id", F.concat_ws(":", "s.kind", F.lower("s.value")).alias("entity")).distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("ne"))
     terms = nte.select("term").distinct()
     words = docs.select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
-    nt = words.groupBy("term").agg(F.count(F.lit(1)).alias("nt")).join(terms, "term", "left_semi") if nte.take(1) else terms.select("term", F.lit(1).cast("long").alias("nt"))
+    # an inner join stays above the aggregate: words are counted in their tasks first, and only counts are joined
+    nt = words.groupBy("term").agg(F.count(F.lit(1)).alias("nt")).join(terms, "term") if nte.take(1) else terms.select("term", F.lit(1).cast("long").alias("nt"))
     info = F.log2(F.lit(float(total)) / F.col("ne"))
     pmi = F.log2(F.lit(float(total)) * F.col("nte") / (F.col("nt") * F.col("ne")))
     leaks = nte.join(nt, "term").join(ne, "entity").where((F.col("ne") < total) & (pmi >= F.lit(disclosure) * info)).select("entity", "term")
