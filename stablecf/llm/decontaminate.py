@@ -61,7 +61,8 @@ def decontaminate(
 
     The prefixes are broadcast if the item texts, which bound them, are at most ``broadcast_bytes``; else they are joined by shuffle.
     """
-    d = ids_and_texts(docs, id_col, text_col).select("doc_id", words("text").alias("ws"))
+    texts = ids_and_texts(docs, id_col, text_col)
+    d = texts.select("doc_id", words("text").alias("ws"))
     raw = items.select(F.col(item_col).alias("item_id"), F.coalesce(F.col(item_text_col), F.lit("")).alias("text"))
     wins = staged(spark, windows_of(raw.select("item_id", words("text").alias("ws")), length), "windows")
     total, single = raw.agg(F.sum(F.octet_length("text"))).first()[0] or 0, bool(wins.where(F.size("win") == 1).take(1))
@@ -78,7 +79,8 @@ def decontaminate(
     prefix = staged(spark, prefix, "prefixes")
     near = place.join(small(prefix), "h").where("pos >= at")
     cands = near.groupBy("doc_id").agg(F.collect_set(F.struct((F.col("pos") - F.col("at")).alias("start"), "win", "items")).alias("cands"))
-    out = d.join(cands, "doc_id", "left")
+    # whole texts are joined, as they are smaller than their arrays of words
+    out = texts.join(cands, "doc_id", "left").select("doc_id", words("text").alias("ws"), "cands")
     hits = F.filter(F.coalesce("cands", F.expr("cast(array() as array<struct<start:int, win:array<string>, items:array<bigint>>>)")), lambda c: F.slice(F.col("ws"), c["start"] + 1, F.size(c["win"])) == c["win"])
     out = out.select("doc_id", F.size("ws").cast("long").alias("n_words"), hits.alias("hits"))
     covered = F.array_distinct(F.flatten(F.transform("hits", lambda c: F.sequence(c["start"], c["start"] + F.size(c["win"]) - 1))))
