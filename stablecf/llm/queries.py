@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from stablecf.llm import decontaminate, exact_dedup, licences, merkle_audit, packing, repeats, sanitise
+from stablecf.llm import decontaminate, exact_dedup, jaccard, licences, merkle_audit, packing, repeats, sanitise
 from stablecf.llm.common import read
 
 
@@ -27,6 +27,10 @@ def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(spark, read(spark, sf_dir, "documents"))
 
 
+def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.similar(spark, read(spark, sf_dir, "documents"))
+
+
 def op8_sanitise(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sanitise.digest(sanitise.sanitise(spark, read(spark, sf_dir, "documents"), with_text=False))
 
@@ -40,7 +44,7 @@ def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_merkle_audit, op4_licence_scan, op5_pack_sequences, op6_exact_dedup, op8_sanitise, op9_remove_repeats, op10_decontaminate)}
+    return {f.__name__: f for f in (op2_merkle_audit, op4_licence_scan, op5_pack_sequences, op6_exact_dedup, op7_jaccard_join, op8_sanitise, op9_remove_repeats, op10_decontaminate)}
 
 
 def oracle_sql() -> dict[str, str]:
