@@ -6,15 +6,23 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from stablecf.llm import decontaminate, exact_dedup, jaccard, licences, merkle_audit, packing, repeats, sanitise
+from stablecf.llm import decontaminate, exact_dedup, jaccard, licences, merkle_audit, packing, ppm, repeats, sanitise, toxicity
 from stablecf.llm.common import read
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.toxicity(spark, read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels")).drop("vote", "evidence")
+
+
 def op2_merkle_audit(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = read(spark, sf_dir, "pages")
     return merkle_audit.audit(spark, pages, merkle_audit.damaged(pages), "page_id", ["url", "html"])
 
 
+def op3_ppm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ppm.score_documents(spark, read(spark, sf_dir, "documents"))
+
+
 def op4_licence_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licences.scan_documents(spark, read(spark, sf_dir, "documents")).drop("matches")
 
@@ -44,7 +52,7 @@ def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_merkle_audit, op4_licence_scan, op5_pack_sequences, op6_exact_dedup, op7_jaccard_join, op8_sanitise, op9_remove_repeats, op10_decontaminate)}
+    return {f.__name__: f for f in (op1_toxicity, op2_merkle_audit, op3_ppm_score, op4_licence_scan, op5_pack_sequences, op6_exact_dedup, op7_jaccard_join, op8_sanitise, op9_remove_repeats, op10_decontaminate)}
 
 
 def oracle_sql() -> dict[str, str]:
