@@ -31,7 +31,7 @@ from stablecf.llm.common import NO_ID, chunked, id_back, ids_and_texts, ship, st
 from stablecf.llm.components import components
 
 PARTS = 16
-SETS = "doc_id long, n_shingles long, tokens array<long>"
+SETS = "doc_id long, n_shingles long, tokens array<long>, parts array<int>"
 
 
 def shingle_sets(t: pa.Table, n: int) -> list[np.ndarray]:
@@ -49,6 +49,7 @@ def shingle_sets(t: pa.Table, n: int) -> list[np.ndarray]:
 
 
 def _send(chunk: int, t: pa.Table, n: int, buckets: int) -> pa.Table:
+    K.trim()
     sets = shingle_sets(t, n)
     keys, count = np.unique(census.reduced(np.concatenate(sets), buckets), return_counts=True) if sets else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
     return census.blob_rows(census.sent(chunk, keys, np.minimum(count, 0xFFFFFFFF).astype(np.uint32)))
@@ -56,11 +57,12 @@ def _send(chunk: int, t: pa.Table, n: int, buckets: int) -> pa.Table:
 
 def _rare_first(t: pa.Table, told: pa.Table, n: int, buckets: int, percent: int) -> pa.Table:
     """Sets of the documents that may link; of the others the size alone."""
+    K.trim()
     sets = shingle_sets(t, n)
     every = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
     keys, back = np.unique(census.reduced(every, buckets), return_inverse=True)
     cls = census.answers(told, keys, np.uint8)[back]
-    out, at = [], 0
+    out, parts, at = [], [], 0
     for s in sets:
         c = cls[at : at + len(s)]
         at += len(s)
@@ -68,18 +70,19 @@ def _rare_first(t: pa.Table, told: pa.Table, n: int, buckets: int, percent: int)
         if len(s) and 100 * int(shared.sum()) >= percent * len(s):
             h, c = s[shared], c[shared]
             out.append(h[np.lexsort((h, c))].view(np.int64))
+            parts.append(np.bincount((h >> np.uint64(60)).astype(np.int64), minlength=PARTS))
         else:
             out.append(None)
-    ids = [None if x is None else x for x in t["doc_id"].to_pylist()]
-    return pa.table({"doc_id": pa.array(ids, pa.int64()), "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "tokens": pa.array(out, pa.list_(pa.int64()))})
+            parts.append(None)
+    return pa.table({"doc_id": t["doc_id"], "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "tokens": pa.array(out, pa.list_(pa.int64())), "parts": pa.array(parts, pa.list_(pa.int32()))})
 
 
 def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
     """(node, component) of the linked representatives among ``sets`` (rid, n, tokens)."""
     need = lambda a, b: F.ceil(F.lit(percent) * (a + b) / F.lit(100 + percent))
     prefix = F.col("n") - F.ceil(F.lit(percent) * F.col("n") / F.lit(100)) + 1 - (F.col("n") - F.size("tokens"))
-    parts = [F.size(F.filter("tokens", _in_part(p))).cast("short") for p in range(PARTS)]
-    entries = sets.select("rid", "n", F.size("tokens").alias("m"), F.array(*parts).alias("parts"), F.posexplode(F.slice("tokens", F.lit(1), F.greatest(prefix, F.lit(0)).cast("int"))).alias("pos", "token"))
+    entries = sets.select("rid", "n", F.size("tokens").alias("m"), "parts", F.slice("tokens", F.lit(1), F.greatest(prefix, F.lit(0)).cast("int")).alias("head"))
+    entries = entries.select("rid", "n", "m", "parts", F.posexplode("head").alias("pos", "token"))
     entries = staged(spark, entries, "prefix-entries")
     groups = entries.groupBy("token").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("token")
     entries = staged(spark, entries.join(groups, "token", "left_semi"), "shared-entries")
@@ -122,10 +125,6 @@ def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
     return label
 
 
-def _in_part(p: int):
-    return lambda t: F.shiftrightunsigned(t, 60).cast("int") == p
-
-
 def similar(spark: SparkSession, df: DataFrame, n: int = 5, percent: int = 75, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id), one row per document; component_id is null only for null ids."""
     ship(spark)
@@ -142,11 +141,11 @@ def similar(spark: SparkSession, df: DataFrame, n: int = 5, percent: int = 75, i
     told = census.owners(chunks.groupBy("chunk").applyInArrow(send, census.BLOB), census.chunk_counts)
     sets = staged(spark, chunks.groupBy("chunk").cogroup(told.groupBy("chunk")).applyInArrow(order, SETS), "sets")
     whole = F.col("n_shingles") == F.size("tokens")
-    some = sets.where("tokens is not null").select("doc_id", "n_shingles", "tokens", F.when(whole, F.sha2(F.to_binary(F.array_join(F.transform("tokens", lambda x: F.lpad(F.hex(x), 16, "0")), ""), F.lit("hex")), 256)).otherwise(F.concat(F.lit("doc "), F.col("doc_id").cast("string"))).alias("sig"))
+    some = sets.where("tokens is not null").select("doc_id", "n_shingles", "tokens", "parts", F.when(whole, F.sha2(F.to_binary(F.array_join(F.transform("tokens", lambda x: F.lpad(F.hex(x), 16, "0")), ""), F.lit("hex")), 256)).otherwise(F.concat(F.lit("doc "), F.col("doc_id").cast("string"))).alias("sig"))
     ids = some.select("doc_id", "sig")
     rep = ids.groupBy("sig").agg(F.min("doc_id").alias("rid"))
     reps = some.join(rep.select(F.col("rid").alias("doc_id"), F.col("sig").alias("s2")), "doc_id").where("sig = s2").dropDuplicates(["doc_id"])
-    reps = staged(spark, reps.select(F.col("doc_id").alias("rid"), F.col("n_shingles").cast("int").alias("n"), "tokens"), "representatives")
+    reps = staged(spark, reps.select(F.col("doc_id").alias("rid"), F.col("n_shingles").cast("int").alias("n"), "tokens", "parts"), "representatives")
     label = links(spark, reps, percent)
     member = staged(spark, ids.distinct().join(rep, "sig").select("doc_id", "rid"), "members")
     at = member.join(label.withColumnRenamed("node", "rid"), "rid", "left").select("doc_id", F.coalesce("component", "rid").alias("component"))

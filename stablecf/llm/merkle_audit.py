@@ -54,22 +54,23 @@ def parents(nodes: DataFrame, fanout: int) -> DataFrame:
     return nodes.groupBy(F.floor(F.col("node") / fanout).cast("long").alias("node")).agg(F.sha2(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("node", "hash"))), lambda x: F.concat(x["node"].cast("string"), F.lit(":"), x["hash"])), ","), 256).alias("hash"))
 
 
-def tree(leaf: DataFrame, fanout: int, levels: int) -> list[DataFrame]:
-    """Levels of (node, hash) from the ranges to the top."""
-    out = [leaf.groupBy(F.col("range_id").alias("node")).agg(F.sha2(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("rid", "leaf"))), lambda x: x["leaf"]), ","), 256).alias("hash"))]
+def tree(spark: SparkSession, leaf: DataFrame, fanout: int, levels: int) -> list[DataFrame]:
+    """Levels of (node, hash) from the ranges to the top; the ranges are stored, so that descending does not hash again."""
+    ranges = leaf.groupBy(F.col("range_id").alias("node")).agg(F.sha2(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("rid", "leaf"))), lambda x: x["leaf"]), ","), 256).alias("hash"))
+    out = [staged(spark, ranges, "merkle-ranges")]
     for _ in range(levels):
         out.append(parents(out[-1], fanout))
     return out
 
 
-def audit(spark: SparkSession, left: DataFrame, right: DataFrame, id_col: str, payload_cols: list[str], span: int = 64, fanout: int = 64, levels: int = 3) -> DataFrame:
+def audit(spark: SparkSession, left: DataFrame, right: DataFrame, id_col: str, payload_cols: list[str], span: int = 64, fanout: int = 64, levels: int = 2) -> DataFrame:
     """(rid, range_id, offset, length, left_leaf, right_leaf, status): the records that differ, found by descent from the roots.
 
     ``offset`` and ``length`` are of the left replica; ``levels`` is the height above the ranges, so the top has ranges/fanout**levels nodes.
     """
     a = staged(spark, with_offsets(leaves(left, id_col, payload_cols, span)), "merkle-left")
     b = staged(spark, leaves(right, id_col, payload_cols, span), "merkle-right")
-    ta, tb = tree(a, fanout, levels), tree(b, fanout, levels)
+    ta, tb = tree(spark, a, fanout, levels), tree(spark, b, fanout, levels)
     suspects = None
     for la, lb in zip(reversed(ta), reversed(tb), strict=True):
         if suspects is not None:

@@ -200,7 +200,7 @@ def _items(t: pa.Table, fold: int, of: int):
     """Per block: (first text, last text, strings, lengths, word hashes, numbers of words, held out)."""
     data, starts, ends = K.as_bytes(t["text"])
     held = _held(t["doc_id"].to_pylist(), fold, of)
-    for i, j in K.blocks(starts, ends, 2 << 20):
+    for i, j in K.blocks(starts, ends):
         st, n, h, words = streams(data, starts[i:j], ends[i:j])
         yield i, j, strings(st, n), n, h, words, held[i:j]
 
@@ -222,6 +222,7 @@ def _tally(keys: np.ndarray, train: np.ndarray) -> tuple[np.ndarray, np.ndarray]
 
 
 def _send(chunk: int, t: pa.Table, word_buckets: int, string_buckets: int, fold: int, of: int) -> pa.Table:
+    K.trim()
     s, w = [], []
     for _, _, keys, n, h, words, held in _items(t, fold, of):
         s.append(_tally(keys, np.repeat(~held, n)))
@@ -267,6 +268,7 @@ def _values(keys: np.ndarray, bucket: np.ndarray, got: dict[int, list[np.ndarray
 
 
 def _score(t: pa.Table, told: pa.Table, word_buckets: int, string_buckets: int, fold: int, of: int, train_docs: int) -> pa.Table:
+    K.trim()
     blocks = [(i, j, n, words, held, *np.unique(h, return_inverse=True), *_ranked(keys)) for i, j, keys, n, h, words, held in _items(t, fold, of)]
     got = {b: K.unsqueeze(x) for b, x in zip(told["bucket"].to_pylist(), told["body"].to_pylist(), strict=True)}
     total = train_docs + sum(int(got[b][1][0]) for b in range(word_buckets))
