@@ -7,9 +7,10 @@
 3. The others order their shared shingles rare first, and the prefix of
    ``n - ceil(t n) + 1`` shingles, less the unshared ones, is joined.  Equal sets are
    joined once, through the smallest id.
-4. Within a token's group no pair is made of documents already known to be
-   connected: two rounds pair every document with one leader a group, and what is
-   then still in different components is paired in full.  Length, positional and
+4. No pair is made of documents already known to be connected: documents are
+   first paired with one leader for each of four smallest hashes of their sets, then
+   in two rounds with one leader for each prefix token whose documents are still in
+   different components; what then remains so is paired in full, token by token.  Length, positional and
    suffix (partition) filters drop pairs that can't reach the threshold.
 5. Each different pair is verified once on the whole shared sets.
 
@@ -31,7 +32,8 @@ from stablecf.llm.common import NO_ID, chunked, id_back, ids_and_texts, ship, st
 from stablecf.llm.components import components
 
 PARTS = 16
-SETS = "doc_id long, n_shingles long, tokens array<long>, parts array<int>"
+HEADS = 4
+SETS = "doc_id long, n_shingles long, tokens array<long>, parts array<int>, heads array<long>"
 
 
 def shingle_sets(t: pa.Table, n: int) -> list[np.ndarray]:
@@ -62,7 +64,7 @@ def _rare_first(t: pa.Table, told: pa.Table, n: int, buckets: int, percent: int)
     every = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
     keys, back = np.unique(census.reduced(every, buckets), return_inverse=True)
     cls = census.answers(told, keys, np.uint8)[back]
-    out, parts, at = [], [], 0
+    out, parts, heads, at = [], [], [], 0
     for s in sets:
         c = cls[at : at + len(s)]
         at += len(s)
@@ -71,10 +73,12 @@ def _rare_first(t: pa.Table, told: pa.Table, n: int, buckets: int, percent: int)
             h, c = s[shared], c[shared]
             out.append(h[np.lexsort((h, c))].view(np.int64))
             parts.append(np.bincount((h >> np.uint64(60)).astype(np.int64), minlength=PARTS))
+            heads.append(np.array([K.mix(h ^ np.uint64(0x9E3779B97F4A7C15 * (i + 1) % (1 << 64))).min() for i in range(HEADS)]).view(np.int64))
         else:
             out.append(None)
             parts.append(None)
-    return pa.table({"doc_id": t["doc_id"], "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "tokens": pa.array(out, pa.list_(pa.int64())), "parts": pa.array(parts, pa.list_(pa.int32()))})
+            heads.append(None)
+    return pa.table({"doc_id": t["doc_id"], "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "tokens": pa.array(out, pa.list_(pa.int64())), "parts": pa.array(parts, pa.list_(pa.int32())), "heads": pa.array(heads, pa.list_(pa.int64()))})
 
 
 def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
@@ -87,12 +91,12 @@ def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
     groups = entries.groupBy("token").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("token")
     entries = staged(spark, entries.join(groups, "token", "left_semi"), "shared-entries")
 
-    def may(x: str, y: str) -> Column:
+    def may(x: str, y: str, placed: bool) -> Column:
         a, b = F.col(f"{x}.n"), F.col(f"{y}.n")
         length = (F.lit(100) * F.least(a, b) >= F.lit(percent) * F.greatest(a, b))
         left = F.least(F.col(f"{x}.m") - F.col(f"{x}.pos"), F.col(f"{y}.m") - F.col(f"{y}.pos"))  # of the first common token, so some token of a link passes
         both = F.aggregate(F.zip_with(f"{x}.parts", f"{y}.parts", lambda p, q: F.least(p, q)), F.lit(0), lambda s, v: s + v)
-        return length & (left >= need(a, b)) & (both >= need(a, b))
+        return length & (both >= need(a, b)) & ((left >= need(a, b)) if placed else F.lit(True))
 
     def verified(pairs: DataFrame) -> DataFrame:
         body = sets.select("rid", "n", "tokens")
@@ -101,26 +105,30 @@ def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
         both = F.size(F.array_intersect("ta", "tb"))
         return x.where(F.lit(100) * both >= F.lit(percent) * (F.col("na") + F.col("nb") - both)).select("a", "b")
 
-    def pair(x: DataFrame, y: DataFrame, on: Column) -> DataFrame:
-        out = x.join(y, on).where(may("x", "y")).select(F.least("x.rid", "y.rid").alias("a"), F.greatest("x.rid", "y.rid").alias("b"))
+    def pair(x: DataFrame, y: DataFrame, on: Column, placed: bool = True) -> DataFrame:
+        out = x.join(y, on).where(may("x", "y", placed)).select(F.least("x.rid", "y.rid").alias("a"), F.greatest("x.rid", "y.rid").alias("b"))
         return out.where("a <> b").distinct()
 
-    found, label = None, None
+    # a dense group shares the smallest hash of its sets: one pair a document and hash joins most of it before prefixes are paired
+    heads = sets.select("rid", "n", F.size("tokens").alias("m"), "parts", F.posexplode("heads").alias("pos", "token"))
+    lead = heads.groupBy("pos", "token").agg(F.min_by(F.struct("rid", "n", "m", "parts"), F.struct("n", "rid")).alias("l"), F.count(F.lit(1)).alias("size")).where("size > 1").select("pos", "token", "l.*")
+    pairs = pair(heads.alias("x"), lead.alias("y"), (F.col("x.pos") == F.col("y.pos")) & (F.col("x.token") == F.col("y.token")), placed=False)
+    found = staged(spark, verified(pairs), "links")
+    label = staged(spark, components(spark, found), "labels")
     for r in range(3):
-        now = entries.withColumn("comp", F.col("rid")) if label is None else entries.join(label.withColumnRenamed("node", "rid"), "rid", "left").withColumn("comp", F.coalesce("component", "rid")).drop("component")
-        if label is not None:
-            open_groups = now.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("token")
-            now = staged(spark, now.join(open_groups, "token", "left_semi"), "open-entries")
-            if not now.take(1):
-                break
+        now = entries.join(label.withColumnRenamed("node", "rid"), "rid", "left").withColumn("comp", F.coalesce("component", "rid")).drop("component")
+        open_groups = now.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("token")
+        entries = now = staged(spark, now.join(open_groups, "token", "left_semi"), "open-entries")
+        entries = entries.drop("comp")
+        if not now.take(1):
+            break
         if r < 2:
             order = F.struct("n", "rid") if r else F.struct(F.xxhash64("rid"), "rid")
             lead = now.groupBy("token").agg(F.min_by(F.struct("rid", "n", "m", "parts", "pos", "comp"), order).alias("l")).select("token", "l.*")
             pairs = pair(now.alias("x"), lead.alias("y"), (F.col("x.token") == F.col("y.token")) & (F.col("x.comp") != F.col("y.comp")))
         else:
             pairs = pair(now.alias("x"), now.alias("y"), (F.col("x.token") == F.col("y.token")) & (F.col("x.comp") < F.col("y.comp")))
-        new = staged(spark, verified(pairs), "links")
-        found = new if found is None else found.unionByName(new)
+        found = found.unionByName(staged(spark, verified(pairs), "links"))
         label = staged(spark, components(spark, found), "labels")
     return label
 
@@ -141,11 +149,11 @@ def similar(spark: SparkSession, df: DataFrame, n: int = 5, percent: int = 75, i
     told = census.owners(chunks.groupBy("chunk").applyInArrow(send, census.BLOB), census.chunk_counts)
     sets = staged(spark, chunks.groupBy("chunk").cogroup(told.groupBy("chunk")).applyInArrow(order, SETS), "sets")
     whole = F.col("n_shingles") == F.size("tokens")
-    some = sets.where("tokens is not null").select("doc_id", "n_shingles", "tokens", "parts", F.when(whole, F.sha2(F.to_binary(F.array_join(F.transform("tokens", lambda x: F.lpad(F.hex(x), 16, "0")), ""), F.lit("hex")), 256)).otherwise(F.concat(F.lit("doc "), F.col("doc_id").cast("string"))).alias("sig"))
+    some = sets.where("tokens is not null").select("doc_id", "n_shingles", "tokens", "parts", "heads", F.when(whole, F.sha2(F.to_binary(F.array_join(F.transform("tokens", lambda x: F.lpad(F.hex(x), 16, "0")), ""), F.lit("hex")), 256)).otherwise(F.concat(F.lit("doc "), F.col("doc_id").cast("string"))).alias("sig"))
     ids = some.select("doc_id", "sig")
     rep = ids.groupBy("sig").agg(F.min("doc_id").alias("rid"))
     reps = some.join(rep.select(F.col("rid").alias("doc_id"), F.col("sig").alias("s2")), "doc_id").where("sig = s2").dropDuplicates(["doc_id"])
-    reps = staged(spark, reps.select(F.col("doc_id").alias("rid"), F.col("n_shingles").cast("int").alias("n"), "tokens", "parts"), "representatives")
+    reps = staged(spark, reps.select(F.col("doc_id").alias("rid"), F.col("n_shingles").cast("int").alias("n"), "tokens", "parts", "heads"), "representatives")
     label = links(spark, reps, percent)
     member = staged(spark, ids.distinct().join(rep, "sig").select("doc_id", "rid"), "members")
     at = member.join(label.withColumnRenamed("node", "rid"), "rid", "left").select("doc_id", F.coalesce("component", "rid").alias("component"))
