@@ -51,8 +51,14 @@ def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.digest(decontaminate.decontaminate(spark, read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_toxicity, op2_merkle_audit, op3_ppm_score, op4_licence_scan, op5_pack_sequences, op6_exact_dedup, op7_jaccard_join, op8_sanitise, op9_remove_repeats, op10_decontaminate)}
+    return {f.__name__: f for f in (op1_toxicity, op2_merkle_audit, op3_ppm_score, op4_licence_scan, op5_pack_sequences, op6_exact_dedup, op7_jaccard_join, op8_sanitise, op9_remove_repeats, op10_decontaminate, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
