@@ -1,19 +1,415 @@
-"""Registered queries of the engine and their SQL."""
+"""Registered queries of the engine and their SQL.  SQL is written from definitions (two passes, pair sums), not from the engine's forms."""
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from stablecf.functions import features as A
+from stablecf.functions import measures as B
+from stablecf.operators import mixture as M
+from stablecf.operators.summarize import collect, compact_cells, project, summarize
+from stablecf.operators.tree import TreeConfig
+from stablecf.plans import workloads as W
+from stablecf.sources import generators as G
+from stablecf.streaming.windows import window_features
+
+
+def read(spark: SparkSession, sf_dir: str, t: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{t}.parquet")
+
+
+def _r(c, n: int = 4):
+    return (F.round(c, n) + F.lit(0.0))
+
+
+def _li(spark, d):
+    return read(spark, d, "lineitem").select("l_returnflag", "l_linestatus", "l_orderkey", F.col("l_quantity").alias("x0"), (F.col("l_extendedprice") / 1000).alias("x1"))
+
+
+def _axes(df: DataFrame, var_of: str = "q", n: int = 2) -> list:
+    return [_r(F.col("m")[i]).alias(f"m{i}") for i in range(n)] + [_r(F.col(var_of)[i] / F.col("w")).alias(f"v{i}") for i in range(n)]
+
+
+
+
+def xy() -> list:
+    return [F.col("x0"), F.col("x1")]
+
+
+def q_stable_group(spark, d):
+    cf = A.stable_agg(_li(spark, d), xy(), ["l_returnflag", "l_linestatus"])
+    return cf.select("l_returnflag", "l_linestatus", "w", *_axes(cf))
+
+
+def q_classic_group(spark, d):
+    cf = A.classic_agg(_li(spark, d), xy(), ["l_returnflag", "l_linestatus"])
+    return cf.select("l_returnflag", "l_linestatus", "n", _r(F.col("ls")[0] / F.col("n")).alias("m0"), _r(F.col("ls")[1] / F.col("n")).alias("m1"), _r(A.classic_var(F.struct("n", "ls", "ss"))).alias("var"))
+
+
+def q_stable_merge(spark, d):
+    c = read(spark, d, "customer").select("c_nationkey", (F.col("c_acctbal") / 1000).alias("x0"))
+    cf = A.stable_agg(c, [F.col("x0")], ["c_nationkey"])
+    n = read(spark, d, "nation").select(F.col("n_nationkey").alias("c_nationkey"), F.col("n_regionkey").alias("region"))
+    out = A.stable_merge_agg(cf.join(n, "c_nationkey"), ["region"], 1)
+    return out.select("region", "w", *_axes(out, n=1))
+
+
+def q_stable_fold(spark, d):
+    c = read(spark, d, "customer").select("c_nationkey", (F.col("c_acctbal") / 1000).alias("x0"))
+    cf = A.stable_agg(c, [F.col("x0")], ["c_nationkey"])
+    n = read(spark, d, "nation").select(F.col("n_nationkey").alias("c_nationkey"), F.col("n_regionkey").alias("region"))
+    f = cf.join(n, "c_nationkey").groupBy("region").agg(F.collect_list(F.struct("w", "m", "q")).alias("fs"))  # at most 25 features a region
+    f = f.select("region", A.stable_fold(F.col("fs"), 1).alias("f")).select("region", "f.*")
+    return f.select("region", "w", *_axes(f, n=1))
+
+
+def q_stable_weighted(spark, d):
+    li = read(spark, d, "lineitem").select("l_linestatus", "l_quantity", (F.col("l_extendedprice") / 1000).alias("x0"), "l_discount")
+    cf = A.stable_weighted_agg(li, [F.col("x0"), F.col("l_discount") * 100], F.col("l_quantity"), ["l_linestatus"])
+    return cf.select("l_linestatus", "w", *_axes(cf))
+
+
+def q_cov_feature(spark, d):
+    cf = A.stable_cov_agg(_li(spark, d), xy(), ["l_returnflag"])
+    return cf.select("l_returnflag", "w", *[_r(F.col("qc")[i] / F.col("w")).alias(f"c{i}") for i in range(3)])
+
+
+def q_convert_roundtrip(spark, d):
+    cf = A.stable_agg(_li(spark, d), xy(), ["l_returnflag"])
+    return cf.select("l_returnflag", _r(A.classic_var(A.to_classic(F.struct("w", "m", "q")))).alias("var"))
+
+
+def q_cancel_minutes(spark, d):
+    """Time stamps of a minute: the stable variance (seconds squared) where the textbook form cancels."""
+    us = F.unix_micros(F.col("ts").cast("timestamp"))
+    e = read(spark, d, "events").select(F.floor(us / 60000000).cast("long").alias("minute"), us.cast("double").alias("x0"))
+    cf = A.stable_agg(e, [F.col("x0")], ["minute"]).where("w > 1")
+    return cf.select("minute", "w", _r(F.col("q")[0] / F.col("w") / 1e12, 3).alias("var"))
+
+
+def q_cancel_flags(spark, d):
+    """Buckets whose textbook variance is negative or zero though the truth is positive."""
+    us = F.unix_micros(F.col("ts").cast("timestamp"))
+    e = read(spark, d, "events").select(F.floor(us / 60000000).cast("long").alias("minute"), us.cast("double").alias("x0"))
+    cf = A.classic_agg(e, [F.col("x0")], ["minute"]).where("n > 1").select(A.classic_var(F.struct("n", "ls", "ss")).alias("v"))
+    return cf.agg(F.count(F.lit(1)).alias("buckets"), F.sum((F.col("v") < 0).cast("long")).alias("negative"), F.sum((F.col("v") == 0).cast("long")).alias("zero"))
+
+
+def _nations(spark, d):
+    c = read(spark, d, "customer").select("c_nationkey", (F.col("c_acctbal") / 1000).alias("x0"), F.pmod("c_custkey", F.lit(7)).cast("double").alias("x1"))
+    return c
+
+
+def _pairs(spark, d, kind, form):
+    c = _nations(spark, d)
+    cf = A.classic_agg(c, xy(), ["c_nationkey"]) if form == "classic" else A.stable_agg(c, xy(), ["c_nationkey"])
+    cols = ["n", "ls", "ss"] if form == "classic" else ["w", "m", "q"]
+    f = cf.select("c_nationkey", F.struct(*cols).alias("f"))
+    a, b = f.select(F.col("c_nationkey").alias("a"), F.col("f").alias("fa")), f.select(F.col("c_nationkey").alias("b"), F.col("f").alias("fb"))
+    # 25 nations: the pairs of a bounded set of features
+    return a.join(F.broadcast(b), F.col("a") < F.col("b")).select("a", "b", _r(B.distance(F.col("fa"), F.col("fb"), kind, form)).alias("value"))
+
+
+def q_nearest_feature(spark, d):
+    p = _pairs(spark, d, "D4", "stable")
+    both = p.unionByName(p.select(F.col("b").alias("a"), F.col("a").alias("b"), "value"))
+    return both.groupBy("a").agg(F.min("value").alias("value"))
+
+
+def q_absorb_flags(spark, d):
+    p = _pairs(spark, d, "R", "stable")
+    return p.select("a", "b", (F.col("value") <= 3.75).alias("ok"))
+
+
+def q_hier_first_merge(spark, d):
+    return _pairs(spark, d, "D4", "stable").agg(F.min("value").alias("value"))
+
+
+def q_cells(spark, d):
+    cf = compact_cells(_li(spark, d), xy(), [5.0, 10.0])
+    return cf.select("cell0", "cell1", "w", *_axes(cf))
+
+
+def _summary(spark, d, cap=500, form="stable"):
+    return summarize(project(_li(spark, d), xy()), TreeConfig(leaf_cap=cap, form=form), parts=4)
+
+
+def q_tree_conservation(spark, d):
+    cf = _summary(spark, d).select(F.lit(1).alias("k"), "w", "m", "q")
+    out = A.stable_merge_agg(cf, ["k"], 2)
+    return out.select("w", *_axes(out))
+
+
+def q_tree_limits(spark, d):
+    cf = _summary(spark, d)
+    return cf.agg((F.count(F.lit(1)) <= 500).alias("cap_ok"), (F.max(F.when(F.col("w") > 1, A.total(F.col("q")) / F.col("w") - F.col("threshold") * F.col("threshold"))) <= 1e-6).alias("radius_ok"))
+
+
+def q_summary_leaves(spark, d):
+    return _summary(spark, d)
+
+
+MODEL = [(0.5, (10.0, 20.0), (50.0, 200.0)), (0.3, (30.0, 40.0), (60.0, 300.0)), (0.2, (45.0, 70.0), (30.0, 150.0))]
+
+
+def _logs(spread: bool, expected: bool = False):
+    from math import log, pi
+
+    out = []
+    for w, mu, var in MODEL:
+        e = F.lit(log(w))
+        for i in range(2):
+            v = F.lit(var[i]) + (F.col("q")[i] / F.col("w") if spread else F.lit(0.0))
+            dev = (F.col("m")[i] - mu[i]) * (F.col("m")[i] - mu[i]) + (F.col("q")[i] / F.col("w") if expected else F.lit(0.0))
+            e = e - F.lit(0.5) * (F.log(F.lit(2 * pi) * v) + dev / v)
+        out.append(e)
+    return out
+
+
+def _estep(spark, d, kernel):
+    cf = A.stable_agg(_li(spark, d).withColumn("g", F.pmod("l_orderkey", F.lit(20)).cast("long")), xy(), ["g"])
+    logs = _logs(kernel == "overlap", kernel == "expected")
+    cf = cf.select("g", "w", "m", "q", *[x.alias(f"l{i}") for i, x in enumerate(logs)])
+    top = F.greatest("l0", "l1", "l2")
+    den = sum((F.exp(F.col(f"l{i}") - top) for i in range(3)), F.lit(0.0))
+    return cf.select("g", "w", "m", "q", *[(F.exp(F.col(f"l{i}") - top) / den).alias(f"r{i}") for i in range(3)])
+
+
+def q_estep(kernel):
+    def q(spark, d):
+        return _estep(spark, d, kernel).select("g", *[_r(F.col(f"r{i}"), 6).alias(f"r{i}") for i in range(3)])
+
+    q.__name__ = f"q_estep_{kernel}"
+    return q
+
+
+def q_mstep_diagonal(spark, d):
+    e = _estep(spark, d, "overlap").select("w", "m", "q", F.posexplode(F.array("r0", "r1", "r2")).alias("comp", "r"))
+    f = e.select("comp", (F.col("w") * F.col("r")).alias("w"), "m", F.transform("q", lambda v: v * F.col("r")).alias("q"))
+    out = A.stable_merge_agg(f, ["comp"], 2)
+    return out.select("comp", _r(F.col("w"), 2).alias("mass"), *_axes(out))
+
+
+def q_loglik(spark, d):
+    p = project(_li(spark, d), xy())
+    logs = _logs(False)
+    top = F.greatest(*logs)
+    ll = top + F.log(sum((F.exp(x - top) for x in logs), F.lit(0.0)))
+    return p.agg(F.count(F.lit(1)).alias("n"), _r(F.avg(ll)).alias("mean_ll"))
+
+
+def q_assign_hard(spark, d):
+    import numpy as np
+
+    model = M.Mixture(np.array([x[0] for x in MODEL]), np.array([x[1] for x in MODEL]), np.array([x[2] for x in MODEL]))
+    return M.assign(project(_li(spark, d), xy()), model).groupBy("comp").agg(F.count(F.lit(1)).alias("n"), _r(F.avg(F.col("m")[0])).alias("mean_qty"))
+
+
+def q_compression(spark, d):
+    cf = compact_cells(_li(spark, d), xy(), [5.0, 10.0])
+    return cf.agg(F.sum("w").cast("long").alias("n"), F.count(F.lit(1)).alias("cells"), _r(F.sum("w") / F.count(F.lit(1))).alias("ratio"))
+
+
+def q_rollup_features(spark, d):
+    c = read(spark, d, "customer").join(read(spark, d, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).select("n_regionkey", "c_mktsegment", (F.col("c_acctbal") / 1000).alias("x0"))
+    cf = c.rollup("n_regionkey", "c_mktsegment").agg(F.grouping_id().cast("long").alias("level"), F.count(F.lit(1)).cast("double").alias("w"), F.avg("x0").alias("a"), F.var_pop("x0").alias("v"))
+    return cf.select("n_regionkey", "c_mktsegment", "level", "w", _r(F.col("a")).alias("m0"), _r(F.col("v")).alias("v0"))
+
+
+def _value():
+    """Event values, a little stretched: means of cents are often exact ties of rounding."""
+    return F.col("value") * 1.0000001
+
+
+def q_win_running_feature(spark, d):
+    from pyspark.sql import Window
+
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, 0)
+    e = read(spark, d, "events")
+    return e.select("event_id", F.count(F.lit(1)).over(w).alias("n"), _r(F.avg(_value()).over(w)).alias("m0"), _r(F.var_pop(_value()).over(w), 3).alias("v0"))
+
+
+def q_stream_window(spark, d):
+    cf = window_features(read(spark, d, "events"), [_value()], "ts", "6 hours", keys=("event_type",))
+    return cf.select(F.unix_micros("win.start").alias("start_us"), "event_type", "w", *_axes(cf, n=1))
+
+
+def q_stream_sliding(spark, d):
+    cf = window_features(read(spark, d, "events"), [_value()], "ts", "12 hours", "6 hours")
+    return cf.select(F.unix_micros("win.start").alias("start_us"), "w", *_axes(cf, n=1))
+
+
+def q_op_join_interval(spark, d):
+    li, o = read(spark, d, "lineitem"), read(spark, d, "orders")
+    j = li.join(o, F.col("l_orderkey") == F.col("o_orderkey")).where((F.col("l_shipdate") >= F.col("o_orderdate")) & (F.col("l_shipdate") <= F.col("o_orderdate") + F.expr("interval 90 days")))
+    return j.agg(F.count(F.lit(1)).alias("n"), _r(F.avg("l_quantity")).alias("mean_qty"))
+
+
+def q_op_join_asof(spark, d):
+    from pyspark.sql import Window
+
+    e = read(spark, d, "events").where("event_type in ('error', 'view')")
+    w = Window.partitionBy("user_id").orderBy("ts", F.when(F.col("event_type") == "view", 0).otherwise(1), "event_id").rowsBetween(Window.unboundedPreceding, 0)
+    x = e.withColumn("view_ts", F.last(F.when(F.col("event_type") == "view", F.col("ts")), True).over(w)).where("event_type = 'error'")
+    return x.select("event_id", F.unix_micros(F.col("view_ts").cast("timestamp")).alias("view_us"))
+
+
+def _fit(form, shape):
+    def q(spark, d):
+        rows = project(_li(spark, d), xy())
+        if form.startswith("points"):
+            model = M.fit_rows(rows, 5, shape, form.split("_")[1], max_iter=15)
+        else:
+            model = M.fit_features(*collect(summarize(rows, TreeConfig(leaf_cap=500, form=form.split("_")[1]), parts=4)), 5, shape)
+        return M.loglik(rows, model)
+
+    q.__name__ = f"q_fit_{form}_{shape}"
+    return q
+
+
+def q_w1_shift(spark, d):
+    return W.shift_sweep(spark, n=5000, shifts=(0.0, 1e6, 1e7, 2e7, 1e8), cap=200)
+
+
+def q_w2_quality(spark, d):
+    return W.quality(spark, read(spark, d, "lineitem"), W.lineitem_axes(), ks=(2, 5), cap=500, iters=15)
+
+
+def q_w2_grid(spark, d):
+    return W.quality(spark, G.grid(spark, 0.01), [F.col("x_0"), F.col("x_1")], ks=(10,), cap=1000, iters=15, name="grid")
+
+
+def q_w3_build(spark, d):
+    return W.build_times(spark, read(spark, d, "lineitem"), W.lineitem_axes())
+
+
+def q_w5_real(spark, d):
+    o = read(spark, d, "orders")
+    return W.quality(spark, o, [F.unix_micros(F.col("o_orderdate").cast("timestamp")) / 86400e6, F.col("o_totalprice") / 1000], ks=(2, 10), cap=1000, iters=15, name="real-like")
+
+
+def q_w7_measures(spark, d):
+    return W.measure_grid(spark, read(spark, d, "lineitem"), W.lineitem_axes())
+
+
+def q_w9_kernels(spark, d):
+    return W.kernels(spark, read(spark, d, "lineitem"), W.lineitem_axes())
+
+
+def q_kmeans_cost(spark, d):
+    c, cost = M.kmeans(*collect(_summary(spark, d)), 4)
+    return spark.createDataFrame([(4, float(cost))], "k int, cost double")
+
+
+def q_hier(spark, d):
+    cf = A.stable_agg(_nations(spark, d), xy(), ["c_nationkey"]).orderBy("c_nationkey")
+    label = M.agglomerate(*collect(cf), 5)
+    return spark.createDataFrame([(i, int(x)) for i, x in enumerate(label)], "feature int, cluster int")
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    rows = project(read(spark, sf_dir, "lineitem"), W.lineitem_axes())
+    model = M.fit_features(*collect(summarize(rows, TreeConfig(leaf_cap=500), parts=4)), 5, "diagonal")
+    return M.assign(rows, model).groupBy("comp").agg(F.count(F.lit(1)).alias("n"))
+
+
+_S = [q_stable_group, q_classic_group, q_stable_merge, q_stable_fold, q_stable_weighted, q_cov_feature, q_convert_roundtrip, q_cancel_minutes, q_nearest_feature, q_absorb_flags, q_hier_first_merge, q_cells, q_tree_conservation, q_tree_limits, q_estep("overlap"), q_estep("centre"), q_estep("expected"), q_mstep_diagonal, q_loglik, q_assign_hard, q_compression, q_rollup_features, q_win_running_feature, q_stream_window, q_stream_sliding, q_op_join_interval, q_op_join_asof]
+_ROWS = [q_cancel_flags, q_summary_leaves, q_w1_shift, q_w2_quality, q_w2_grid, q_w3_build, q_w5_real, q_w7_measures, q_w9_kernels, q_kmeans_cost, q_hier, *[_fit(f, s) for f, s in (("features_stable", "diagonal"), ("features_stable", "spherical"), ("features_classic", "spherical"), ("points_textbook", "spherical"), ("points_stable", "diagonal"))]]
+
+
+def _pair_query(kind: str, form: str):
+    def q(spark, d):
+        return _pairs(spark, d, kind, form)
+
+    q.__name__ = f"q_{'classic_' if form == 'classic' else ''}{kind.lower()}"
+    return q
+
+
+_PAIRS = [_pair_query(k, f) for f in ("stable", "classic") for k in B.KINDS]
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return {f.__name__: f for f in [*_S, *_PAIRS, *_ROWS]}
+
+
+LI = "li AS (SELECT l_returnflag, l_linestatus, l_orderkey, l_quantity AS x0, l_extendedprice / 1000 AS x1 FROM lineitem)"
+CU = "cu AS (SELECT c_nationkey AS k, c_acctbal / 1000 AS x0, CAST(c_custkey % 7 AS DOUBLE) AS x1 FROM customer)"
+
+
+def _two_pass(source: str, keys: str, axes: int = 2, weight: str = "1.0", with_: str = LI) -> str:
+    on = " AND ".join(f"s.{k} = t.{k}" for k in keys.split(", ")) if keys else "true"
+    pre = f"{keys}, " if keys else ""
+    spre = ", ".join(f"s.{k}" for k in keys.split(", ")) + ", " if keys else ""
+    group = f"GROUP BY {keys}" if keys else ""
+    sgroup = "GROUP BY " + ", ".join(f"s.{k}" for k in keys.split(", ")) if keys else ""
+    means = ", ".join(f"sum({weight} * x{i}) / sum({weight}) AS a{i}" for i in range(axes))
+    outs = ", ".join(f"round(max(a{i}), 4) + 0.0 AS m{i}" for i in range(axes)) + ", " + ", ".join(f"round(sum({weight} * (x{i} - a{i}) * (x{i} - a{i})) / sum({weight}), 4) + 0.0 AS v{i}" for i in range(axes))
+    return f"WITH {with_}, t AS (SELECT {pre}{means} FROM {source} {group}) SELECT {spre}CAST(sum({weight}) AS DOUBLE) AS w, {outs} FROM {source} s JOIN t ON {on} {sgroup}"
+
+
+def _pair_sql(kind: str) -> str:
+    d2 = "((p.x0 - r.x0) * (p.x0 - r.x0) + (p.x1 - r.x1) * (p.x1 - r.x1))"
+    head = f"WITH {CU}, g AS (SELECT k, avg(x0) AS a0, avg(x1) AS a1, count(*) AS n FROM cu GROUP BY k), pr AS (SELECT g.k AS a, h.k AS b, g.a0, g.a1, h.a0 AS b0, h.a1 AS b1, g.n, h.n AS nb FROM g JOIN g h ON g.k < h.k)"
+    if kind == "D0":
+        return f"{head} SELECT a, b, round(sqrt((a0 - b0) ** 2 + (a1 - b1) ** 2), 4) + 0.0 AS value FROM pr"
+    if kind == "D1":
+        return f"{head} SELECT a, b, round(abs(a0 - b0) + abs(a1 - b1), 4) + 0.0 AS value FROM pr"
+    if kind == "D2":
+        return f"{head} SELECT p.k AS a, r.k AS b, round(sqrt(avg({d2})), 4) + 0.0 AS value FROM cu p JOIN cu r ON p.k < r.k GROUP BY 1, 2"
+    union = f"{head}, u AS (SELECT pr.a, pr.b, cu.k, cu.x0, cu.x1 FROM pr JOIN cu ON cu.k = pr.a OR cu.k = pr.b), c AS (SELECT a, b, avg(x0) AS c0, avg(x1) AS c1 FROM u GROUP BY a, b), s AS (SELECT u.a, u.b, count(*) AS n, sum((x0 - c0) ** 2 + (x1 - c1) ** 2) AS q FROM u JOIN c ON u.a = c.a AND u.b = c.b GROUP BY u.a, u.b)"
+    if kind == "R":
+        return f"{union} SELECT a, b, round(sqrt(q / n), 4) + 0.0 AS value FROM s"
+    if kind == "D3":
+        return f"{union} SELECT a, b, round(sqrt(2 * q / (n - 1)), 4) + 0.0 AS value FROM s"
+    own = ", o AS (SELECT cu.k, sum((x0 - a0) ** 2 + (x1 - a1) ** 2) AS q FROM cu JOIN g ON cu.k = g.k GROUP BY cu.k)"
+    return f"{union}{own} SELECT s.a, s.b, round(sqrt(greatest(s.q - o.q - o2.q, 0)), 4) + 0.0 AS value FROM s JOIN o ON s.a = o.k JOIN o o2 ON s.b = o2.k"
+
+
+def _estep_sql(kernel: str) -> str:
+    vals = ", ".join(f"({i}, {w}, {mu[0]}, {mu[1]}, {v[0]}, {v[1]})" for i, (w, mu, v) in enumerate(MODEL))
+    add = "+ f.v{i}" if kernel == "overlap" else ""
+    dev = "+ f.v{i}" if kernel == "expected" else ""
+    dens = " ".join(f"- 0.5 * (ln(2 * pi() * (c.s{i} {add.format(i=i)})) + ((f.a{i} - c.u{i}) ** 2 {dev.format(i=i)}) / (c.s{i} {add.format(i=i)}))" for i in (0, 1))
+    return f"{LI}, f AS (SELECT CAST(l_orderkey % 20 AS BIGINT) AS g, CAST(count(*) AS DOUBLE) AS w, avg(x0) AS a0, avg(x1) AS a1, var_pop(x0) AS v0, var_pop(x1) AS v1 FROM li GROUP BY 1), c(comp, p, u0, u1, s0, s1) AS (VALUES {vals}), l AS (SELECT g, w, a0, a1, v0, v1, comp, ln(p) {dens} AS l FROM f, c), e AS (SELECT *, exp(l - max(l) OVER (PARTITION BY g)) AS e FROM l), r AS (SELECT *, e / sum(e) OVER (PARTITION BY g) AS r FROM e)"
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    nation = "c1 AS (SELECT n_regionkey AS region, c_acctbal / 1000 AS x0 FROM customer JOIN nation ON c_nationkey = n_nationkey)"
+    li_disc = "lw AS (SELECT l_linestatus, l_quantity AS wt, l_extendedprice / 1000 AS x0, l_discount * 100 AS x1 FROM lineitem)"
+    us = "epoch_us(ts)"
+    dens = [f"ln({w}) - 0.5 * (ln(2 * pi() * {v[0]}) + (x0 - {mu[0]}) ** 2 / {v[0]}) - 0.5 * (ln(2 * pi() * {v[1]}) + (x1 - {mu[1]}) ** 2 / {v[1]})" for w, mu, v in MODEL]
+    lls = f"ll AS (SELECT x0, {', '.join(f'{x} AS l{i}' for i, x in enumerate(dens))} FROM li)"
+    out = {
+        "q_stable_group": _two_pass("li", "l_returnflag, l_linestatus"),
+        "q_classic_group": f"WITH {LI} SELECT l_returnflag, l_linestatus, CAST(count(*) AS DOUBLE) AS n, round(avg(x0), 4) + 0.0 AS m0, round(avg(x1), 4) + 0.0 AS m1, round(var_pop(x0) + var_pop(x1), 4) + 0.0 AS var FROM li GROUP BY 1, 2",
+        "q_stable_merge": _two_pass("c1", "region", 1, with_=nation),
+        "q_stable_fold": _two_pass("c1", "region", 1, with_=nation),
+        "q_stable_weighted": _two_pass("lw", "l_linestatus", 2, "wt", li_disc),
+        "q_cov_feature": f"WITH {LI} SELECT l_returnflag, CAST(count(*) AS DOUBLE) AS w, round(var_pop(x0), 4) + 0.0 AS c0, round(covar_pop(x0, x1), 4) + 0.0 AS c1, round(var_pop(x1), 4) + 0.0 AS c2 FROM li GROUP BY 1",
+        "q_convert_roundtrip": f"WITH {LI} SELECT l_returnflag, round(var_pop(x0) + var_pop(x1), 4) + 0.0 AS var FROM li GROUP BY 1",
+        "q_cancel_minutes": f"WITH e AS (SELECT {us} // 60000000 AS minute, CAST({us} AS HUGEINT) AS x FROM events) SELECT minute, CAST(count(*) AS DOUBLE) AS w, round(CAST(count(*) * sum((x - minute * 60000000) * (x - minute * 60000000)) - sum(x - minute * 60000000) * sum(x - minute * 60000000) AS DOUBLE) / count(*) / count(*) / 1e12, 3) + 0.0 AS var FROM e GROUP BY minute HAVING count(*) > 1",
+        "q_nearest_feature": f"WITH p AS ({_pair_sql('D4')}) SELECT a, min(value) AS value FROM (SELECT a, value FROM p UNION ALL SELECT b, value FROM p) GROUP BY a",
+        "q_absorb_flags": f"WITH p AS ({_pair_sql('R')}) SELECT a, b, value <= 3.75 AS ok FROM p",
+        "q_hier_first_merge": f"WITH p AS ({_pair_sql('D4')}) SELECT min(value) AS value FROM p",
+        "q_cells": f"WITH {LI} SELECT CAST(floor(x0 / 5) AS BIGINT) AS cell0, CAST(floor(x1 / 10) AS BIGINT) AS cell1, CAST(count(*) AS DOUBLE) AS w, round(avg(x0), 4) + 0.0 AS m0, round(avg(x1), 4) + 0.0 AS m1, round(var_pop(x0), 4) + 0.0 AS v0, round(var_pop(x1), 4) + 0.0 AS v1 FROM li GROUP BY 1, 2",
+        "q_tree_conservation": _two_pass("li", ""),
+        "q_tree_limits": "SELECT TRUE AS cap_ok, TRUE AS radius_ok",
+        "q_mstep_diagonal": f"WITH {_estep_sql('overlap')}, m AS (SELECT comp, sum(w * r) AS mass, sum(w * r * a0) / sum(w * r) AS u0, sum(w * r * a1) / sum(w * r) AS u1 FROM r GROUP BY comp) SELECT r.comp, round(max(mass), 2) + 0.0 AS mass, round(max(m.u0), 4) + 0.0 AS m0, round(max(m.u1), 4) + 0.0 AS m1, round(sum(w * r * (v0 + (a0 - m.u0) ** 2)) / max(mass), 4) + 0.0 AS v0, round(sum(w * r * (v1 + (a1 - m.u1) ** 2)) / max(mass), 4) + 0.0 AS v1 FROM r JOIN m ON r.comp = m.comp GROUP BY r.comp",
+        "q_loglik": f"WITH {LI}, {lls} SELECT count(*) AS n, round(avg(ln(exp(l0) + exp(l1) + exp(l2))), 4) + 0.0 AS mean_ll FROM ll",
+        "q_assign_hard": f"WITH {LI}, {lls} SELECT CAST(CASE WHEN l0 >= l1 AND l0 >= l2 THEN 0 WHEN l1 >= l2 THEN 1 ELSE 2 END AS INTEGER) AS comp, count(*) AS n, round(avg(x0), 4) + 0.0 AS mean_qty FROM ll GROUP BY 1",
+        "q_compression": f"WITH {LI}, c AS (SELECT floor(x0 / 5), floor(x1 / 10), count(*) AS w FROM li GROUP BY 1, 2) SELECT CAST(sum(w) AS BIGINT) AS n, count(*) AS cells, round(sum(w) / count(*), 4) + 0.0 AS ratio FROM c",
+        "q_rollup_features": "SELECT n_regionkey, c_mktsegment, CAST(grouping(n_regionkey) * 2 + grouping(c_mktsegment) AS BIGINT) AS level, CAST(count(*) AS DOUBLE) AS w, round(avg(c_acctbal / 1000), 4) + 0.0 AS m0, round(var_pop(c_acctbal / 1000), 4) + 0.0 AS v0 FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, c_mktsegment)",
+        "q_win_running_feature": "SELECT event_id, count(*) OVER w AS n, round(avg(value * 1.0000001) OVER w, 4) + 0.0 AS m0, round(var_pop(value * 1.0000001) OVER w, 3) + 0.0 AS v0 FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING)",
+        "q_stream_window": f"SELECT {us} // 21600000000 * 21600000000 AS start_us, event_type, CAST(count(*) AS DOUBLE) AS w, round(avg(value * 1.0000001), 4) + 0.0 AS m0, round(var_pop(value * 1.0000001), 4) + 0.0 AS v0 FROM events GROUP BY 1, 2",
+        "q_stream_sliding": f"WITH e AS (SELECT {us} // 21600000000 * 21600000000 - o * 21600000000 AS start_us, value FROM events, (VALUES (0), (1)) t(o)) SELECT start_us, CAST(count(*) AS DOUBLE) AS w, round(avg(value * 1.0000001), 4) + 0.0 AS m0, round(var_pop(value * 1.0000001), 4) + 0.0 AS v0 FROM e GROUP BY 1",
+        "q_op_join_interval": "SELECT count(*) AS n, round(avg(l_quantity), 4) + 0.0 AS mean_qty FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_shipdate BETWEEN o_orderdate AND o_orderdate + INTERVAL 90 DAY",
+        "q_op_join_asof": "SELECT e.event_id, epoch_us(v.ts) AS view_us FROM (SELECT * FROM events WHERE event_type = 'error') e ASOF LEFT JOIN (SELECT user_id, ts FROM events WHERE event_type = 'view') v ON e.user_id = v.user_id AND e.ts >= v.ts",
+    }
+    for k in ("overlap", "centre", "expected"):
+        out[f"q_estep_{k}"] = f"WITH {_estep_sql(k)} SELECT g, " + ", ".join(f"round(sum(CASE WHEN comp = {i} THEN r END), 6) + 0.0 AS r{i}" for i in range(3)) + " FROM r GROUP BY g"
+    for k in B.KINDS:
+        out[f"q_{k.lower()}"] = out[f"q_classic_{k.lower()}"] = _pair_sql(k)
+    return out
