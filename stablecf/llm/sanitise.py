@@ -33,7 +33,7 @@ KINDS = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 HINTS = {"email": "@", "ip": ".", "card": None, "phone": "+"}
-TERM = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]{4,}+"
+TERM = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]{4,}+"
 
 
 def _luhn(digits: Column) -> Column:
