@@ -9,9 +9,10 @@
    joined once, through the smallest id.
 4. No pair is made of documents already known to be connected: documents are
    first paired with one leader for each of four smallest hashes of their sets, then
-   in two rounds with one leader for each prefix token whose documents are still in
-   different components; what then remains so is paired in full, token by token.  Length, positional and
-   suffix (partition) filters drop pairs that can't reach the threshold.
+   in two rounds with one leader, of few unshared shingles, for each prefix token
+   whose documents are still in different components; what then remains so is paired
+   in full, token by token.  Length, positional and
+   suffix (parity sketch) filters drop pairs that can't reach the threshold.
 5. Each different pair is verified once on the whole shared sets.
 
 Defined results: null or wordless texts have an empty set and link with nothing,
@@ -21,6 +22,9 @@ come back one by one, with equal results; shingles are compared by 64-bit hashes
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import add
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -31,9 +35,18 @@ from stablecf.llm import kernels as K
 from stablecf.llm.common import NO_ID, chunked, id_back, ids_and_texts, ship, staged, text_bytes
 from stablecf.llm.components import components
 
-PARTS = 16
 HEADS = 4
-SETS = "doc_id long, n_shingles long, tokens array<long>, parts array<int>, heads array<long>"
+#: Longs of a parity sketch: bit i is the parity of how many shared shingles hash to i.
+WORDS = 8
+#: Rounds with one leader a token before the exhaustive one.
+ROUNDS = 2
+SETS = "doc_id long, n_shingles long, tokens array<long>, sketch array<long>, heads array<long>"
+
+
+def parity_sketch(h: np.ndarray) -> np.ndarray:
+    """Two sets' sketches differ in at most as many bits as the sets differ in items, whatever they share."""
+    odd = np.bincount((h >> np.uint64(55)).astype(np.int64), minlength=64 * WORDS) & 1
+    return np.packbits(odd.astype(np.uint8)).view(np.int64)
 
 
 def shingle_sets(t: pa.Table, n: int) -> list[np.ndarray]:
@@ -64,7 +77,7 @@ def _rare_first(t: pa.Table, told: pa.Table, n: int, buckets: int, percent: int)
     every = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
     keys, back = np.unique(census.reduced(every, buckets), return_inverse=True)
     cls = census.answers(told, keys, np.uint8)[back]
-    out, parts, heads, at = [], [], [], 0
+    out, sketches, heads, at = [], [], [], 0
     for s in sets:
         c = cls[at : at + len(s)]
         at += len(s)
@@ -72,21 +85,21 @@ def _rare_first(t: pa.Table, told: pa.Table, n: int, buckets: int, percent: int)
         if len(s) and 100 * int(shared.sum()) >= percent * len(s):
             h, c = s[shared], c[shared]
             out.append(h[np.lexsort((h, c))].view(np.int64))
-            parts.append(np.bincount((h >> np.uint64(60)).astype(np.int64), minlength=PARTS))
+            sketches.append(parity_sketch(h))
             heads.append(np.array([K.mix(h ^ np.uint64(0x9E3779B97F4A7C15 * (i + 1) % (1 << 64))).min() for i in range(HEADS)]).view(np.int64))
         else:
             out.append(None)
-            parts.append(None)
+            sketches.append(None)
             heads.append(None)
-    return pa.table({"doc_id": t["doc_id"], "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "tokens": pa.array(out, pa.list_(pa.int64())), "parts": pa.array(parts, pa.list_(pa.int32())), "heads": pa.array(heads, pa.list_(pa.int64()))})
+    return pa.table({"doc_id": t["doc_id"], "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "tokens": pa.array(out, pa.list_(pa.int64())), "sketch": pa.array(sketches, pa.list_(pa.int64())), "heads": pa.array(heads, pa.list_(pa.int64()))})
 
 
 def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
     """(node, component) of the linked representatives among ``sets`` (rid, n, tokens)."""
     need = lambda a, b: F.ceil(F.lit(percent) * (a + b) / F.lit(100 + percent))
     prefix = F.col("n") - F.ceil(F.lit(percent) * F.col("n") / F.lit(100)) + 1 - (F.col("n") - F.size("tokens"))
-    entries = sets.select("rid", "n", F.size("tokens").alias("m"), "parts", F.slice("tokens", F.lit(1), F.greatest(prefix, F.lit(0)).cast("int")).alias("head"))
-    entries = entries.select("rid", "n", "m", "parts", F.posexplode("head").alias("pos", "token"))
+    entries = sets.select("rid", "n", F.size("tokens").alias("m"), "sketch", F.slice("tokens", F.lit(1), F.greatest(prefix, F.lit(0)).cast("int")).alias("head"))
+    entries = entries.select("rid", "n", "m", "sketch", F.posexplode("head").alias("pos", "token"))
     entries = staged(spark, entries, "prefix-entries")
     groups = entries.groupBy("token").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("token")
     entries = staged(spark, entries.join(groups, "token", "left_semi"), "shared-entries")
@@ -95,8 +108,9 @@ def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
         a, b = F.col(f"{x}.n"), F.col(f"{y}.n")
         length = (F.lit(100) * F.least(a, b) >= F.lit(percent) * F.greatest(a, b))
         left = F.least(F.col(f"{x}.m") - F.col(f"{x}.pos"), F.col(f"{y}.m") - F.col(f"{y}.pos"))  # of the first common token, so some token of a link passes
-        both = F.aggregate(F.zip_with(f"{x}.parts", f"{y}.parts", lambda p, q: F.least(p, q)), F.lit(0), lambda s, v: s + v)
-        return length & (both >= need(a, b)) & ((left >= need(a, b)) if placed else F.lit(True))
+        differ = reduce(add, (F.bit_count(F.col(f"{x}.sketch")[i].bitwiseXOR(F.col(f"{y}.sketch")[i])) for i in range(WORDS)))
+        both = F.col(f"{x}.m") + F.col(f"{y}.m") - differ  # at least twice what the sets share
+        return length & (both >= 2 * need(a, b)) & ((left >= need(a, b)) if placed else F.lit(True))
 
     def verified(pairs: DataFrame) -> DataFrame:
         body = sets.select("rid", "n", "tokens")
@@ -110,21 +124,22 @@ def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
         return out.where("a <> b").distinct()
 
     # a dense group shares the smallest hash of its sets: one pair a document and hash joins most of it before prefixes are paired
-    heads = sets.select("rid", "n", F.size("tokens").alias("m"), "parts", F.posexplode("heads").alias("pos", "token"))
-    lead = heads.groupBy("pos", "token").agg(F.min_by(F.struct("rid", "n", "m", "parts"), F.struct("n", "rid")).alias("l"), F.count(F.lit(1)).alias("size")).where("size > 1").select("pos", "token", "l.*")
+    heads = sets.select("rid", "n", F.size("tokens").alias("m"), "sketch", F.posexplode("heads").alias("pos", "token"))
+    lead = heads.groupBy("pos", "token").agg(F.min_by(F.struct("rid", "n", "m", "sketch"), F.struct(F.col("n") - F.col("m"), "rid")).alias("l"), F.count(F.lit(1)).alias("size")).where("size > 1").select("pos", "token", "l.*")
     pairs = pair(heads.alias("x"), lead.alias("y"), (F.col("x.pos") == F.col("y.pos")) & (F.col("x.token") == F.col("y.token")), placed=False)
     found = staged(spark, verified(pairs), "links")
     label = staged(spark, components(spark, found), "labels")
-    for r in range(3):
+    for r in range(ROUNDS + 1):
         now = entries.join(label.withColumnRenamed("node", "rid"), "rid", "left").withColumn("comp", F.coalesce("component", "rid")).drop("component")
         open_groups = now.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("token")
         entries = now = staged(spark, now.join(open_groups, "token", "left_semi"), "open-entries")
         entries = entries.drop("comp")
         if not now.take(1):
             break
-        if r < 2:
-            order = F.struct("n", "rid") if r else F.struct(F.xxhash64("rid"), "rid")
-            lead = now.groupBy("token").agg(F.min_by(F.struct("rid", "n", "m", "parts", "pos", "comp"), order).alias("l")).select("token", "l.*")
+        if r < ROUNDS:
+            # a document with few shingles of its own lies amid its group and links with most of it
+            order = F.struct(F.ceil(F.log2(F.col("n") - F.col("m") + 1)), F.xxhash64("rid", F.lit(r)), "rid")
+            lead = now.groupBy("token").agg(F.min_by(F.struct("rid", "n", "m", "sketch", "pos", "comp"), order).alias("l")).select("token", "l.*")
             pairs = pair(now.alias("x"), lead.alias("y"), (F.col("x.token") == F.col("y.token")) & (F.col("x.comp") != F.col("y.comp")))
         else:
             pairs = pair(now.alias("x"), now.alias("y"), (F.col("x.token") == F.col("y.token")) & (F.col("x.comp") < F.col("y.comp")))
@@ -149,11 +164,11 @@ def similar(spark: SparkSession, df: DataFrame, n: int = 5, percent: int = 75, i
     told = census.owners(chunks.groupBy("chunk").applyInArrow(send, census.BLOB), census.chunk_counts)
     sets = staged(spark, chunks.groupBy("chunk").cogroup(told.groupBy("chunk")).applyInArrow(order, SETS), "sets")
     whole = F.col("n_shingles") == F.size("tokens")
-    some = sets.where("tokens is not null").select("doc_id", "n_shingles", "tokens", "parts", "heads", F.when(whole, F.sha2(F.to_binary(F.array_join(F.transform("tokens", lambda x: F.lpad(F.hex(x), 16, "0")), ""), F.lit("hex")), 256)).otherwise(F.concat(F.lit("doc "), F.col("doc_id").cast("string"))).alias("sig"))
+    some = sets.where("tokens is not null").select("doc_id", "n_shingles", "tokens", "sketch", "heads", F.when(whole, F.sha2(F.to_binary(F.array_join(F.transform("tokens", lambda x: F.lpad(F.hex(x), 16, "0")), ""), F.lit("hex")), 256)).otherwise(F.concat(F.lit("doc "), F.col("doc_id").cast("string"))).alias("sig"))
     ids = some.select("doc_id", "sig")
     rep = ids.groupBy("sig").agg(F.min("doc_id").alias("rid"))
     reps = some.join(rep.select(F.col("rid").alias("doc_id"), F.col("sig").alias("s2")), "doc_id").where("sig = s2").dropDuplicates(["doc_id"])
-    reps = staged(spark, reps.select(F.col("doc_id").alias("rid"), F.col("n_shingles").cast("int").alias("n"), "tokens", "parts", "heads"), "representatives")
+    reps = staged(spark, reps.select(F.col("doc_id").alias("rid"), F.col("n_shingles").cast("int").alias("n"), "tokens", "sketch", "heads"), "representatives")
     label = links(spark, reps, percent)
     member = staged(spark, ids.distinct().join(rep, "sig").select("doc_id", "rid"), "members")
     at = member.join(label.withColumnRenamed("node", "rid"), "rid", "left").select("doc_id", F.coalesce("component", "rid").alias("component"))
