@@ -24,10 +24,9 @@ def test_density():
 
 
 def test_border_entry_joins_but_does_not_connect():
-    m = np.array([[0.0], [1.0], [2.0]])
-    w = np.array([5.0, 0.5, 5.0])
-    assert D.density_clusters(w, m, np.zeros((3, 1)), 1.0, 5.2).tolist() == [0, 0, 0]
-    assert D.density_clusters(np.array([5.0, 0.1, 0.1]), m, np.zeros((3, 1)), 1.0, 5.15).tolist() == [0, 0, -1]
+    # entry 2 lies within reach of core 0, its own neighbourhood weighs 1.2; entry 3 reaches only it
+    m, w = np.array([[0.0], [-0.5], [1.0], [2.0]]), np.array([1.0, 5.0, 0.1, 0.1])
+    assert D.density_clusters(w, m, np.zeros((4, 1)), 1.0, 5.0).tolist() == [0, 0, 0, -1]
 
 
 def test_feature_likelihood_and_size():
