@@ -16,8 +16,7 @@ from stablecf.llm.common import staged
 def components(spark: SparkSession, edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, component): for every node of an edge the smallest node reachable; loops and repeats do no harm."""
     e = staged(spark, edges.where(F.col(a) != F.col(b)).select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).distinct(), "edges")
-    before = None
-    while True:
+    while not _stars(e):
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
@@ -26,10 +25,11 @@ def components(spark: SparkSession, edges: DataFrame, a: str = "a", b: str = "b"
         m = down.groupBy("u").agg(F.min("v").alias("m"))
         small = down.join(m, "u").select(F.col("v").alias("x"), "m").where("x <> m").unionByName(m.select(F.col("u").alias("x"), "m"))
         e = staged(spark, small.select(F.greatest("x", "m").alias("u"), F.least("x", "m").alias("v")).distinct(), "edges")
-        now = e.agg(F.count(F.lit(1)), F.sum("v"), F.sum(F.hash("u", "v").cast("long"))).first()
-        if now == before:
-            break
-        before = now
-    nodes = e.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("component"))
-    roots = e.select(F.col("v").alias("node")).distinct()
-    return nodes.unionByName(roots.join(nodes, "node", "left_anti").select("node", F.col("node").alias("component")))
+    return e.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())
+
+
+def _stars(e: DataFrame) -> bool:
+    """Whether every larger end has one edge and is no other edge's smaller end: then the smaller ends are the components."""
+    ends = e.select(F.col("u").alias("x"), F.lit(1).alias("up"), F.lit(0).alias("down")).unionByName(e.select(F.col("v").alias("x"), F.lit(0).alias("up"), F.lit(1).alias("down")))
+    bad = ends.groupBy("x").agg(F.sum("up").alias("up"), F.max("down").alias("down")).where("up > 1 or (up = 1 and down = 1)")
+    return bad.agg(F.count(F.lit(1))).first()[0] == 0

@@ -117,18 +117,30 @@ def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
         x = pairs.join(body.select(F.col("rid").alias("b"), F.col("n").alias("nb"), F.col("tokens").alias("tb")), "b")
         x = x.join(body.select(F.col("rid").alias("a"), F.col("n").alias("na"), F.col("tokens").alias("ta")), "a")
         both = F.size(F.array_intersect("ta", "tb"))
-        return x.where(F.lit(100) * both >= F.lit(percent) * (F.col("na") + F.col("nb") - both)).select("a", "b")
+        return x.where(F.lit(100) * both >= F.lit(percent) * (F.col("na") + F.col("nb") - both)).select(F.col("ca").alias("a"), F.col("cb").alias("b"))
 
     def pair(x: DataFrame, y: DataFrame, on: Column, placed: bool = True) -> DataFrame:
-        out = x.join(y, on).where(may("x", "y", placed)).select(F.least("x.rid", "y.rid").alias("a"), F.greatest("x.rid", "y.rid").alias("b"))
-        return out.where("a <> b").distinct()
+        ends = [F.struct(F.col(f"{s}.rid").alias("rid"), F.col(f"{s}.comp").alias("comp")) for s in ("x", "y")]
+        out = x.join(y, on).where(may("x", "y", placed)).select(F.least(*ends).alias("a"), F.greatest(*ends).alias("b"))
+        return out.select(F.col("a.rid").alias("a"), F.col("b.rid").alias("b"), F.col("a.comp").alias("ca"), F.col("b.comp").alias("cb")).where("a <> b").distinct()
+
+    def joined(pairs: DataFrame, label: DataFrame | None) -> DataFrame:
+        """``label`` after the links of ``pairs``: only the components they join are worked on."""
+        found = staged(spark, verified(pairs), "links")
+        if label is not None and not found.take(1):
+            return label
+        more = components(spark, found)
+        if label is None:
+            return staged(spark, more, "labels")
+        more = staged(spark, more, "joined-components")
+        old = label.join(more.select(F.col("node").alias("component"), F.col("component").alias("to")), "component", "left").select("node", F.coalesce("to", "component").alias("component"))
+        return staged(spark, old.unionByName(more.join(label, "node", "left_anti")), "labels")
 
     # a dense group shares the smallest hash of its sets: one pair a document and hash joins most of it before prefixes are paired
-    heads = sets.select("rid", "n", F.size("tokens").alias("m"), "sketch", F.posexplode("heads").alias("pos", "token"))
-    lead = heads.groupBy("pos", "token").agg(F.min_by(F.struct("rid", "n", "m", "sketch"), F.struct(F.col("n") - F.col("m"), "rid")).alias("l"), F.count(F.lit(1)).alias("size")).where("size > 1").select("pos", "token", "l.*")
+    heads = sets.select("rid", F.col("rid").alias("comp"), "n", F.size("tokens").alias("m"), "sketch", F.posexplode("heads").alias("pos", "token"))
+    lead = heads.groupBy("pos", "token").agg(F.min_by(F.struct("rid", "comp", "n", "m", "sketch"), F.struct(F.col("n") - F.col("m"), "rid")).alias("l"), F.count(F.lit(1)).alias("size")).where("size > 1").select("pos", "token", "l.*")
     pairs = pair(heads.alias("x"), lead.alias("y"), (F.col("x.pos") == F.col("y.pos")) & (F.col("x.token") == F.col("y.token")), placed=False)
-    found = staged(spark, verified(pairs), "links")
-    label = staged(spark, components(spark, found), "labels")
+    label = joined(pairs, None)
     for r in range(ROUNDS + 1):
         now = entries.join(label.withColumnRenamed("node", "rid"), "rid", "left").withColumn("comp", F.coalesce("component", "rid")).drop("component")
         open_groups = now.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("token")
@@ -143,8 +155,7 @@ def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
             pairs = pair(now.alias("x"), lead.alias("y"), (F.col("x.token") == F.col("y.token")) & (F.col("x.comp") != F.col("y.comp")))
         else:
             pairs = pair(now.alias("x"), now.alias("y"), (F.col("x.token") == F.col("y.token")) & (F.col("x.comp") < F.col("y.comp")))
-        found = found.unionByName(staged(spark, verified(pairs), "links"))
-        label = staged(spark, components(spark, found), "labels")
+        label = joined(pairs, label)
     return label
 
 
