@@ -113,6 +113,54 @@ def _pairs(spark, d, kind, form):
     return a.join(F.broadcast(b), F.col("a") < F.col("b")).select("a", "b", _r(B.distance(F.col("fa"), F.col("fb"), kind, form)).alias("value"))
 
 
+def q_stable_scalar(spark, d):
+    """One deviation for all axes: the sum of the vector form."""
+    cf = A.stable_agg(_li(spark, d), xy(), ["l_returnflag"])
+    return cf.select("l_returnflag", "w", _r(A.total(F.col("q")) / F.col("w")).alias("var"))
+
+
+def q_variance_form(spark, d):
+    """Features that store q / w; the merge of two status groups goes through q again."""
+    cf = A.stable_agg(_li(spark, d), xy(), ["l_returnflag", "l_linestatus"])
+    kept = cf.select("l_returnflag", "w", "m", F.transform("q", lambda q: q / F.col("w")).alias("v"))
+    back = kept.select("l_returnflag", "w", "m", F.transform("v", lambda v: v * F.col("w")).alias("q"))
+    out = A.stable_merge_agg(back, ["l_returnflag"], 2)
+    return out.select("l_returnflag", "w", *_axes(out))
+
+
+def q_feature_memory(spark, d):
+    """Values a feature of each form holds, by the number of axes."""
+    n = F.col("d")
+    return spark.range(1, 65).select(F.col("id").alias("d"), (n + 2).alias("scalar"), (2 * n + 1).alias("vector"), (1 + n + (n * (n + 1) / 2).cast("long")).alias("covariance"))
+
+
+def q_op_zscore(spark, d):
+    """Standardised prices, as counts and means of half-unit bins; the statistics are one row."""
+    li = _li(spark, d).select("x1")
+    st = li.agg(F.avg("x1").alias("a"), F.sqrt(F.var_pop("x1")).alias("s"))
+    z = li.join(F.broadcast(st)).select(((F.col("x1") - F.col("a")) / F.col("s")).alias("z"))
+    return z.groupBy(F.floor(F.col("z") * 2).cast("long").alias("bin")).agg(F.count(F.lit(1)).alias("n"), _r(F.avg("z")).alias("mean_z"))
+
+
+def q_op_topk_features(spark, d):
+    """The three heaviest price cells of each return flag."""
+    from pyspark.sql import Window
+
+    c = _li(spark, d).groupBy("l_returnflag", F.floor(F.col("x1") / 10).cast("long").alias("cell")).agg(F.count(F.lit(1)).alias("n"))
+    w = Window.partitionBy("l_returnflag").orderBy(F.desc("n"), "cell")
+    return c.withColumn("place", F.row_number().over(w).cast("long")).where("place <= 3")
+
+
+def q_op_join_semi(spark, d):
+    o, li = read(spark, d, "orders"), read(spark, d, "lineitem").where("l_returnflag = 'R'")
+    return o.join(li, F.col("o_orderkey") == F.col("l_orderkey"), "left_semi").groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("n"))
+
+
+def q_op_join_anti(spark, d):
+    o, li = read(spark, d, "orders"), read(spark, d, "lineitem").where("l_returnflag = 'R'")
+    return o.join(li, F.col("o_orderkey") == F.col("l_orderkey"), "left_anti").groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("n"))
+
+
 def q_nearest_feature(spark, d):
     p = _pairs(spark, d, "D4", "stable")
     both = p.unionByName(p.select(F.col("b").alias("a"), F.col("a").alias("b"), "value"))
@@ -316,7 +364,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return M.assign(rows, model).groupBy("comp").agg(F.count(F.lit(1)).alias("n"))
 
 
-_S = [q_stable_group, q_classic_group, q_stable_merge, q_stable_fold, q_stable_weighted, q_cov_feature, q_convert_roundtrip, q_cancel_minutes, q_nearest_feature, q_absorb_flags, q_hier_first_merge, q_cells, q_tree_conservation, q_tree_limits, q_estep("overlap"), q_estep("centre"), q_estep("expected"), q_mstep_diagonal, q_loglik, q_assign_hard, q_compression, q_rollup_features, q_win_running_feature, q_stream_window, q_stream_sliding, q_op_join_interval, q_op_join_asof]
+_S = [q_stable_group, q_classic_group, q_stable_merge, q_stable_fold, q_stable_weighted, q_cov_feature, q_convert_roundtrip, q_cancel_minutes, q_nearest_feature, q_absorb_flags, q_hier_first_merge, q_cells, q_tree_conservation, q_tree_limits, q_estep("overlap"), q_estep("centre"), q_estep("expected"), q_mstep_diagonal, q_loglik, q_assign_hard, q_compression, q_rollup_features, q_win_running_feature, q_stream_window, q_stream_sliding, q_op_join_interval, q_op_join_asof, q_stable_scalar, q_variance_form, q_feature_memory, q_op_zscore, q_op_topk_features, q_op_join_semi, q_op_join_anti]
 _ROWS = [q_cancel_flags, q_summary_leaves, q_w1_shift, q_w2_quality, q_w2_grid, q_w3_build, q_w5_real, q_w7_measures, q_w9_kernels, q_kmeans_cost, q_hier, *[_fit(f, s) for f, s in (("features_stable", "diagonal"), ("features_stable", "spherical"), ("features_classic", "spherical"), ("points_textbook", "spherical"), ("points_stable", "diagonal"))]]
 
 
@@ -408,6 +456,15 @@ def oracle_sql() -> dict[str, str]:
         "q_op_join_interval": "SELECT count(*) AS n, round(avg(l_quantity), 4) + 0.0 AS mean_qty FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_shipdate BETWEEN o_orderdate AND o_orderdate + INTERVAL 90 DAY",
         "q_op_join_asof": "SELECT e.event_id, epoch_us(v.ts) AS view_us FROM (SELECT * FROM events WHERE event_type = 'error') e ASOF LEFT JOIN (SELECT user_id, ts FROM events WHERE event_type = 'view') v ON e.user_id = v.user_id AND e.ts >= v.ts",
     }
+    out |= {
+        "q_stable_scalar": f"WITH {LI} SELECT l_returnflag, CAST(count(*) AS DOUBLE) AS w, round(var_pop(x0) + var_pop(x1), 4) + 0.0 AS var FROM li GROUP BY 1",
+        "q_variance_form": _two_pass("li", "l_returnflag"),
+        "q_feature_memory": "SELECT d, d + 2 AS scalar, 2 * d + 1 AS vector, 1 + d + d * (d + 1) // 2 AS covariance FROM range(1, 65) t(d)",
+        "q_op_zscore": f"WITH {LI}, s AS (SELECT avg(x1) AS a, stddev_pop(x1) AS s FROM li), z AS (SELECT (x1 - a) / s AS z FROM li, s) SELECT CAST(floor(z * 2) AS BIGINT) AS bin, count(*) AS n, round(avg(z), 4) + 0.0 AS mean_z FROM z GROUP BY 1",
+        "q_op_topk_features": f"WITH {LI}, c AS (SELECT l_returnflag, CAST(floor(x1 / 10) AS BIGINT) AS cell, count(*) AS n FROM li GROUP BY 1, 2) SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY l_returnflag ORDER BY n DESC, cell) AS place FROM c) WHERE place <= 3",
+        "q_op_join_semi": "SELECT o_orderpriority, count(*) AS n FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem WHERE l_returnflag = 'R') GROUP BY 1",
+        "q_op_join_anti": "SELECT o_orderpriority, count(*) AS n FROM orders WHERE o_orderkey NOT IN (SELECT l_orderkey FROM lineitem WHERE l_returnflag = 'R') GROUP BY 1",
+    }
     for k in ("overlap", "centre", "expected"):
         out[f"q_estep_{k}"] = f"WITH {_estep_sql(k)} SELECT g, " + ", ".join(f"round(sum(CASE WHEN comp = {i} THEN r END), 6) + 0.0 AS r{i}" for i in range(3)) + " FROM r GROUP BY g"
     for k in B.KINDS:
