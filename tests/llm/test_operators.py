@@ -263,3 +263,18 @@ def test_pipeline_small(spark):
     kept = corpus_pipeline.drop_contaminated(spark, corpus_pipeline.drop_copies(spark, d, sf), sf)
     assert kept.columns == d.columns and 0 < kept.count() < d.count()
     assert corpus_pipeline.run(spark, sf).select("doc_id").distinct().count() <= kept.count()
+
+
+def test_components_of_chains_loops_and_stars(spark):
+    import random
+
+    from stablecf.llm.components import components
+
+    rng = random.Random(3)
+    chain = [(i, i + 1) for i in range(100, 140)]
+    edges = chain + chain[:5] + [(7, 7), (1, 50), (1, 51), (1, 52), (60, 61), (62, 61), (62, 60)]
+    rng.shuffle(edges)
+    got = {r.node: r.component for r in components(spark, spark.createDataFrame(edges, "a long, b long")).collect()}
+    want = {i: 100 for i in range(100, 141)} | {1: 1, 50: 1, 51: 1, 52: 1, 60: 60, 61: 60, 62: 60}
+    assert got == want
+    assert components(spark, spark.createDataFrame([], "a long, b long")).count() == 0
