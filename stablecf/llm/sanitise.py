@@ -5,11 +5,13 @@ numbers, found by four fixed patterns.  Corpus counts then estimate how much a
 nearby term reveals of an entity: with n(t), n(e), n(t, e) the documents that
 hold the term, the entity, and the term within ``reach`` words of the entity,
 
-    pmi(t; e) = log2(N * n(t, e) / (n(t) * n(e))),   share = pmi / log2(N / n(e)).
+    p(e | t) = (n(t, e) + prior * n(e) / N) / (n(t) + prior),
+    pmi(t; e) = log2(p(e | t) * N / n(e)),   share = pmi / log2(N / n(e)).
 
 A share of 1 means that the term names the entity as well as the entity itself.
-Terms with ``share >= disclosure``, seen in at least ``support`` documents and
-contexts with the entity, are removed (or generalised to their kind) wherever they stand near it.
+``prior`` documents of the entity's base rate stand in for what was not seen, so
+that entities of one or two documents are judged too, with no least count.
+Terms with ``share >= disclosure`` are removed (or generalised to their kind) wherever they stand near it.
 
 Defined results: null text is empty; matches are leftmost and do not overlap
 within a kind, a match that fails its check is dropped without a retry; offsets
@@ -104,13 +106,20 @@ def nearby_terms(found: DataFrame, reach: int, width: int) -> DataFrame:
     return one.select("doc_id", "entity", "context", F.explode(both).alias("t")).select("doc_id", "entity", "context", F.lower("t.value").alias("term"), F.col("t.at").alias("start"), (F.col("t.at") + F.length("t.value")).alias("end"))
 
 
+def share(total: int, prior: float) -> Column:
+    """What the term tells of the entity, as a share of the entity's information; of (nt, ne, nte)."""
+    given = (F.col("nte") + F.lit(prior) * F.col("ne") / F.lit(float(total))) / (F.col("nt") + F.lit(prior))
+    info = F.log2(F.lit(float(total)) / F.col("ne"))
+    return (F.log2(given) + info) / info
+
+
 def sanitise(
     spark: SparkSession,
     df: DataFrame,
     id_col: str = "doc_id",
     text_col: str = "text",
     disclosure: float = 0.8,
-    support: int = 3,
+    prior: float = 2.0,
     reach: int = 8,
     width: int = 160,
     generalise: bool = True,
@@ -123,18 +132,13 @@ def sanitise(
     near = staged(spark, nearby_terms(found, reach, width), "pii-context")
     has = kept.where(F.size("spans") > 0)
     total = max(1, kept.count())
-    # a context that copies repeat counts once; an entity's documents are counted the same way
-    pairs = near.groupBy("entity", "term", "context").agg(F.count(F.lit(1)).alias("n")).groupBy("entity", "term").agg(F.count(F.lit(1)).alias("contexts")).where(F.col("contexts") >= support)
-    nte = near.join(pairs, ["entity", "term"], "left_semi").select("entity", "term", "doc_id").distinct().groupBy("entity", "term").agg(F.count(F.lit(1)).alias("nte"))
-    nte = staged(spark, nte.where(F.col("nte") >= support), "pii-pairs")
+    nte = staged(spark, near.select("entity", "term", "doc_id").distinct().groupBy("entity", "term").agg(F.count(F.lit(1)).alias("nte")), "pii-pairs")
     ne = has.select("doc_id", F.explode("spans").alias("s")).select("doc_id", F.concat_ws(":", "s.kind", F.lower("s.value")).alias("entity")).distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("ne"))
     terms = nte.select("term").distinct()
     words = docs.select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
     # an inner join stays above the aggregate: words are counted in their tasks first, and only counts are joined
     nt = words.groupBy("term").agg(F.count(F.lit(1)).alias("nt")).join(terms, "term") if nte.take(1) else terms.select("term", F.lit(1).cast("long").alias("nt"))
-    info = F.log2(F.lit(float(total)) / F.col("ne"))
-    pmi = F.log2(F.lit(float(total)) * F.col("nte") / (F.col("nt") * F.col("ne")))
-    leaks = nte.join(nt, "term").join(ne, "entity").where((F.col("ne") < total) & (pmi >= F.lit(disclosure) * info)).select("entity", "term")
+    leaks = nte.join(nt, "term").join(ne, "entity").where((F.col("ne") < total) & (share(total, prior) >= F.lit(disclosure))).select("entity", "term")
     more = near.join(leaks, ["entity", "term"], "left_semi").groupBy("doc_id").agg(F.collect_set(F.struct("start", F.lit(len(KINDS)).alias("k"), "end", F.lit("term").alias("kind"), F.col("term").alias("value"))).alias("more"))
     out = kept.join(more, "doc_id", "left")
     # a term inside a base span is covered by it already

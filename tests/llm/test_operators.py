@@ -143,6 +143,13 @@ def test_sanitise(spark, docs, empty):
     assert not found[100]["spans"]
 
 
+def test_sanitise_rare_entity(spark):
+    rows = [(0, "other people write: Zorblax writes to zed@corp.example today")] + [(100 + i, "other people write to nobody today, words only") for i in range(400)]
+    found = {r.doc_id: r for r in sanitise.sanitise(spark, spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    values = {s["value"] for s in found[0]["spans"]}
+    assert "zorblax" in values and not values & {"other", "people", "today"} and "Zorblax" not in found[0]["sanitised"] and not found[100]["spans"]
+
+
 def test_licences(spark, docs, empty):
     got = {r.doc_id: r for r in licences.scan_documents(spark, docs).collect()}
     assert got[42].base_labels == "mit" and got[42].labels == "gpl-3,mit" and got[42].n_base == 1 and got[42].score == 1
