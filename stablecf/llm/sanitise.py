@@ -2,8 +2,8 @@
 
 Protected entities are e-mail addresses, IP numbers, payment cards and phone
 numbers, found by four fixed patterns.  Corpus counts then estimate how much a
-nearby term reveals of an entity: with n(t), n(e), n(t, e) the documents that
-hold the term, the entity, and the term within ``reach`` words of the entity,
+term reveals of an entity: with n(t), n(e), n(t, e) the documents that hold the
+term, the entity, and both, wherever they stand in them,
 
     p(e | t) = (n(t, e) + prior * n(e) / N) / (n(t) + prior),
     pmi(t; e) = log2(p(e | t) * N / n(e)),   share = pmi / log2(N / n(e)).
@@ -11,7 +11,8 @@ hold the term, the entity, and the term within ``reach`` words of the entity,
 A share of 1 means that the term names the entity as well as the entity itself.
 ``prior`` documents of the entity's base rate stand in for what was not seen, so
 that entities of one or two documents are judged too, with no least count.
-Terms with ``share >= disclosure`` are removed (or generalised to their kind) wherever they stand near it.
+Terms with ``share >= disclosure`` are removed (or generalised to their kind)
+at every place of every text, also where the entity itself does not stand.
 
 Defined results: null text is empty; matches are leftmost and do not overlap
 within a kind, a match that fails its check is dropped without a retry; offsets
@@ -21,6 +22,8 @@ spans and count as one document; empty tables give empty results.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,7 +38,8 @@ KINDS = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 HINTS = {"email": "@", "ip": ".", "card": None, "phone": "+"}
-TERM = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]{4,}+"
+CHARACTER = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]"
+TERM = CHARACTER + "{4,}+"
 
 
 def _luhn(digits: Column) -> Column:
@@ -59,10 +63,11 @@ def _valid(kind: str, m: Column) -> Column:
     return F.lit(True)
 
 
-def _placed(text: str, pattern: str) -> Column:
+def _placed(text: str, pattern: str | Column) -> Column:
     """array<struct(start, value)> of the matches: the gaps between them give their places."""
+    pattern = F.lit(pattern) if isinstance(pattern, str) else pattern
     none = F.expr("cast(array() as array<struct<at:int, value:string>>)")
-    found, gaps = F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), F.split(text, pattern, -1)
+    found, gaps = F.regexp_extract_all(text, pattern, F.lit(0)), F.split(text, pattern, -1)
     zero = F.struct(F.lit(0).alias("end"), none.alias("out"))
 
     def step(acc: Column, x: Column) -> Column:
@@ -93,17 +98,25 @@ def _spans_of(kind: str) -> Column:
     return F.transform(ok, lambda x: F.struct(x["at"].alias("start"), F.lit(i).alias("k"), (x["at"] + F.length(x["value"])).alias("end"), F.lit(kind).alias("kind"), x["value"].alias("value")))
 
 
-def nearby_terms(found: DataFrame, reach: int, width: int) -> DataFrame:
-    """(doc_id, entity, term, start, end, context): terms within ``reach`` words and ``width`` characters on either side of a span."""
-    one = found.where(F.size("spans") > 0).select("doc_id", "text", F.explode("spans").alias("s"))
-    left = F.substr("text", F.greatest(F.col("s.start") - width, F.lit(0)) + 1, F.least(F.col("s.start"), F.lit(width)))
-    right = F.substr("text", F.col("s.end") + 1, F.lit(width))
-    one = one.select("doc_id", F.concat_ws(":", "s.kind", F.lower("s.value")).alias("entity"), left.alias("l"), right.alias("r"), F.col("s.start").alias("s0"), F.col("s.end").alias("s1"))
-    one = one.select("doc_id", "entity", "s0", "s1", F.length("l").alias("ln"), F.xxhash64("l", "r").alias("context"), _placed("l", TERM).alias("lt"), _placed("r", TERM).alias("rt"))
-    lt = F.transform(F.slice("lt", -F.least(F.lit(reach), F.size("lt")), F.least(F.lit(reach), F.size("lt"))), lambda x: F.struct((x["at"] + F.col("s0") - F.col("ln")).alias("at"), x["value"].alias("value")))
-    rt = F.transform(F.slice("rt", F.lit(1), F.lit(reach)), lambda x: F.struct((x["at"] + F.col("s1")).alias("at"), x["value"].alias("value")))
-    both = F.concat(F.when(F.size("lt") > 0, lt).otherwise(F.expr("cast(array() as array<struct<at:int, value:string>>)")), rt)
-    return one.select("doc_id", "entity", "context", F.explode(both).alias("t")).select("doc_id", "entity", "context", F.lower("t.value").alias("term"), F.col("t.at").alias("start"), (F.col("t.at") + F.length("t.value")).alias("end"))
+def terms_of(text: str) -> Column:
+    """The different terms of a text, in lower case."""
+    return F.array_distinct(F.transform(F.regexp_extract_all(text, F.lit(TERM), F.lit(0)), F.lower))
+
+
+def sieve(spark: SparkSession, keys: DataFrame, key: str) -> Callable[[Column], Column]:
+    """A test that every value of ``key`` passes, and of other values at most about one in 16 while there are under 4 million keys.
+
+    It only thins rows before a join on the keys.  The bits are one array, 8 MB at most, built from rows of 4096 longs.
+    """
+    bits = min(1 << 26, max(1 << 16, 1 << (16 * keys.count()).bit_length()))
+    bit = lambda c: F.pmod(F.xxhash64(c), F.lit(bits))
+    word = lambda c: F.shiftright(bit(c), 6).cast("int")
+    mask = lambda c: F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(bit(c), F.lit(64)).cast("int"))
+    words = keys.select(word(F.col(key)).alias("w"), mask(F.col(key)).alias("b")).groupBy("w").agg(F.bit_or("b").alias("b"))
+    words = spark.range(bits >> 6).select(F.col("id").cast("int").alias("w")).join(words, "w", "left").select("w", F.coalesce("b", F.lit(0).cast("long")).alias("b"))
+    parts = words.groupBy(F.shiftright("w", 12).alias("p")).agg(F.transform(F.array_sort(F.collect_list(F.struct("w", "b"))), lambda x: x["b"]).alias("bs"))
+    whole = staged(spark, parts.agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("p", "bs"))), lambda x: x["bs"])).alias("bits")), "pii-sieve").scalar()
+    return lambda c: whole[word(c)].bitwiseAND(mask(c)) != 0
 
 
 def share(total: int, prior: float) -> Column:
@@ -113,6 +126,25 @@ def share(total: int, prior: float) -> Column:
     return (F.log2(given) + info) / info
 
 
+def leaking_terms(spark: SparkSession, docs: DataFrame, total: int, disclosure: float, prior: float) -> DataFrame:
+    """(term): the terms that reveal some entity, by counts over whole documents."""
+    entities = F.array_distinct(F.transform("spans", lambda s: F.concat_ws(":", s["kind"], F.lower(s["value"]))))
+    has = base_spans(docs).where(F.size("spans") > 0).select("doc_id", entities.alias("entities"), terms_of("text").alias("terms"))
+    has = staged(spark, has, "pii-documents")
+    ne = staged(spark, has.select("doc_id", F.explode("entities").alias("entity")).distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("ne")), "pii-entities")
+    most = ne.where(F.col("ne") < total).agg(F.max("ne")).first()[0]
+    if most is None:
+        return staged(spark, has.select(F.explode("terms").alias("term")).where("false"), "pii-leaks")
+    # nte <= ne, so a term of more documents than this reveals nothing: no pair of it is made
+    limit = lambda ne: F.pow(F.lit(float(total)) / ne, F.lit(1 - disclosure)) * ne * (1 + prior / total) - F.lit(prior) + 1e-6
+    nt = docs.select(F.explode(terms_of("text")).alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("nt"))
+    nt = staged(spark, nt.where(F.col("nt") <= limit(F.lit(float(most)))), "pii-rare-terms")
+    pairs = has.select("doc_id", "entities", F.explode("terms").alias("term")).join(nt, "term").select("doc_id", "term", "nt", F.explode("entities").alias("entity"))
+    pairs = pairs.join(ne.where(F.col("ne") < total), "entity").where(F.col("nt") <= limit(F.col("ne")))
+    pairs = pairs.select("doc_id", "term", "entity", "nt", "ne").distinct().groupBy("entity", "term", "nt", "ne").agg(F.count(F.lit(1)).alias("nte"))
+    return staged(spark, pairs.where(share(total, prior) >= F.lit(disclosure)).select("term").distinct(), "pii-leaks")
+
+
 def sanitise(
     spark: SparkSession,
     df: DataFrame,
@@ -120,30 +152,25 @@ def sanitise(
     text_col: str = "text",
     disclosure: float = 0.8,
     prior: float = 2.0,
-    reach: int = 8,
-    width: int = 160,
     generalise: bool = True,
     with_text: bool = True,
 ) -> DataFrame:
     """(doc_id, spans[, sanitised]): base spans and the method's ``term`` spans; the text with each span replaced by its kind or removed."""
     docs = ids_and_texts(df, id_col, text_col)
-    found = base_spans(docs)
-    kept = staged(spark, found.select("doc_id", "spans"), "pii-spans")
-    near = staged(spark, nearby_terms(found, reach, width), "pii-context")
-    has = kept.where(F.size("spans") > 0)
-    total = max(1, kept.count())
-    nte = staged(spark, near.select("entity", "term", "doc_id").distinct().groupBy("entity", "term").agg(F.count(F.lit(1)).alias("nte")), "pii-pairs")
-    ne = has.select("doc_id", F.explode("spans").alias("s")).select("doc_id", F.concat_ws(":", "s.kind", F.lower("s.value")).alias("entity")).distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("ne"))
-    terms = nte.select("term").distinct()
-    words = docs.select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
-    # an inner join stays above the aggregate: words are counted in their tasks first, and only counts are joined
-    nt = words.groupBy("term").agg(F.count(F.lit(1)).alias("nt")).join(terms, "term") if nte.take(1) else terms.select("term", F.lit(1).cast("long").alias("nt"))
-    leaks = nte.join(nt, "term").join(ne, "entity").where((F.col("ne") < total) & (share(total, prior) >= F.lit(disclosure))).select("entity", "term")
-    more = near.join(leaks, ["entity", "term"], "left_semi").groupBy("doc_id").agg(F.collect_set(F.struct("start", F.lit(len(KINDS)).alias("k"), "end", F.lit("term").alias("kind"), F.col("term").alias("value"))).alias("more"))
-    out = kept.join(more, "doc_id", "left")
+    total = max(1, docs.count())
+    leaks = leaking_terms(spark, docs, total, disclosure, prior)
+    passes = sieve(spark, leaks, "term")
+    # words as they are written, so that a pattern of them finds a document's places without regard to case rules
+    words = docs.select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all("text", F.lit(TERM), F.lit(0)))).alias("word"))
+    words = words.select("doc_id", "word", F.lower("word").alias("term")).where(passes(F.col("term"))).join(leaks, "term")
+    words = words.groupBy("doc_id").agg(F.collect_set("word").alias("words"))
+    out = base_spans(docs).join(words, "doc_id", "left")
+    pattern = F.concat(F.lit(f"(?<!{CHARACTER})(?:"), F.array_join("words", "|"), F.lit(f")(?!{CHARACTER})"))
+    out = out.withColumn("placed", F.when(F.col("words").isNotNull(), _placed("text", pattern)).otherwise(F.expr("cast(array() as array<struct<at:int, value:string>>)")))
+    more = F.transform("placed", lambda x: F.struct(x["at"].alias("start"), F.lit(len(KINDS)).alias("k"), (x["at"] + F.length(x["value"])).alias("end"), F.lit("term").alias("kind"), F.lower(x["value"]).alias("value")))
     # a term inside a base span is covered by it already
-    extra = F.filter("more", lambda t: ~F.exists("spans", lambda s: (t["start"] < s["end"]) & (s["start"] < t["end"])))
-    out = out.select("doc_id", "spans", F.array_sort(F.concat("spans", F.coalesce(extra, F.expr("cast(array() as array<struct<start:int, k:int, end:int, kind:string, value:string>>)")))).alias("all_spans"))
+    extra = F.filter(more, lambda t: ~F.exists("spans", lambda s: (t["start"] < s["end"]) & (s["start"] < t["end"])))
+    out = out.select("doc_id", "text", "spans", F.array_sort(F.concat("spans", extra)).alias("all_spans"))
     if not with_text:
         return out.select(id_back(), F.col("spans").alias("base"), F.col("all_spans").alias("spans"))
     zero = F.struct(F.lit(0).alias("end"), F.lit("").alias("out"))
@@ -155,7 +182,7 @@ def sanitise(
         return F.struct(F.greatest(acc["end"], s["end"]).alias("end"), new.alias("out"))
 
     clean = F.aggregate("all_spans", zero, cut, lambda a: F.concat(a["out"], F.substr("text", a["end"] + 1, F.length("text"))))
-    return docs.dropDuplicates().join(out, "doc_id").select(id_back(), F.col("spans").alias("base"), F.col("all_spans").alias("spans"), clean.alias("sanitised"))
+    return out.select(id_back(), F.col("spans").alias("base"), F.col("all_spans").alias("spans"), clean.alias("sanitised"))
 
 
 def digest(found: DataFrame) -> DataFrame:

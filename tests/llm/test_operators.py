@@ -150,6 +150,16 @@ def test_sanitise_rare_entity(spark):
     assert "zorblax" in values and not values & {"other", "people", "today"} and "Zorblax" not in found[0]["sanitised"] and not found[100]["spans"]
 
 
+def test_sanitise_whole_documents(spark):
+    rows = [(0, "ZORBLAX head. " + "other people write words today " * 60 + "mail zed@corp.example " + "other people write " * 60 + "signed Zorblax"), (1, "Zorblax has no address here"), (None, "zorblax"), (None, "zorblaxes")]
+    d = spark.createDataFrame(rows + [(100 + i, "other people write to nobody today, words only, mail address here") for i in range(6000)], "doc_id long, text string")
+    found = sanitise.sanitise(spark, d).where("doc_id < 100 or doc_id is null").collect()
+    at = {i: sorted((s["start"], s["end"]) for r in found if r.doc_id == i for s in r["spans"] if s["value"] == "zorblax") for i in (0, 1, None)}
+    n = len(rows[0][1])
+    assert at == {0: [(0, 7), (n - 7, n)], 1: [(0, 7)], None: [(0, 7)]}
+    assert {r.sanitised for r in found if r.doc_id is None} == {"[TERM]", "zorblaxes"} and "zorblax" not in "".join(r.sanitised.lower() for r in found if r.doc_id is not None)
+
+
 def test_licences(spark, docs, empty):
     got = {r.doc_id: r for r in licences.scan_documents(spark, docs).collect()}
     assert got[42].base_labels == "mit" and got[42].labels == "gpl-3,mit" and got[42].n_base == 1 and got[42].score == 1
