@@ -24,7 +24,7 @@ def _rows(spark: SparkSession, rows: list[tuple]) -> DataFrame:
     return spark.createDataFrame([(a, b, float(c), d, float(e)) for a, b, c, d, e in rows], SCHEMA)
 
 
-def shift_sweep(spark: SparkSession, n: int = 20000, shifts=(0.0, 1e3, 1e5, 1e6, 5e6, 1e7, 2e7, 5e7, 1e8), cap: int = 500) -> DataFrame:
+def shift_sweep(spark: SparkSession, n: int = 150_000, shifts=(0.0, 1e3, 1e5, 1e6, 5e6, 1e7, 2e7, 5e7, 1e8), cap: int = 5000, iters: int = 100) -> DataFrame:
     """Mean log-likelihood of four spherical methods and the error of their mean variance, by shift."""
     out = []
     truth = (16 / 9 + 1 + 9 / 16) / 3
@@ -34,18 +34,18 @@ def shift_sweep(spark: SparkSession, n: int = 20000, shifts=(0.0, 1e3, 1e5, 1e6,
         for method in ("points-textbook", "points-stable", "features-classic", "features-stable"):
             kind, form = method.split("-")
             if kind == "points":
-                model = M.fit_rows(rows, 2, "spherical", form, max_iter=10, model=begin)
+                model = M.fit_rows(rows, 2, "spherical", form, max_iter=iters, model=begin)
             else:
                 cf = collect(summarize(rows, TreeConfig(leaf_cap=cap, form=form), parts=2))
-                model = M.fit_features(*(np.nan_to_num(x) for x in cf), 2, "spherical", max_iter=10, model=begin)
+                model = M.fit_features(*(np.nan_to_num(x) for x in cf), 2, "spherical", max_iter=iters, model=begin)
             ll = M.loglik(rows, model).first()["mean_ll"]
             out += [("shift", method, s, "mean_ll", ll), ("shift", method, s, "variance_error", abs(float(model.var.mean()) - truth) / truth)]
         rows.unpersist()
     return _rows(spark, out)
 
 
-def quality(spark: SparkSession, source: DataFrame, axes: list, ks=(2, 5, 10), cap: int = 1000, iters: int = 30, name: str = "quality") -> DataFrame:
-    """Log-likelihood and total time of five methods, build time, entries and compression, by k."""
+def quality(spark: SparkSession, source: DataFrame, axes: list, ks=(2, 5, 10, 20), cap: int = 5000, iters: int = 100, name: str = "quality", rows_k: int | None = None) -> DataFrame:
+    """Log-likelihood and total time of five methods, build time, entries and compression, by k; EM on rows up to ``rows_k`` only, if given."""
     out = []
     rows = project(source, axes).persist()
     n = rows.count()
@@ -57,6 +57,8 @@ def quality(spark: SparkSession, source: DataFrame, axes: list, ks=(2, 5, 10), c
     build = {m: v for _, m, _, x, v in out if x == "build_s"}
     for k in ks:
         for method, shape in (("points-stable", "diagonal"), ("points-stable", "spherical"), ("features-stable", "diagonal"), ("features-stable", "spherical"), ("features-classic", "spherical")):
+            if method.startswith("points") and rows_k is not None and k > rows_k:
+                continue
             t = time.time()
             if method.startswith("points"):
                 model = M.fit_rows(rows, k, shape, "stable", max_iter=iters)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -309,7 +310,7 @@ def _fit(form, shape):
     def q(spark, d):
         rows = project(_li(spark, d), xy())
         if form.startswith("points"):
-            model = M.fit_rows(rows, 5, shape, form.split("_")[1], max_iter=15)
+            model = M.fit_rows(rows, 5, shape, form.split("_")[1])
         else:
             model = M.fit_features(*collect(summarize(rows, TreeConfig(leaf_cap=500, form=form.split("_")[1]), parts=4)), 5, shape)
         return M.loglik(rows, model)
@@ -319,15 +320,16 @@ def _fit(form, shape):
 
 
 def q_w1_shift(spark, d):
-    return W.shift_sweep(spark, n=5000, shifts=(0.0, 1e6, 1e7, 2e7, 1e8), cap=200)
+    return W.shift_sweep(spark)
 
 
 def q_w2_quality(spark, d):
-    return W.quality(spark, read(spark, d, "lineitem"), W.lineitem_axes(), ks=(2, 5), cap=500, iters=15)
+    return W.quality(spark, read(spark, d, "lineitem"), W.lineitem_axes())
 
 
 def q_w2_grid(spark, d):
-    return W.quality(spark, G.grid(spark, 0.01), [F.col("x_0"), F.col("x_1")], ks=(10,), cap=1000, iters=15, name="grid")
+    each = [W.quality(spark, G.grid(spark, m), [F.col("x_0"), F.col("x_1")], ks=(10, 20, 100), name=f"grid-{m}") for m in (0.01, 0.1, 1.0)]
+    return reduce(DataFrame.unionByName, each)
 
 
 def q_w3_build(spark, d):
@@ -336,7 +338,7 @@ def q_w3_build(spark, d):
 
 def q_w5_real(spark, d):
     o = read(spark, d, "orders")
-    return W.quality(spark, o, [F.unix_micros(F.col("o_orderdate").cast("timestamp")) / 86400e6, F.col("o_totalprice") / 1000], ks=(2, 10), cap=1000, iters=15, name="real-like")
+    return W.quality(spark, o, [F.unix_micros(F.col("o_orderdate").cast("timestamp")) / 86400e6, F.col("o_totalprice") / 1000], ks=(2, 5, 10, 20, 50, 100), cap=15_000, name="real-like", rows_k=50)
 
 
 def q_w7_measures(spark, d):
