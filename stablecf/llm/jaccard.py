@@ -36,6 +36,8 @@ from stablecf.llm.common import NO_ID, chunked, id_back, ids_and_texts, ship, st
 from stablecf.llm.components import components
 
 HEADS = 4
+#: Keys of an id's further sets start here; stored ids are smaller.
+MORE = 1 << 62
 #: Longs of a parity sketch: bit i is the parity of how many shared shingles hash to i.
 WORDS = 8
 #: Rounds with one leader a token before the exhaustive one.
@@ -175,14 +177,28 @@ def similar(spark: SparkSession, df: DataFrame, n: int = 5, percent: int = 75, i
     told = census.owners(chunks.groupBy("chunk").applyInArrow(send, census.BLOB), census.chunk_counts)
     sets = staged(spark, chunks.groupBy("chunk").cogroup(told.groupBy("chunk")).applyInArrow(order, SETS), "sets")
     whole = F.col("n_shingles") == F.size("tokens")
-    some = sets.where("tokens is not null").select("doc_id", "n_shingles", "tokens", "sketch", "heads", F.when(whole, F.sha2(F.to_binary(F.array_join(F.transform("tokens", lambda x: F.lpad(F.hex(x), 16, "0")), ""), F.lit("hex")), 256)).otherwise(F.concat(F.lit("doc "), F.col("doc_id").cast("string"))).alias("sig"))
+    # a document with shingles of its own stands for itself: its id and set are its key, as rows that share an id may differ
+    digest = F.sha2(F.to_binary(F.array_join(F.transform("tokens", lambda x: F.lpad(F.hex(x), 16, "0")), ""), F.lit("hex")), 256)
+    some = sets.where("tokens is not null").select("doc_id", "n_shingles", "tokens", "sketch", "heads", F.when(whole, digest).otherwise(F.concat(F.lit("doc "), F.col("doc_id").cast("string"), F.concat_ws(" ", F.lit(""), "n_shingles", digest))).alias("sig"))
     ids = some.select("doc_id", "sig")
-    rep = ids.groupBy("sig").agg(F.min("doc_id").alias("rid"))
-    reps = some.join(rep.select(F.col("rid").alias("doc_id"), F.col("sig").alias("s2")), "doc_id").where("sig = s2").dropDuplicates(["doc_id"])
-    reps = staged(spark, reps.select(F.col("doc_id").alias("rid"), F.col("n_shingles").cast("int").alias("n"), "tokens", "sketch", "heads"), "representatives")
+    rep = staged(spark, ids.groupBy("sig").agg(F.min("doc_id").alias("doc_id")), "keys")
+    # the first set of an id has the id as its key; more sets of it have keys above all ids
+    repeated = staged(spark, rep.groupBy("doc_id").agg(F.min("sig").alias("first"), F.count(F.lit(1)).alias("sets")).where("sets > 1"), "repeated-ids")
+    key = F.when(F.coalesce(F.col("sig") == F.col("first"), F.lit(True)), F.col("doc_id")).otherwise(F.pmod(F.xxhash64("sig"), F.lit(MORE - 1)) + F.lit(MORE))
+    rep = rep.join(repeated, "doc_id", "left").select("sig", "doc_id", key.alias("rid"))
+    reps = some.join(rep.select("doc_id", "rid", F.col("sig").alias("s2")), "doc_id").where("sig = s2").dropDuplicates(["rid"])
+    reps = staged(spark, reps.select("rid", F.col("n_shingles").cast("int").alias("n"), "tokens", "sketch", "heads"), "representatives")
     label = links(spark, reps, percent)
-    member = staged(spark, ids.distinct().join(rep, "sig").select("doc_id", "rid"), "members")
+    member = staged(spark, ids.distinct().join(rep.select("sig", "rid"), "sig").select("doc_id", "rid"), "members")
     at = member.join(label.withColumnRenamed("node", "rid"), "rid", "left").select("doc_id", F.coalesce("component", "rid").alias("component"))
-    out = sets.select("doc_id", "n_shingles").join(at.groupBy("doc_id").agg(F.min("component").alias("component")), "doc_id", "left")
+    several = at.groupBy("doc_id").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("doc_id", "lo")
+    several = staged(spark, at.join(several, "doc_id").select(F.col("component").alias("a"), F.col("lo").alias("b")).distinct(), "sets-of-an-id")
+    if several.take(1):
+        # sets of one id belong together, and so do the documents that each of them links
+        more = staged(spark, components(spark, several), "components-of-ids")
+        at = at.join(more.select(F.col("node").alias("component"), F.col("component").alias("to")), "component", "left").select("doc_id", F.coalesce("to", "component").alias("component"))
+    at = at.groupBy("doc_id").agg(F.min("component").alias("component"))
+    # a key above all ids is the smallest only where null ids link with nothing else
+    out = sets.select("doc_id", "n_shingles").join(at.select("doc_id", F.when(F.col("component") >= MORE, F.lit(NO_ID)).otherwise(F.col("component")).alias("component")), "doc_id", "left")
     comp = F.coalesce("component", "doc_id")
     return out.select(id_back(), "n_shingles", F.when(comp != NO_ID, comp).alias("component_id"))

@@ -129,6 +129,18 @@ def test_decontaminate(spark, docs, empty):
     assert all(not r[5] for r in run(docs, bench.where("false")))
 
 
+def test_jaccard_rows_that_share_an_id(spark):
+    word = lambda p, n: " ".join(f"{p}{i}" for i in range(n))
+    for ids in ((None, None), (90, 90)):
+        rows = []
+        for g in range(4):  # rows of ids share an id, each linked with its own two documents, which link through it alone
+            x, y = word(f"g{g}x", 200), f" {word(f'g{g}y', 20)}"
+            rows += [(ids[0], x + f" own{g}"), (10 * g + 5, x + y + f" {word(f'p{g}', 20)}"), (10 * g + 6, f"{word(f'q{g}', 40)} {x}")]
+        rows.append((70, "nothing of this is anywhere else in any text"))
+        got = {(r.doc_id, r.component_id) for r in jaccard.similar(spark, spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+        assert got == {(i, 5) for i, _ in rows if i != 70} | {(70, 70)}
+
+
 def test_sanitise(spark, docs, empty):
     got = {r.doc_id: r for r in sanitise.digest(sanitise.sanitise(spark, docs, with_text=False)).collect()}
     r = got[41]
