@@ -112,12 +112,22 @@ class LicenceIndex:
             for s in self.places(p, codes, where, doc).tolist():
                 base[int(doc[s])].append((s - int(lo[doc[s]]), label))
         found = self.candidates(codes, hit, doc, lo)
-        keys = {p: set(doc[self.places(p, codes, where, doc)].tolist()) for p in {p for t in found for p in self.templates[t][2]}}
+        keys = {p: np.sort(self.places(p, codes, where, doc)) for p in {p for t in found for p in self.templates[t][2]}}
+        edges = [*lo.tolist(), len(codes)]
+
+        def holds(p: str, notice: str, d: int, start: int) -> bool:
+            """Whether the phrase lies in the aligned notice; one that the notice itself doesn't have may be anywhere in the text."""
+            a, b = edges[d], edges[d + 1]
+            if f" {p} " in f" {notice} ":
+                a, b = max(a, edges[d] + start - self.slack), min(b, edges[d] + start + len(notice.split()) + self.slack)
+            i = np.searchsorted(keys[p], a)
+            return bool(i < len(keys[p]) and keys[p][i] + len(self.phrases[p]) <= b)
+
         more: dict[int, list[tuple[str, int, float]]] = defaultdict(list)
         for t, hits in found.items():
-            label, _, mandatory = self.templates[t]
+            label, notice, mandatory = self.templates[t]
             for d, start, share in hits:
-                if all(d in keys[p] for p in mandatory):
+                if all(holds(p, notice, d, start) for p in mandatory):
                     more[d].append((label, max(0, start), share))
         out = []
         for d, n in enumerate((hi - lo).tolist()):

@@ -179,6 +179,15 @@ def test_licences(spark, docs, empty):
     assert licences.scan_documents(spark, empty).count() == 0
 
 
+def test_licence_phrases_stand_in_their_notice(spark):
+    notice = "under the terms of the GNU General Public License as published by the Free Software Foundation; either version {} of the License"
+    far = " filler" * 60 + " this needs version 3 of another program"
+    apache = "Licensed under the Apache License, Version 2.0. You may not use this file except in compliance with the License. You may obtain a copy of the License at"
+    rows = [(0, notice.format(2) + far), (1, notice.format(3)), (2, far + " " + notice.format(2)), (3, "x " * 9 + notice.format(2) + " " + notice.format(3)), (4, apache)]
+    got = {r.doc_id: r.labels for r in licences.scan_documents(spark, spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {0: "gpl-2", 1: "gpl-3", 2: "gpl-2", 3: "gpl-2,gpl-3", 4: "apache-2"}
+
+
 def test_packing(spark, docs, empty):
     from tokenizers import Tokenizer
 
