@@ -44,7 +44,7 @@ def shift_sweep(spark: SparkSession, n: int = 150_000, shifts=(0.0, 1e3, 1e5, 1e
     return _rows(spark, out)
 
 
-def quality(spark: SparkSession, source: DataFrame, axes: list, ks=(2, 5, 10, 20), cap: int = 5000, iters: int = 100, name: str = "quality", rows_k: int | None = None) -> DataFrame:
+def quality(spark: SparkSession, source: DataFrame, axes: list, ks=(2, 5, 10, 20), cap: int = 5000, iters: int = 100, name: str = "quality", rows_k: int | None = None, precision: str = "f64") -> DataFrame:
     """Log-likelihood and total time of five methods, build time, entries and compression, by k; EM on rows up to ``rows_k`` only, if given."""
     out = []
     rows = project(source, axes).persist()
@@ -52,10 +52,11 @@ def quality(spark: SparkSession, source: DataFrame, axes: list, ks=(2, 5, 10, 20
     summaries = {}
     for form in ("stable", "classic"):
         t = time.time()
-        summaries[form] = collect(summarize(rows, TreeConfig(leaf_cap=cap, form=form), parts=4))
+        summaries[form] = collect(summarize(rows, TreeConfig(leaf_cap=cap, form=form, precision=precision), parts=4))
         out += [(name, f"features-{form}", 0, "build_s", time.time() - t), (name, f"features-{form}", 0, "entries", len(summaries[form][0])), (name, f"features-{form}", 0, "compression", n / len(summaries[form][0]))]
     build = {m: v for _, m, _, x, v in out if x == "build_s"}
     for k in ks:
+        full = {}
         for method, shape in (("points-stable", "diagonal"), ("points-stable", "spherical"), ("features-stable", "diagonal"), ("features-stable", "spherical"), ("features-classic", "spherical")):
             if method.startswith("points") and rows_k is not None and k > rows_k:
                 continue
@@ -66,6 +67,10 @@ def quality(spark: SparkSession, source: DataFrame, axes: list, ks=(2, 5, 10, 20
                 model = M.fit_features(*summaries[method.split("-")[1]], k, shape, max_iter=iters)
             took = time.time() - t + build.get(method, 0.0)
             out += [(name, f"{method}-{shape}", k, "mean_ll", M.loglik(rows, model).first()["mean_ll"]), (name, f"{method}-{shape}", k, "total_s", took)]
+            if method.startswith("points"):
+                full[shape] = took
+            elif shape in full:
+                out.append((name, f"{method}-{shape}", k, "speed_ratio", full[shape] / took))
     rows.unpersist()
     return _rows(spark, out)
 

@@ -332,13 +332,18 @@ def q_w2_grid(spark, d):
     return reduce(DataFrame.unionByName, each)
 
 
+def q_w2_random(spark, d):
+    each = [W.quality(spark, G.halton_blobs(spark, m), [F.col("x_0"), F.col("x_1")], ks=(10, 20, 100), name=f"random-{m}") for m in (0.01, 0.1, 1.0)]
+    return reduce(DataFrame.unionByName, each)
+
+
 def q_w3_build(spark, d):
     return W.build_times(spark, read(spark, d, "lineitem"), W.lineitem_axes())
 
 
 def q_w5_real(spark, d):
     o = read(spark, d, "orders")
-    return W.quality(spark, o, [F.unix_micros(F.col("o_orderdate").cast("timestamp")) / 86400e6, F.col("o_totalprice") / 1000], ks=(2, 5, 10, 20, 50, 100), cap=15_000, name="real-like", rows_k=50)
+    return W.quality(spark, o, [F.unix_micros(F.col("o_orderdate").cast("timestamp")) / 86400e6, F.col("o_totalprice") / 1000], ks=(2, 5, 10, 20, 50, 100), cap=15_000, name="real-like", rows_k=50, precision="f32")
 
 
 def q_w7_measures(spark, d):
@@ -367,7 +372,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _S = [q_stable_group, q_classic_group, q_stable_merge, q_stable_fold, q_stable_weighted, q_cov_feature, q_convert_roundtrip, q_cancel_minutes, q_nearest_feature, q_absorb_flags, q_hier_first_merge, q_cells, q_tree_conservation, q_tree_limits, q_estep("overlap"), q_estep("centre"), q_estep("expected"), q_mstep_diagonal, q_loglik, q_assign_hard, q_compression, q_rollup_features, q_win_running_feature, q_stream_window, q_stream_sliding, q_op_join_interval, q_op_join_asof, q_stable_scalar, q_variance_form, q_feature_memory, q_op_zscore, q_op_topk_features, q_op_join_semi, q_op_join_anti]
-_ROWS = [q_cancel_flags, q_summary_leaves, q_w1_shift, q_w2_quality, q_w2_grid, q_w3_build, q_w5_real, q_w7_measures, q_w9_kernels, q_kmeans_cost, q_hier, *[_fit(f, s) for f, s in (("features_stable", "diagonal"), ("features_stable", "spherical"), ("features_classic", "spherical"), ("points_textbook", "spherical"), ("points_stable", "diagonal"))]]
+_ROWS = [q_cancel_flags, q_summary_leaves, q_w1_shift, q_w2_quality, q_w2_grid, q_w2_random, q_w3_build, q_w5_real, q_w7_measures, q_w9_kernels, q_kmeans_cost, q_hier, *[_fit(f, s) for f, s in (("features_stable", "diagonal"), ("features_stable", "spherical"), ("features_classic", "spherical"), ("points_textbook", "spherical"), ("points_stable", "diagonal"))]]
 
 
 def _pair_query(kind: str, form: str):

@@ -39,3 +39,16 @@ def test_rows_and_features_may_run_equally_long(spark, monkeypatch):
     monkeypatch.setattr(mixture, "loglik", lambda rows, model: rows)
     registry.queries()["q_fit_points_stable_diagonal"](spark, "/root/testdata/sf0.001")
     assert seen == [inspect.signature(mixture.fit_features).parameters["max_iter"].default]
+
+
+def test_random_set_single_precision_and_speed_ratio(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from stablecf.sources import generators
+
+    axes, few = [F.col("x_0"), F.col("x_1")], generators.halton_blobs(spark, 0.001)
+    r = {(x.method, x.metric): x.value for x in workloads.quality(spark, few, axes, ks=(2,), cap=50, iters=2, precision="f32").collect()}
+    for shape in ("diagonal", "spherical"):
+        assert r[f"features-stable-{shape}", "speed_ratio"] == r[f"points-stable-{shape}", "total_s"] / r[f"features-stable-{shape}", "total_s"]
+    assert len(calls(monkeypatch, spark, "q_w2_random")) == 3
+    assert calls(monkeypatch, spark, "q_w5_real")[0]["precision"] == "f32"
