@@ -54,6 +54,15 @@ def parents(nodes: DataFrame, fanout: int) -> DataFrame:
     return nodes.groupBy(F.floor(F.col("node") / fanout).cast("long").alias("node")).agg(F.sha2(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("node", "hash"))), lambda x: F.concat(x["node"].cast("string"), F.lit(":"), x["hash"])), ","), 256).alias("hash"))
 
 
+def height(a: DataFrame, b: DataFrame, fanout: int) -> int:
+    """Levels above the ranges until one node is left, or the two tops of negative and other ids, which no level joins."""
+    lo, hi = a.select("range_id").unionByName(b.select("range_id")).agg(F.min("range_id"), F.max("range_id")).first()
+    n = 0
+    while lo is not None and lo != hi and (lo, hi) != (-1, 0):
+        lo, hi, n = lo // fanout, hi // fanout, n + 1
+    return n
+
+
 def tree(spark: SparkSession, leaf: DataFrame, fanout: int, levels: int) -> list[DataFrame]:
     """Levels of (node, hash) from the ranges to the top; the ranges are stored, so that descending does not hash again."""
     ranges = leaf.groupBy(F.col("range_id").alias("node")).agg(F.sha2(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("rid", "leaf"))), lambda x: x["leaf"]), ","), 256).alias("hash"))
@@ -63,13 +72,15 @@ def tree(spark: SparkSession, leaf: DataFrame, fanout: int, levels: int) -> list
     return out
 
 
-def audit(spark: SparkSession, left: DataFrame, right: DataFrame, id_col: str, payload_cols: list[str], span: int = 64, fanout: int = 64, levels: int = 2) -> DataFrame:
-    """(rid, range_id, offset, length, left_leaf, right_leaf, status): the records that differ, found by descent from the roots.
+def audit(spark: SparkSession, left: DataFrame, right: DataFrame, id_col: str, payload_cols: list[str], span: int = 64, fanout: int = 64, levels: int | None = None) -> DataFrame:
+    """(rid, range_id, offset, length, left_leaf, right_leaf, status, left_copies, right_copies): the records that differ, found by descent from the roots.
 
-    ``offset`` and ``length`` are of the left replica; ``levels`` is the height above the ranges, so the top has ranges/fanout**levels nodes.
+    ``offset`` and ``length`` are of the left replica; ``levels`` is the height above the ranges,
+    by default the one at which a single node is left (two if there are negative or null ids).
     """
     a = staged(spark, with_offsets(leaves(left, id_col, payload_cols, span)), "merkle-left")
     b = staged(spark, leaves(right, id_col, payload_cols, span), "merkle-right")
+    levels = height(a, b, fanout) if levels is None else levels
     ta, tb = tree(spark, a, fanout, levels), tree(spark, b, fanout, levels)
     suspects = None
     for la, lb in zip(reversed(ta), reversed(tb), strict=True):
@@ -79,11 +90,11 @@ def audit(spark: SparkSession, left: DataFrame, right: DataFrame, id_col: str, p
         both = la.withColumnRenamed("hash", "ha").join(lb.withColumnRenamed("hash", "hb"), "node", "full")
         suspects = both.where(~F.col("ha").eqNullSafe(F.col("hb"))).select("node")
     bad = suspects.select(F.col("node").alias("range_id"))
-    x = a.join(bad, "range_id", "left_semi").select("rid", "range_id", "offset", "length", F.col("leaf").alias("left_leaf"))
-    y = b.join(bad, "range_id", "left_semi").select(F.col("rid").alias("r2"), F.col("range_id").alias("g2"), F.col("leaf").alias("right_leaf"))
+    x = a.join(bad, "range_id", "left_semi").select("rid", "range_id", "offset", "length", F.col("leaf").alias("left_leaf"), F.col("copies").alias("left_copies"))
+    y = b.join(bad, "range_id", "left_semi").select(F.col("rid").alias("r2"), F.col("range_id").alias("g2"), F.col("leaf").alias("right_leaf"), F.col("copies").alias("right_copies"))
     both = x.join(y, F.col("rid").eqNullSafe(F.col("r2")), "full").where(~F.col("left_leaf").eqNullSafe(F.col("right_leaf")))
     status = F.when(F.col("right_leaf").isNull(), "missing").when(F.col("left_leaf").isNull(), "extra").otherwise("corrupt")
-    return both.select(F.coalesce("rid", "r2").alias("rid"), F.coalesce("range_id", "g2").alias("range_id"), "offset", "length", "left_leaf", "right_leaf", status.alias("status"))
+    return both.select(F.coalesce("rid", "r2").alias("rid"), F.coalesce("range_id", "g2").alias("range_id"), "offset", "length", "left_leaf", "right_leaf", status.alias("status"), *(F.coalesce(c, F.lit(0).cast("long")).alias(c) for c in ("left_copies", "right_copies")))
 
 
 def damaged(df: DataFrame) -> DataFrame:

@@ -16,7 +16,7 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_merkle_audit(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = read(spark, sf_dir, "pages")
-    return merkle_audit.audit(spark, pages, merkle_audit.damaged(pages), "page_id", ["url", "html"])
+    return merkle_audit.audit(spark, pages, merkle_audit.damaged(pages), "page_id", ["url", "html"]).drop("left_copies", "right_copies")
 
 
 def op3_ppm_score(spark: SparkSession, sf_dir: str) -> DataFrame:

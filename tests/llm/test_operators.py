@@ -275,6 +275,16 @@ def test_merkle(spark):
     assert run(a, a) == set() and len(run(a, a.where("false"))) == 301
 
 
+def test_merkle_root_and_copies(spark):
+    a = spark.createDataFrame([(i * 100_000, "u", "h") for i in range(20)] + [(0, "u", "h")], "page_id long, url string, html string")
+    b = a.where("page_id <> 500000").dropDuplicates()
+    x, y = (merkle_audit.leaves(d, "page_id", ["url", "html"], 64) for d in (a, b))
+    n = merkle_audit.height(x, y, 64)
+    assert n == 3 and merkle_audit.tree(spark, x, 64, n)[-1].count() == 1
+    got = {(r.rid, r.status, r.left_copies, r.right_copies) for r in merkle_audit.audit(spark, a, b, "page_id", ["url", "html"]).collect()}
+    assert got == {(0, "corrupt", 2, 1), (500_000, "missing", 1, 0)}
+
+
 def test_components(spark):
     rng = np.random.default_rng(5)
     e = [(int(x), int(y)) for x, y in rng.integers(0, 200, (120, 2))] + [(300 + i, 301 + i) for i in range(20)]
