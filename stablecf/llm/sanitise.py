@@ -16,8 +16,9 @@ at every place of every text, also where the entity itself does not stand.
 
 Defined results: null text is empty; matches are leftmost and do not overlap
 within a kind, a match that fails its check is dropped without a retry; offsets
-count code points, ends exclusive; rows that repeat an id each get their own
-spans and count as one document; empty tables give empty results.
+count code points, ends exclusive; every row is a document of its own, also one
+that repeats an id or has none, and gets the spans of its own text; empty tables
+give empty results; other columns than id and text are not read.
 """
 
 from __future__ import annotations
@@ -38,8 +39,11 @@ KINDS = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 HINTS = {"email": "@", "ip": ".", "card": None, "phone": "+"}
-CHARACTER = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]"
+CHARACTER = r"[0-9A-Za-z\x{80}-\x{10FFFF}]"
 TERM = CHARACTER + "{4,}+"
+#: Marks before and after a match while its place is worked out; no pattern has a control character.
+OPEN, CLOSE, OTHER = "\x01", "\x02", "\x03"
+NONE = "cast(array() as array<struct<at:int, value:string>>)"
 
 
 def _luhn(digits: Column) -> Column:
@@ -63,44 +67,70 @@ def _valid(kind: str, m: Column) -> Column:
     return F.lit(True)
 
 
-def _placed(text: str, pattern: str | Column) -> Column:
-    """array<struct(start, value)> of the matches: the gaps between them give their places."""
+def _pieces(text: str, pattern: str | Column) -> Column:
+    """The text cut before each match; a piece after the first is a match, a mark and what follows it.  One pass of the pattern."""
     pattern = F.lit(pattern) if isinstance(pattern, str) else pattern
-    none = F.expr("cast(array() as array<struct<at:int, value:string>>)")
-    found, gaps = F.regexp_extract_all(text, pattern, F.lit(0)), F.split(text, pattern, -1)
-    zero = F.struct(F.lit(0).alias("end"), none.alias("out"))
+    own = F.col(text).contains(OPEN) | F.col(text).contains(CLOSE)
+    plain = F.when(own, F.translate(text, OPEN + CLOSE, OTHER + OTHER)).otherwise(F.col(text))
+    return F.split(F.regexp_replace(plain, pattern, F.lit(OPEN + "$0" + CLOSE)), OPEN, -1)
 
-    def step(acc: Column, x: Column) -> Column:
-        at = acc["end"] + F.length(x["gap"])
-        return F.struct((at + F.length(x["m"])).alias("end"), F.concat(acc["out"], F.array(F.struct(at.alias("at"), x["m"].alias("value")))).alias("out"))
 
-    pairs = F.zip_with(found, F.slice(gaps, F.lit(1), F.size(found)), lambda m, g: F.struct(m.alias("m"), g.alias("gap")))
-    return F.when(F.size(found) > 0, F.aggregate(pairs, zero, step, lambda a: a["out"])).otherwise(none)
+def _blocks(items: str, size: int = 256) -> Column:
+    """An array in runs of ``size``: what is added up along a long text is added up by runs first, so that no step copies the whole."""
+    last = F.floor((F.size(items) - 1) / size).cast("int")
+    return F.when(F.size(items) > 0, F.transform(F.sequence(F.lit(0), last), lambda b: F.slice(items, b * size + 1, F.lit(size))))
+
+
+def _carried(totals: Column, first: Column, join: Callable[[Column, Column], Column]) -> Column:
+    """What holds before each run, given each run's own total."""
+    return F.aggregate(totals, F.array(first), lambda a, x: F.concat(a, F.array(join(F.element_at(a, -1), x))))
+
+
+def with_places(df: DataFrame, pieces: str, name: str) -> DataFrame:
+    """Adds array<struct(at, value)> of the matches in ``pieces``, a column of its own so that the pattern runs once."""
+
+    def step(acc: Column, piece: Column) -> Column:
+        value = F.substring_index(piece, CLOSE, 1)
+        return F.struct((acc["end"] + F.length(piece) - 1).alias("end"), F.concat(acc["out"], F.array(F.struct(acc["end"].alias("at"), value.alias("value")))).alias("out"))
+
+    def run(x: Column, at: Column) -> Column:
+        return F.aggregate(x, F.struct(at.alias("end"), F.expr(NONE).alias("out")), step, lambda a: a["out"])
+
+    out = df.withColumn("_rest", F.when(F.size(pieces) > 1, F.slice(pieces, F.lit(2), F.size(pieces))))
+    out = out.withColumn("_runs", _blocks("_rest"))
+    sums = F.transform("_runs", lambda x: F.aggregate(x, F.lit(0), lambda a, p: a + F.length(p) - 1))
+    out = out.withColumn("_at", _carried(sums, F.length(F.col(pieces)[0]), lambda a, x: a + x))
+    found = F.flatten(F.zip_with("_runs", F.slice("_at", F.lit(1), F.size("_runs")), run))
+    return out.withColumn(name, F.coalesce(found, F.expr(NONE))).drop("_rest", "_runs", "_at")
 
 
 def base_spans(docs: DataFrame) -> DataFrame:
-    """(doc_id, text, spans): spans are structs (start, k, end, kind, value) in order."""
-    out = docs
+    """The rows of ``docs`` with their spans: structs (start, k, end, kind, value) in order."""
+    out, names = docs, docs.columns
     for k in KINDS:
-        may = F.col("text").contains(HINTS[k]) if HINTS[k] else F.col("text").rlike("[0-9][0-9]")
+        may = F.col("text").contains(HINTS[k]) if HINTS[k] else F.col("text").rlike("[0-9](?:[\\x20-]?[0-9]){11}")
         if k in ("ip", "phone"):
             may = may & F.col("text").rlike("[0-9]")
-        if k == "card":
-            may = F.col("text").rlike("[0-9](?:[\\x20-]?[0-9]){11}")
-        out = out.withColumn(k, F.when(may, _placed("text", KINDS[k])))
-    return out.select("doc_id", "text", F.array_sort(F.concat(*(_spans_of(k) for k in KINDS))).alias("spans"))
+        out = out.withColumn(k, F.when(may, _pieces("text", KINDS[k])))
+    for k in KINDS:
+        out = with_places(out, k, k)
+    return out.select(*names, F.array_sort(F.concat(*(_spans_of(k) for k in KINDS))).alias("spans"))
 
 
 def _spans_of(kind: str) -> Column:
     i = list(KINDS).index(kind)
     ok = F.filter(F.col(kind), lambda x: _valid(kind, x["value"]))
-    ok = F.coalesce(ok, F.expr("cast(array() as array<struct<at:int, value:string>>)"))
     return F.transform(ok, lambda x: F.struct(x["at"].alias("start"), F.lit(i).alias("k"), (x["at"] + F.length(x["value"])).alias("end"), F.lit(kind).alias("kind"), x["value"].alias("value")))
 
 
-def terms_of(text: str) -> Column:
-    """The different terms of a text, in lower case."""
-    return F.array_distinct(F.transform(F.regexp_extract_all(text, F.lit(TERM), F.lit(0)), F.lower))
+def words_of(text: str) -> Column:
+    """The different words of a text that may be terms, as they are written."""
+    return F.array_distinct(F.regexp_extract_all(text, F.lit(TERM), F.lit(0)))
+
+
+def terms_of(words: str) -> Column:
+    """Different words as different terms, in lower case (no word holds the blank that joins them here)."""
+    return F.when(F.size(words) > 0, F.array_distinct(F.split(F.lower(F.concat_ws(" ", words)), " "))).otherwise(F.expr("cast(array() as array<string>)"))
 
 
 def sieve(spark: SparkSession, keys: DataFrame, key: str) -> Callable[[Column], Column]:
@@ -126,22 +156,21 @@ def share(total: int, prior: float) -> Column:
     return (F.log2(given) + info) / info
 
 
-def leaking_terms(spark: SparkSession, docs: DataFrame, total: int, disclosure: float, prior: float) -> DataFrame:
-    """(term): the terms that reveal some entity, by counts over whole documents."""
+def leaking_terms(spark: SparkSession, placed: DataFrame, total: int, disclosure: float, prior: float) -> DataFrame:
+    """(term): the terms that reveal some entity, by counts over whole documents; ``placed``: row, words, spans."""
     entities = F.array_distinct(F.transform("spans", lambda s: F.concat_ws(":", s["kind"], F.lower(s["value"]))))
-    has = base_spans(docs).where(F.size("spans") > 0).select("doc_id", entities.alias("entities"), terms_of("text").alias("terms"))
-    has = staged(spark, has, "pii-documents")
-    ne = staged(spark, has.select("doc_id", F.explode("entities").alias("entity")).distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("ne")), "pii-entities")
-    most = ne.where(F.col("ne") < total).agg(F.max("ne")).first()[0]
+    has = placed.where(F.size("spans") > 0).select("words", entities.alias("entities"))
+    ne = staged(spark, has.select(F.explode("entities").alias("entity")).groupBy("entity").agg(F.count(F.lit(1)).alias("ne")).where(F.col("ne") < total), "pii-entities")
+    most = ne.agg(F.max("ne")).first()[0]
     if most is None:
-        return staged(spark, has.select(F.explode("terms").alias("term")).where("false"), "pii-leaks")
+        return staged(spark, has.select(F.lit("").alias("term")).where("false"), "pii-leaks")
     # nte <= ne, so a term of more documents than this reveals nothing: no pair of it is made
     limit = lambda ne: F.pow(F.lit(float(total)) / ne, F.lit(1 - disclosure)) * ne * (1 + prior / total) - F.lit(prior) + 1e-6
-    nt = docs.select(F.explode(terms_of("text")).alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("nt"))
+    nt = placed.select(F.explode(terms_of("words")).alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("nt"))
     nt = staged(spark, nt.where(F.col("nt") <= limit(F.lit(float(most)))), "pii-rare-terms")
-    pairs = has.select("doc_id", "entities", F.explode("terms").alias("term")).join(nt, "term").select("doc_id", "term", "nt", F.explode("entities").alias("entity"))
-    pairs = pairs.join(ne.where(F.col("ne") < total), "entity").where(F.col("nt") <= limit(F.col("ne")))
-    pairs = pairs.select("doc_id", "term", "entity", "nt", "ne").distinct().groupBy("entity", "term", "nt", "ne").agg(F.count(F.lit(1)).alias("nte"))
+    pairs = has.select("entities", F.explode(terms_of("words")).alias("term")).join(nt, "term").select("term", "nt", F.explode("entities").alias("entity"))
+    pairs = pairs.join(ne, "entity").where(F.col("nt") <= limit(F.col("ne")))
+    pairs = pairs.groupBy("entity", "term", "nt", "ne").agg(F.count(F.lit(1)).alias("nte"))
     return staged(spark, pairs.where(share(total, prior) >= F.lit(disclosure)).select("term").distinct(), "pii-leaks")
 
 
@@ -157,23 +186,25 @@ def sanitise(
 ) -> DataFrame:
     """(doc_id, spans[, sanitised]): base spans and the method's ``term`` spans; the text with each span replaced by its kind or removed."""
     docs = ids_and_texts(df, id_col, text_col)
-    total = max(1, docs.count())
-    leaks = leaking_terms(spark, docs, total, disclosure, prior)
+    # a row is known by its id and text: rows that agree in both have the same spans
+    docs = docs.select(F.xxhash64("doc_id", "text").alias("row"), "doc_id", "text")
+    placed = staged(spark, base_spans(docs.withColumn("words", words_of("text"))), "pii-placed")
+    total = max(1, placed.count())
+    leaks = leaking_terms(spark, placed, total, disclosure, prior)
     passes = sieve(spark, leaks, "term")
     # words as they are written, so that a pattern of them finds a document's places without regard to case rules
-    words = docs.select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all("text", F.lit(TERM), F.lit(0)))).alias("word"))
-    words = words.select("doc_id", "word", F.lower("word").alias("term")).where(passes(F.col("term"))).join(leaks, "term")
-    words = words.groupBy("doc_id").agg(F.collect_set("word").alias("words"))
-    out = base_spans(docs).join(words, "doc_id", "left")
-    pattern = F.concat(F.lit(f"(?<!{CHARACTER})(?:"), F.array_join("words", "|"), F.lit(f")(?!{CHARACTER})"))
-    out = out.withColumn("placed", F.when(F.col("words").isNotNull(), _placed("text", pattern)).otherwise(F.expr("cast(array() as array<struct<at:int, value:string>>)")))
+    words = placed.select("row", F.explode("words").alias("word")).select("row", "word", F.lower("word").alias("term")).where(passes(F.col("term"))).join(leaks, "term")
+    words = words.groupBy("row").agg(F.collect_set("word").alias("leaking"))
+    out = placed.select("row", "doc_id", "text", "spans").join(words, "row", "left")
+    pattern = F.concat(F.lit(f"(?<!{CHARACTER})(?:"), F.array_join("leaking", "|"), F.lit(f")(?!{CHARACTER})"))
+    out = out.withColumn("pieces", F.when(F.col("leaking").isNotNull(), _pieces("text", pattern)))
+    out = with_places(out, "pieces", "placed")
     more = F.transform("placed", lambda x: F.struct(x["at"].alias("start"), F.lit(len(KINDS)).alias("k"), (x["at"] + F.length(x["value"])).alias("end"), F.lit("term").alias("kind"), F.lower(x["value"]).alias("value")))
     # a term inside a base span is covered by it already
     extra = F.filter(more, lambda t: ~F.exists("spans", lambda s: (t["start"] < s["end"]) & (s["start"] < t["end"])))
     out = out.select("doc_id", "text", "spans", F.array_sort(F.concat("spans", extra)).alias("all_spans"))
     if not with_text:
         return out.select(id_back(), F.col("spans").alias("base"), F.col("all_spans").alias("spans"))
-    zero = F.struct(F.lit(0).alias("end"), F.lit("").alias("out"))
     label = lambda s: F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]")) if generalise else F.lit("")
 
     def cut(acc: Column, s: Column) -> Column:
@@ -181,7 +212,14 @@ def sanitise(
         new = F.when(s["start"] >= acc["end"], F.concat(acc["out"], gap, label(s))).otherwise(acc["out"])
         return F.struct(F.greatest(acc["end"], s["end"]).alias("end"), new.alias("out"))
 
-    clean = F.aggregate("all_spans", zero, cut, lambda a: F.concat(a["out"], F.substr("text", a["end"] + 1, F.length("text"))))
+    def run(x: Column, at: Column) -> Column:
+        return F.aggregate(x, F.struct(at.alias("end"), F.lit("").alias("out")), cut, lambda a: a["out"])
+
+    out = out.withColumn("_runs", _blocks("all_spans"))
+    last = F.transform("_runs", lambda x: F.aggregate(x, F.lit(0), lambda a, s: F.greatest(a, s["end"])))
+    out = out.withColumn("_at", _carried(last, F.lit(0), F.greatest))
+    parts = F.zip_with("_runs", F.slice("_at", F.lit(1), F.size("_runs")), run)
+    clean = F.coalesce(F.concat(F.array_join(parts, ""), F.substr("text", F.element_at("_at", -1) + 1, F.length("text"))), F.col("text"))
     return out.select(id_back(), F.col("spans").alias("base"), F.col("all_spans").alias("spans"), clean.alias("sanitised"))
 
 
