@@ -188,7 +188,8 @@ def sanitise(
     docs = ids_and_texts(df, id_col, text_col)
     # a row is known by its id and text: rows that agree in both have the same spans
     docs = docs.select(F.xxhash64("doc_id", "text").alias("row"), "doc_id", "text")
-    placed = staged(spark, base_spans(docs.withColumn("words", words_of("text"))), "pii-placed")
+    # words are taken from the texts again where they are needed: that costs less than storing them
+    placed = staged(spark, base_spans(docs), "pii-placed").withColumn("words", words_of("text"))
     total = max(1, placed.count())
     leaks = leaking_terms(spark, placed, total, disclosure, prior)
     passes = sieve(spark, leaks, "term")
