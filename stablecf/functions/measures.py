@@ -3,16 +3,37 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from stablecf.functions.features import classic_merge, classic_var, total
 
-KINDS = ("D0", "D1", "D2", "D3", "D4", "R")
+KINDS = ("D0", "D1", "D2", "D3", "D4", "R", "E")
+
+
+def absorbs(a: Column, b: Column, kind: str, threshold, form: str = "stable") -> Column:
+    """Whether the test lets ``a`` take ``b`` in; any distance may be the test."""
+    return distance(a, b, kind, form) <= threshold
+
+
+def pairwise(cf: DataFrame, key: str, kind: str, form: str = "stable") -> DataFrame:
+    """(a, b, value) of all pairs of a bounded set of features, a < b."""
+    cols = ["n", "ls", "ss"] if form == "classic" else ["w", "m", "q"]
+    f = cf.select(key, F.struct(*cols).alias("f"))
+    x, y = f.select(F.col(key).alias("a"), F.col("f").alias("fa")), f.select(F.col(key).alias("b"), F.col("f").alias("fb"))
+    return x.join(F.broadcast(y), F.col("a") < F.col("b")).select("a", "b", distance(F.col("fa"), F.col("fb"), kind, form).alias("value"))
+
+
+def nearest(cf: DataFrame, key: str, others: DataFrame, other_key: str, kind: str) -> DataFrame:
+    """(key, other, value): the nearest of ``others`` (a bounded set) for each feature, ties by the smaller key."""
+    x = cf.select(key, F.struct("w", "m", "q").alias("fa"))
+    y = others.select(F.col(other_key).alias("other"), F.struct("w", "m", "q").alias("fb"))
+    d = x.crossJoin(F.broadcast(y)).select(key, "other", distance(F.col("fa"), F.col("fb"), kind).alias("value"))
+    return d.groupBy(key).agg(F.min_by("other", F.struct("value", "other")).alias("other"), F.min("value").alias("value"))
 
 
 def distance(a: Column, b: Column, kind: str, form: str = "stable") -> Column:
-    """``kind``: centre Euclid, centre Manhattan, inter-cluster, intra-cluster (diameter of the union), variance increase, radius of the union.
+    """``kind``: centre Euclid (D0, and E as a test), centre Manhattan, inter-cluster, intra-cluster (diameter of the union), variance increase, radius of the union.
 
     A classic radicand may be negative; the root is then NaN, as the baseline has it.
     """
@@ -25,7 +46,7 @@ def distance(a: Column, b: Column, kind: str, form: str = "stable") -> Column:
     w = a["w"] + b["w"]
     g = a["w"] * b["w"] / w * d2
     s = total(a["q"]) + total(b["q"]) + g
-    return F.sqrt({"D0": d2, "D2": total(a["q"]) / a["w"] + total(b["q"]) / b["w"] + d2, "D3": F.when(w > 1, 2 * s / (w - 1)), "D4": g, "R": s / w}[kind])
+    return F.sqrt({"D0": d2, "E": d2, "D2": total(a["q"]) / a["w"] + total(b["q"]) / b["w"] + d2, "D3": F.when(w > 1, 2 * s / (w - 1)), "D4": g, "R": s / w}[kind])
 
 
 def _classic(a: Column, b: Column, kind: str) -> Column:
@@ -38,6 +59,7 @@ def _classic(a: Column, b: Column, kind: str) -> Column:
     return F.sqrt(
         {
             "D0": sq(diff),
+            "E": sq(diff),
             "D2": a["ss"] / a["n"] + b["ss"] / b["n"] - 2 * dot / (a["n"] * b["n"]),
             "D3": 2 / (u["n"] - 1) * (u["ss"] - sq(u["ls"]) / u["n"]),
             "D4": sq(a["ls"]) / a["n"] + sq(b["ls"]) / b["n"] - sq(u["ls"]) / u["n"],

@@ -39,7 +39,9 @@ def kmedoids_search(w, m, q, k: int, neighbours: int = 100, restarts: int = 2, s
 def density_clusters(w, m, q, eps: float, min_weight: float) -> np.ndarray:
     """Cluster of each entry, -1 for noise: entries whose neighbourhood weighs ``min_weight`` are cores, cores within ``eps`` are connected, others join a core in reach."""
     n = len(w)
-    near = np.sqrt(((m[:, None] - m[None]) ** 2).sum(axis=2)) <= eps
+    near = np.zeros((n, n), bool)  # one bit a pair; distances a block of rows at a time
+    for i in range(0, n, 256):
+        near[i : i + 256] = sum((m[i : i + 256, None, a] - m[None, :, a]) ** 2 for a in range(m.shape[1])) <= eps * eps
     core = near @ w >= min_weight
     label, at = np.full(n, -1), 0
     for i in np.flatnonzero(core):
@@ -65,3 +67,26 @@ def feature_values(form: str, d: int, q: str = "vector") -> int:
     if form == "covariance":
         return 1 + d + d * (d + 1) // 2
     return 2 + d if q == "scalar" else 1 + 2 * d
+
+
+def expand(rows, w, m, q, label, kind: str = "D4"):
+    """Rows (w, m, ...) with the nearest entry and that entry's cluster; the entries are bounded by their cap and go with the task."""
+    import pyarrow as pa
+
+    from stablecf.functions.measures import squared_np
+    from stablecf.operators.summarize import _lists
+    from stablecf.sources.session import ship
+
+    ship(rows.sparkSession)
+    label = np.asarray(label)
+
+    def run(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            x, none = _lists(b.column(b.schema.get_field_index("m"))), np.zeros(m.shape[1])
+            at = np.array([int(np.argmin(squared_np(1.0, r, none, w, m, q, kind))) for r in x])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(at, pa.int32()), pa.array(label[at].astype(np.int32))], [*b.schema.names, "entry", "cluster"])
+
+    fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in rows.schema.fields)
+    return rows.mapInArrow(run, f"{fields}, entry int, cluster int")

@@ -10,27 +10,64 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stablecf.operators.summarize import _lists
+from stablecf.operators.tree import FeatureTree, TreeConfig
+from stablecf.sources.session import ship
 
 
 @dataclass
 class Mixture:
+    """k components; ``var``: k x d (spherical and diagonal) or k x d x d (full)."""
+
     weight: np.ndarray
     mean: np.ndarray
     var: np.ndarray
     history: list[float] = field(default_factory=list)
+    converged: bool = False
+    #: smallest variance an M-step gave before the floor; below 0 where a baseline cancelled
+    least_var: float = float("inf")
 
     def log_joint(self, x: np.ndarray, spread: np.ndarray | None = None) -> np.ndarray:
         """log pi_c + log N(x | mean_c, var_c + spread): rows by components."""
         out = np.empty((len(x), len(self.weight)))
         with np.errstate(divide="ignore", invalid="ignore"):
             for c in range(len(self.weight)):
+                if self.var.ndim == 3:
+                    out[:, c] = np.log(self.weight[c]) + _full_logpdf(x - self.mean[c], self.var[c], spread)
+                    continue
                 v = self.var[c] + (spread if spread is not None else 0.0)
                 out[:, c] = np.log(self.weight[c]) - 0.5 * (np.log(2 * np.pi * v) + (x - self.mean[c]) ** 2 / v).sum(axis=-1)
         return np.nan_to_num(out, nan=-1e300, neginf=-1e300)
 
+    def rows(self) -> list[dict]:
+        """The model as rows (comp, weight, mean, var), var packed row by row."""
+        return [{"comp": i, "weight": float(w), "mean": m.tolist(), "var": v.ravel().tolist()} for i, (w, m, v) in enumerate(zip(self.weight, self.mean, self.var, strict=True))]
+
+    @staticmethod
+    def of_rows(rows: list) -> Mixture:
+        rows = sorted(rows, key=lambda r: r["comp"])
+        mean = np.array([r["mean"] for r in rows])
+        var = np.array([r["var"] for r in rows])
+        d = mean.shape[1]
+        return Mixture(np.array([r["weight"] for r in rows]), mean, var.reshape(-1, d, d) if var.shape[1] == d * d and d > 1 else var)
+
+
+MODEL_SCHEMA = "comp int, weight double, mean array<double>, var array<double>"
+
+
+def _full_logpdf(r: np.ndarray, cov: np.ndarray, spread: np.ndarray | None) -> np.ndarray:
+    d = r.shape[1]
+    if spread is None:
+        low = np.linalg.cholesky(cov + 1e-12 * np.trace(cov) / d * np.eye(d))
+        z = np.linalg.solve(low, r.T)
+        return -0.5 * (d * np.log(2 * np.pi) + (z * z).sum(axis=0)) - np.log(np.diag(low)).sum()
+    each = cov + (spread if spread.ndim == 3 else spread[:, :, None] * np.eye(d))
+    z = np.linalg.solve(each, r[:, :, None])[:, :, 0]
+    return -0.5 * (d * np.log(2 * np.pi) + np.linalg.slogdet(each)[1] + (r * z).sum(axis=1))
 
-def kmeanspp(w: np.ndarray, m: np.ndarray, k: int, seed: int) -> np.ndarray:
-    """k centres, drawn with probability proportional to weight times squared distance."""
+
+def kmeanspp(w: np.ndarray, m: np.ndarray, k: int, seed: int, weighted: bool = True) -> np.ndarray:
+    """k centres, drawn with probability proportional to (weight times) squared distance."""
+    w = w if weighted else np.ones(len(m))
     rng = np.random.default_rng(seed)
     c = [m[rng.choice(len(m), p=w / w.sum())]]
     d = ((m - c[0]) ** 2).sum(axis=1)
@@ -41,10 +78,74 @@ def kmeanspp(w: np.ndarray, m: np.ndarray, k: int, seed: int) -> np.ndarray:
     return np.array(c)
 
 
-def start(w, m, q, k: int, seed: int) -> Mixture:
-    c = kmeanspp(w, m, k, seed)
+def kmeanspp_rows(features: DataFrame, k: int, seed: int, rounds: int = 5, oversample: float = 2.0) -> np.ndarray:
+    """k-means++ seeding on rows by oversampled rounds: each pass draws about ``oversample * k`` rows with probability proportional to
+    their squared distance from what was drawn, the draws are weighted by the rows nearest to them, and k are picked of these."""
+
+    def draw(centres: np.ndarray, cost: float, salt: int):
+        def run(batches):
+            for b in batches:
+                if not b.num_rows:
+                    continue
+                w, x = b.column(0).to_numpy(), _lists(b.column(1))
+                d = w * _nearest(x, centres)[1]
+                h = np.frombuffer(np.ascontiguousarray(x + 0.0).tobytes(), np.uint64).reshape(len(x), -1)
+                key = np.full(len(x), salt * 0x9E3779B97F4A7C15 % (1 << 64), np.uint64)
+                for c in h.T:  # drawn by a hash of the point, so that a repeated task draws the same
+                    key = (key ^ c) * np.uint64(0xD6E8FEB86659FD93)
+                    key ^= key >> np.uint64(32)
+                hit = (key >> np.uint64(11)).astype(float) / float(1 << 53) < oversample * k * d / max(cost, 1e-300)
+                got = np.unique(x[hit], axis=0) if cost > 0 else x[:0]
+                kind = pa.list_(pa.float64())
+                yield pa.RecordBatch.from_arrays([pa.array([float(d.sum())] + [0.0] * len(got)), pa.array([None, *got.tolist()], kind)], ["cost", "x"])
+
+        return run
+
+    ship(features.sparkSession)
+    first = features.select("m").orderBy(F.xxhash64("m", F.lit(seed)), "m").limit(1).toArrow()
+    if not first.num_rows:
+        return np.zeros((0, 0))
+    centres, cost = _lists(first["m"]), 0.0
+    for i in range(rounds + 1):
+        t = features.select("w", "m").mapInArrow(draw(centres, cost, seed * 64 + i + 1), "cost double, x array<double>").toArrow()
+        cost = float(np.sum(t["cost"].to_numpy()))
+        got = [x for x in t["x"].to_pylist() if x is not None]
+        centres = np.unique(np.concatenate([centres, np.array(got)]), axis=0) if got else centres
+
+    def count(batches):
+        total = np.zeros(len(centres))
+        for b in batches:
+            if b.num_rows:
+                total += np.bincount(_nearest(_lists(b.column(1)), centres)[0], weights=b.column(0).to_numpy(), minlength=len(centres))
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(centres)), pa.int32()), pa.array(total)], ["c", "n"])
+
+    t = features.select("w", "m").mapInArrow(count, "c int, n double").toArrow()
+    w = np.bincount(t["c"].to_numpy(), weights=t["n"].to_numpy(), minlength=len(centres))
+    return kmeanspp(w, centres, k, seed)
+
+
+def _nearest(x: np.ndarray, centres: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(nearest centre, squared distance) of each row, a centre at a time."""
+    at, best = np.zeros(len(x), np.int64), np.full(len(x), np.inf)
+    for i, c in enumerate(centres):
+        d = ((x - c) ** 2).sum(axis=1)
+        at[d < best] = i
+        best = np.minimum(best, d)
+    return at, best
+
+
+def start(w, m, q, k: int, seed: int, weighted: bool = True, assign: str = "pooled") -> Mixture:
+    """Start on features.  ``pooled``: equal shares and the whole variance over k; ``hard``: shares and variances of one hard assignment."""
+    return start_from_centres(w, m, q, kmeanspp(w, m, k, seed, weighted), assign)
+
+
+def start_from_centres(w, m, q, c: np.ndarray, assign: str = "pooled") -> Mixture:
     mean = (w[:, None] * m).sum(axis=0) / w.sum()
     var = np.maximum(((w[:, None] * (m - mean) ** 2).sum(axis=0) + q.sum(axis=0)) / w.sum(), 1e-12)
+    if assign == "hard":
+        r = np.zeros((len(w), len(c)))
+        r[np.arange(len(w)), _nearest(m, c)[0]] = 1.0
+        return m_step(w, m, q, r, "diagonal", 1e-3 * float(var.mean()) / len(c))
     return Mixture(np.full(len(c), 1 / len(c)), c, np.repeat(var[None] / len(c), len(c), axis=0))
 
 
@@ -55,61 +156,134 @@ def _softmax(logs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return e / s, (top + np.log(s))[:, 0]
 
 
+def _spread_in(spread: np.ndarray, v: np.ndarray) -> np.ndarray:
+    """Expected squared distance that an entry's own spread adds, in units of a component's variance: trace(v^-1 spread)."""
+    if v.ndim == 1:
+        return ((np.diagonal(spread, axis1=1, axis2=2) if spread.ndim == 3 else spread) / v).sum(axis=1)
+    inv = np.linalg.inv(v)
+    return np.einsum("ij,lji->l", inv, spread) if spread.ndim == 3 else spread @ np.diag(inv)
+
+
 def e_step(model: Mixture, w, m, q, kernel: str = "overlap") -> tuple[np.ndarray, float]:
-    """Responsibilities and weighted log-likelihood; kernels: overlap, centre, expected."""
-    spread = q / w[:, None]
+    """Responsibilities and weighted log-likelihood; kernels: overlap, centre, expected.  ``q``: L x d, or L x d x d co-moments."""
+    spread = q / w.reshape(-1, *[1] * (q.ndim - 1))
     logs = model.log_joint(m, spread if kernel == "overlap" else None)
     if kernel == "expected":
-        logs = logs - 0.5 * np.stack([(spread / v).sum(axis=1) for v in model.var], axis=1)
+        logs = logs - 0.5 * np.stack([_spread_in(spread, v) for v in model.var], axis=1)
     r, ll = _softmax(logs)
     return r, float((w * ll).sum())
 
 
 def m_step(w, m, q, r, shape: str, floor: float, prior: tuple[float, float] | None = None, tied: bool = False) -> Mixture:
-    """Weighted update around the new means, so nothing cancels."""
-    s = w[:, None] * r
+    """Weighted update around the new means, so nothing cancels.  ``prior``: (mass, variance) added to each component; ``tied``: one variance for all."""
+    s, d = w[:, None] * r, m.shape[1]
     mass = np.maximum(s.sum(axis=0), 1e-300)
     mean = (s.T @ m) / mass[:, None]
-    var = np.stack([(s[:, c : c + 1] * (m - mean[c]) ** 2).sum(axis=0) + r[:, c] @ q for c in range(r.shape[1])])
+    if shape == "full":
+        var = np.stack([((s[:, c : c + 1] * (m - mean[c])).T @ (m - mean[c])) + (np.tensordot(r[:, c], q, 1) if q.ndim == 3 else np.diag(r[:, c] @ q)) for c in range(r.shape[1])])
+    else:
+        flat = np.diagonal(q, axis1=1, axis2=2) if q.ndim == 3 else q
+        var = np.stack([(s[:, c : c + 1] * (m - mean[c]) ** 2).sum(axis=0) + r[:, c] @ flat for c in range(r.shape[1])])
+    return finish(mass, mean, var, shape, floor, prior, tied, d)
+
+
+def finish(mass, mean, var, shape: str, floor: float, prior=None, tied: bool = False, d: int | None = None) -> Mixture:
+    """Components from masses, means and summed squared deviations."""
+    d = d or mean.shape[1]
     if tied:
         var, n = np.repeat(var.sum(axis=0, keepdims=True), len(mass), axis=0), np.full(len(mass), mass.sum())
     else:
         n = mass
     if prior:
-        var, n = var + prior[0] * prior[1], n + prior[0]
-    var = var / n[:, None]
+        var, n = var + prior[0] * prior[1] * (np.eye(d) if shape == "full" else 1.0), n + prior[0]
+    var = var / n.reshape(-1, *[1] * (var.ndim - 1))
     if shape == "spherical":
-        var = np.repeat(var.mean(axis=1, keepdims=True), m.shape[1], axis=1)
-    return Mixture(mass / mass.sum(), mean, np.maximum(var, floor))
+        var = np.repeat(var.mean(axis=1, keepdims=True), d, axis=1)
+    if shape == "full":
+        return Mixture(mass / mass.sum(), mean, var + floor * np.eye(d), least_var=float(np.diagonal(var, axis1=1, axis2=2).min()))
+    return Mixture(mass / mass.sum(), mean, np.maximum(var, floor), least_var=float(var.min()))
+
 
+def _iterate(step, model: Mixture, max_iter: int, tol: float) -> Mixture:
+    """``step(model)`` gives (mean log-likelihood, next model, where an empty component may start anew).  The best model is kept.
 
-def fit_features(w, m, q, k: int, shape: str = "diagonal", kernel: str = "overlap", seed: int = 0, max_iter: int = 100, tol: float = 1e-6, floor: float = 1e-12, model: Mixture | None = None, **options) -> Mixture:
-    """EM on features; the best model seen is kept, as feature likelihoods need not rise."""
-    model = model or start(w, m, q, k, seed)
-    best, best_ll, history = model, -np.inf, []
+    Stops after ``max_iter`` steps, at no improvement beyond ``tol``, or where the likelihood is no number.
+    """
+    best, best_ll, least, history, done = model, -np.inf, np.inf, [], False
     for _ in range(max_iter):
-        r, ll = e_step(model, w, m, q, kernel)
-        history.append(ll / w.sum())
+        ll, new, spare = step(model)
+        history.append(ll)
+        least = min(least, new.least_var)
+        gain = ll - best_ll
         if ll > best_ll:
-            best = model
-        if ll <= best_ll + tol * abs(best_ll if np.isfinite(best_ll) else 0.0):
+            best, best_ll = model, ll
+        if not np.isfinite(ll) or gain <= tol * abs(best_ll if np.isfinite(best_ll) else 0.0):
+            done = bool(np.isfinite(ll))
             break
-        best_ll = ll
-        model = m_step(w, m, q, r, shape, floor, **options)
-    best.history = history
-    return best
+        empty = np.flatnonzero(new.weight < 1e-12)
+        if len(empty) and spare is not None:
+            new.mean[empty], new.weight[empty] = spare, 1e-6
+            new.weight /= new.weight.sum()
+        model = new
+    return Mixture(best.weight, best.mean, best.var, history, done, least)
 
 
-def row_step(features: DataFrame, model: Mixture, variance: str) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
-    """One EM pass over rows: each task sends k partial rows.  ``textbook``: E[x^2] - E[x]^2; ``stable``: merged deviations."""
+def fit_features(w, m, q, k: int, shape: str = "diagonal", kernel: str = "overlap", seed: int = 0, max_iter: int = 100, tol: float = 0.0, floor: float = 1e-12, model: Mixture | None = None, weighted: bool = True, init: str = "pooled", **options) -> Mixture:
+    """EM on features; the best model seen is kept, as feature likelihoods need not rise.  ``options``: prior, tied."""
+    flat = np.diagonal(q, axis1=1, axis2=2) if q.ndim == 3 else q
+    model = model or start(w, m, flat, k, seed, weighted, init)
+    if shape == "full" and model.var.ndim == 2:
+        model = Mixture(model.weight, model.mean, np.stack([np.diag(v) for v in model.var]))
+
+    def step(now: Mixture):
+        r, ll = e_step(now, w, m, q, kernel)
+        fit = now.log_joint(m).max(axis=1)
+        return ll / w.sum(), m_step(w, m, q, r, shape, floor, **options), m[int(np.argmin(fit))]
+
+    return _iterate(step, model, max_iter, tol)
+
+
+def fit_features_classic(n, ls, ss, k: int, seed: int = 0, max_iter: int = 100, tol: float = 0.0, floor: float = 1e-12, model: Mixture | None = None) -> Mixture:
+    """The baseline: spherical EM in classic algebra.  Means and variances are worked out of (n, ls, ss) at each use and cancel there."""
+    ss, d = ss.reshape(len(n), -1)[:, 0], ls.shape[1]
+    centre = ls / n[:, None]
+
+    def variance(weight, lin, sq):
+        return (sq / weight - ((lin / weight[..., None]) ** 2).sum(axis=-1)) / d
+
+    if model is None:
+        c = kmeanspp(n, centre, k, seed)
+        v = float(ss.sum() / n.sum() - ((ls.sum(axis=0) / n.sum()) ** 2).sum()) / d
+        model = Mixture(np.full(len(c), 1 / len(c)), c, np.full(c.shape, max(v / len(c), floor)))
+
+    def step(now: Mixture):
+        spread = np.repeat(variance(n, ls, ss)[:, None], d, axis=1)
+        r, ll = _softmax(now.log_joint(centre, spread))
+        s = np.maximum(r.T @ n, 1e-300)
+        lin, sq = r.T @ ls, r.T @ ss
+        var = variance(s, lin, sq)
+        new = Mixture(s / s.sum(), lin / s[:, None], np.repeat(np.maximum(var, floor)[:, None], d, axis=1), least_var=float(var.min()))
+        return float((n * ll).sum() / n.sum()), new, None
+
+    return _iterate(step, model, max_iter, tol)
+
+
+def row_step(features: DataFrame, model: Mixture, variance: str, full: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
+    """One EM pass over rows or features: each task sends k partial rows.  (masses, means, summed deviations, log-likelihood).
+
+    ``textbook``: E[x^2] - E[x]^2 of rows; ``stable``: merged deviations; ``overlap``: the same of features, which bring their own.
+    """
     d, k = model.mean.shape[1], len(model.weight)
+    ship(features.sparkSession)
 
     def run(batches):
+        kind = pa.list_(pa.float64())
         for b in batches:
             if not b.num_rows:
                 continue
             w, x = b.column(0).to_numpy(), _lists(b.column(1))
-            r, ll = _softmax(model.log_joint(x))
+            q = _lists(b.column(2)) if variance == "overlap" else None
+            r, ll = _softmax(model.log_joint(x, q / w[:, None] if q is not None else None))
             s = w[:, None] * r
             mass = s.sum(axis=0)
             first = s.T @ x
@@ -117,63 +291,101 @@ def row_step(features: DataFrame, model: Mixture, variance: str) -> tuple[np.nda
                 second = s.T @ (x * x)
             else:
                 first = first / np.maximum(mass, 1e-300)[:, None]
-                second = np.stack([(s[:, c : c + 1] * (x - first[c]) ** 2).sum(axis=0) for c in range(k)])
-            kind = pa.list_(pa.float64())
+                if full:
+                    second = np.stack([((s[:, c : c + 1] * (x - first[c])).T @ (x - first[c])).ravel() for c in range(k)])
+                else:
+                    second = np.stack([(s[:, c : c + 1] * (x - first[c]) ** 2).sum(axis=0) + (r[:, c] @ q if q is not None else 0.0) for c in range(k)])
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(k), pa.int32()), pa.array(mass), pa.array(list(first), kind), pa.array(list(second), kind), pa.array(np.full(k, (w * ll).sum() / k))], ["c", "s", "a", "b", "ll"])
 
-    t = features.select("w", "m").mapInArrow(run, "c int, s double, a array<double>, b array<double>, ll double").toArrow()
+    cols = ["w", "m", "q"] if variance == "overlap" else ["w", "m"]
+    t = features.select(*cols).mapInArrow(run, "c int, s double, a array<double>, b array<double>, ll double").toArrow()
     c, s, a, b = t["c"].to_numpy(), t["s"].to_numpy(), _lists(t["a"]), _lists(t["b"])
     mass = np.maximum(np.bincount(c, weights=s, minlength=k), 1e-300)
-    mean, var = np.zeros((k, d)), np.zeros((k, d))
+    mean, dev = np.zeros((k, d)), np.zeros((k, d * d if full else d))
     for j in range(k):
         i = c == j
         if variance == "textbook":
             mean[j] = a[i].sum(axis=0) / mass[j]
-            var[j] = b[i].sum(axis=0) / mass[j] - mean[j] ** 2
+            dev[j] = (b[i].sum(axis=0) / mass[j] - mean[j] ** 2) * mass[j]
         else:
             mean[j] = (s[i, None] * a[i]).sum(axis=0) / mass[j]
-            var[j] = (b[i].sum(axis=0) + (s[i, None] * (a[i] - mean[j]) ** 2).sum(axis=0)) / mass[j]
-    return mass, mean, var, float(t["ll"].to_numpy().sum())
+            r = a[i] - mean[j]
+            dev[j] = b[i].sum(axis=0) + (((s[i, None] * r).T @ r).ravel() if full else (s[i, None] * r**2).sum(axis=0))
+    return mass, mean, dev.reshape(k, d, d) if full else dev, float(t["ll"].to_numpy().sum())
+
 
+def fit_rows(features: DataFrame, k: int, shape: str = "diagonal", variance: str = "stable", seed: int = 0, max_iter: int = 100, tol: float = 0.0, model: Mixture | None = None, floor: float = 1e-12, **options) -> Mixture:
+    """Full-data EM, the baseline, one job an iteration; k-means++ on rows unless a model is given.
 
-def fit_rows(features: DataFrame, k: int, shape: str = "diagonal", variance: str = "stable", seed: int = 0, max_iter: int = 100, tol: float = 1e-6, model: Mixture | None = None, sample: int = 2000) -> Mixture:
-    """Full-data EM, the baseline; starts from a bounded sample of rows unless a model is given."""
+    With ``variance="overlap"`` the rows are features and this is the features' EM for summaries too long for the driver.
+    """
     features = features.persist()
     if model is None:
-        rows = features.orderBy(F.xxhash64("m", F.lit(seed))).limit(sample).select("m").collect()
-        x = np.array([r["m"] for r in rows])
-        model = start(np.ones(len(x)), x, np.zeros_like(x), k, seed)
-    last, history = -np.inf, []
-    for _ in range(max_iter):
-        mass, mean, var, ll = row_step(features, model, variance)
-        history.append(ll / mass.sum())
-        if not np.isfinite(ll) or ll <= last + tol * abs(last if np.isfinite(last) else 0.0):
-            break
-        last = ll
-        if shape == "spherical":
-            var = np.repeat(var.mean(axis=1, keepdims=True), var.shape[1], axis=1)
-        model = Mixture(mass / mass.sum(), mean, np.maximum(var, 1e-12))
+        x = kmeanspp_rows(features, k, seed)
+        d = x.shape[1]
+        st = features.agg(*[F.var_pop(F.col("m")[i]).alias(f"v{i}") for i in range(d)]).first()
+        var = np.maximum(np.array([st[f"v{i}"] for i in range(d)]) / len(x), 1e-12)
+        model = Mixture(np.full(len(x), 1 / len(x)), x, np.repeat(var[None], len(x), axis=0))
+    if shape == "full" and model.var.ndim == 2:
+        model = Mixture(model.weight, model.mean, np.stack([np.diag(v) for v in model.var]))
+
+    def step(now: Mixture):
+        mass, mean, dev, ll = row_step(features, now, variance, shape == "full")
+        return ll / mass.sum(), finish(mass, mean, dev, shape, floor, **options), None
+
+    out = _iterate(step, model, max_iter, tol)
     features.unpersist()
-    model.history = history
-    return model
+    return out
 
 
-def assign(df: DataFrame, model: Mixture) -> DataFrame:
-    """Rows (w, m, ...) with the most likely component and the log density; the model is k rows, sent with the task."""
+def fit_by_partition(features: DataFrame, k: int, cfg: TreeConfig = TreeConfig(), shape: str = "diagonal", max_iter: int = 50) -> DataFrame:
+    """Each task fits k components to its own rows (through a tree, so memory is bounded) and sends them as features (w, m, q)."""
+
+    def run(batches):
+        tree = None
+        for b in batches:
+            if b.num_rows:
+                m = _lists(b.column(1))
+                tree = tree or FeatureTree(cfg, m.shape[1])
+                tree.insert_batch(b.column(0).to_numpy(), m, _lists(b.column(2)))
+        if tree is None:
+            return
+        w, m, q = tree.leaves()
+        fit = fit_features(w, m, q, min(k, len(w)), shape, max_iter=max_iter)
+        r, _ = e_step(fit, w, m, q)
+        mass = r.T @ w
+        use = mass > 0
+        kind = pa.list_(pa.float64())
+        own = m_step(w, m, q, r, "diagonal", 0.0)
+        yield pa.RecordBatch.from_arrays([pa.array(mass[use]), pa.array(list(own.mean[use]), kind), pa.array(list(own.var[use] * mass[use, None]), kind)], ["w", "m", "q"])
+
+    ship(features.sparkSession)
+    return features.select("w", "m", "q").mapInArrow(run, "w double, m array<double>, q array<double>")
+
+
+def assign(df: DataFrame, model: Mixture, output: str = "hard") -> DataFrame:
+    """Rows (w, m, ...) with the log density and, by ``output``, the most likely component (hard) or all responsibilities (soft) too."""
 
     def run(batches):
         for b in batches:
             if not b.num_rows:
                 continue
             r, ll = _softmax(model.log_joint(_lists(b.column(b.schema.get_field_index("m")))))
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(r.argmax(axis=1), pa.int32()), pa.array(ll)], [*b.schema.names, "comp", "logpdf"])
+            more = {"hard": [pa.array(r.argmax(axis=1), pa.int32())], "soft": [pa.array(list(r), pa.list_(pa.float64()))], "logpdf": []}[output]
+            yield pa.RecordBatch.from_arrays([*b.columns, *more, pa.array(ll)], [*b.schema.names, *names, "logpdf"])
 
+    ship(df.sparkSession)
+    names, kinds = {"hard": (["comp"], "comp int, "), "soft": (["resp"], "resp array<double>, "), "logpdf": ([], "")}[output]
     fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in df.schema.fields)
-    return df.mapInArrow(run, f"{fields}, comp int, logpdf double")
+    return df.mapInArrow(run, f"{fields}, {kinds}logpdf double")
 
 
 def loglik(df: DataFrame, model: Mixture) -> DataFrame:
-    return assign(df, model).agg(F.sum("w").alias("rows"), (F.sum(F.col("w") * F.col("logpdf")) / F.sum("w")).alias("mean_ll"))
+    return assign(df, model, "logpdf").agg(F.sum("w").alias("rows"), (F.sum(F.col("w") * F.col("logpdf")) / F.sum("w")).alias("mean_ll"))
+
+
+def mean_loglik(df: DataFrame, model: Mixture) -> float:
+    return float(loglik(df, model).first()["mean_ll"])
 
 
 def kmeans(w, m, q, k: int, seed: int = 0, max_iter: int = 100, weighted: bool = True) -> tuple[np.ndarray, float]:
@@ -181,36 +393,48 @@ def kmeans(w, m, q, k: int, seed: int = 0, max_iter: int = 100, weighted: bool =
     use = w if weighted else np.ones_like(w)
     c = kmeanspp(use, m, k, seed)
     for _ in range(max_iter):
-        at = ((m[:, None, :] - c[None]) ** 2).sum(axis=2).argmin(axis=1)
+        at = _nearest(m, c)[0]
         new = np.array([(use[at == j, None] * m[at == j]).sum(axis=0) / use[at == j].sum() if (at == j).any() else c[j] for j in range(len(c))])
         if np.allclose(new, c):
             break
         c = new
-    at = ((m[:, None, :] - c[None]) ** 2).sum(axis=2).argmin(axis=1)
+    at = _nearest(m, c)[0]
     return c, float((w * ((m - c[at]) ** 2).sum(axis=1)).sum() + q.sum())
 
 
-def agglomerate(w, m, q, k: int, kind: str = "D4") -> np.ndarray:
-    """Cluster of each feature after merging nearest features (any distance as linkage) down to k."""
+def agglomerate(w, m, q, k: int, kind: str = "D4", history: bool = False):
+    """Cluster of each feature after merging nearest features (any distance as linkage) down to k; with ``history`` the merges (a, b, distance) too."""
     from stablecf.functions.measures import squared_np
 
     w, m, q = w.copy(), m.copy(), q.copy()
-    label, alive = np.arange(len(w)), list(range(len(w)))
-    d = np.full((len(w), len(w)), np.inf)
-    for i in alive:
+    n = len(w)
+    label, alive, d = np.arange(n), np.ones(n, bool), np.full((n, n), np.inf)
+    for i in range(n):
         d[i] = squared_np(w[i], m[i], q[i], w, m, q, kind)
         d[i, i] = np.inf
-    while len(alive) > k:
-        i, j = np.unravel_index(int(np.argmin(d)), d.shape)
+    near = d.argmin(axis=1) if n else np.zeros(0, int)  # each feature's nearest; only those a merge touches are looked up again
+    merges = []
+    for _ in range(max(0, n - k)):
+        rows = np.flatnonzero(alive)
+        i = int(rows[np.argmin(d[rows, near[rows]])])
+        j = int(near[i])
+        i, j = min(i, j), max(i, j)
+        merges.append((i, j, float(np.sqrt(max(0.0, d[i, j])))))
         t = w[i] + w[j]
         delta = m[j] - m[i]
         q[i] += q[j] + w[i] * w[j] / t * delta**2
         m[i] += w[j] / t * delta
         w[i] = t
         label[label == j] = i
-        alive.remove(j)
+        alive[j] = False
         d[j, :] = d[:, j] = np.inf
-        row = squared_np(w[i], m[i], q[i], w, m, q, kind)
-        keep = [x for x in alive if x != i]
-        d[i, keep] = d[keep, i] = row[keep]
-    return np.unique(label, return_inverse=True)[1]
+        row = np.where(alive, squared_np(w[i], m[i], q[i], w, m, q, kind), np.inf)
+        row[i] = np.inf
+        d[i], d[:, i] = row, row
+        stale = alive & ((near == i) | (near == j))
+        stale[i] = True
+        for x in np.flatnonzero(stale).tolist():
+            near[x] = int(d[x].argmin())
+        closer = alive & (row < d[np.arange(n), near])
+        near[closer] = i
+    return (np.unique(label, return_inverse=True)[1], merges) if history else np.unique(label, return_inverse=True)[1]

@@ -1,7 +1,8 @@
 from pyspark.sql import functions as F
 
 from stablecf.operators.tree import TreeConfig
-from stablecf.streaming.windows import evolving_summary, window_features
+from stablecf.operators import mixture as M
+from stablecf.streaming.windows import evolving_summary, interval_join, keyed_summary, score_stream, session_features, unique_events, window_features
 
 EVENTS = "/root/testdata/sf0.001/events.parquet"
 
@@ -24,3 +25,52 @@ def test_stream_windows_equal_batch(spark, tmp_path):
     assert q.awaitTermination(90)
     key = lambda df: sorted((str(r["win"]["start"]), r["event_type"], r["w"], round(r["m"][0], 6)) for r in df.collect())
     assert key(spark.table("win_features")) == key(window_features(e, [F.col("value")], "ts", "6 hours", keys=("event_type",)))
+
+
+def stream_of(spark, tmp_path, files=2):
+    e = spark.read.parquet(EVENTS)
+    e.repartition(files).write.parquet(str(tmp_path / "in"))
+    return e, spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+
+
+def run(out, name, mode):
+    q = out.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
+    assert q.awaitTermination(120) and q.exception() is None
+    return out.sparkSession.table(name)
+
+
+def test_keyed_summary_keeps_each_key_within_its_cap(spark, tmp_path):
+    e, s = stream_of(spark, tmp_path)
+    last = run(keyed_summary(s, "event_type", [F.col("value")], TreeConfig(leaf_cap=20)), "keyed", "update")
+    n = {r["event_type"]: r["count"] for r in e.groupBy("event_type").count().collect()}
+    got = last.collect()
+    for k, want in n.items():
+        # each batch sends a key's whole state: the last one sent weighs all rows
+        mine = [r["w"] for r in got if r["key"] == k]
+        assert len(mine) <= 40 and max(sum(mine[i:j]) for i in range(len(mine)) for j in range(i + 1, min(len(mine), i + 20) + 1) if sum(mine[i:j]) <= want) == want
+
+
+def test_scored_unique_and_joined_streams_equal_batch(spark, tmp_path):
+    import numpy as np
+
+    e, s = stream_of(spark, tmp_path)
+    model = M.Mixture(np.array([0.5, 0.5]), np.array([[5.0], [100.0]]), np.array([[25.0], [900.0]]))
+    key = lambda df: sorted(map(str, df.collect()))
+    assert key(run(score_stream(s, [F.col("value")], model, ["event_id"]), "scored", "append")) == key(score_stream(e, [F.col("value")], model, ["event_id"]))
+    twice = s.unionByName(s)
+    assert run(unique_events(twice, ["event_id"], "ts", "60 days"), "unique", "append").count() == e.count()
+    joined = run(interval_join(s.where("event_type = 'view'"), s.where("event_type = 'error'"), "user_id", "ts", 600, "60 days"), "joined", "append")
+    assert key(joined) == key(interval_join(e.where("event_type = 'view'"), e.where("event_type = 'error'"), "user_id", "ts", 600, "60 days"))
+
+
+def test_sessions_decay_and_versions(spark, tmp_path):
+    e, s = stream_of(spark, tmp_path, 3)
+    out = run(session_features(s, [F.col("value")], "ts", "6 hours", keys=("user_id",), late="60 days"), "sessions", "complete")
+    key = lambda df: sorted((r["user_id"], str(r["win"]["start"]), r["w"]) for r in df.collect())
+    assert key(out) == key(session_features(e, [F.col("value")], "ts", "6 hours", keys=("user_id",)))
+    q = evolving_summary(s, [F.col("value")], TreeConfig(leaf_cap=50), str(tmp_path / "out"), str(tmp_path / "ck"), decay=0.5, least=1e-3)
+    assert q.awaitTermination(90)
+    assert not (tmp_path / "out" / "v=0").exists()
+    sizes = [spark.read.parquet(str(f)).count() for f in sorted((tmp_path / "in").glob("*.parquet"))]
+    w = spark.read.parquet(str(tmp_path / "out" / "v=2")).agg(F.sum("w")).first()[0]
+    assert min(sizes) * 1.7 < w < max(sizes) * 1.8

@@ -7,7 +7,7 @@ from stablecf.plans import workloads
 KINDS = {k: inspect.signature(getattr(workloads, k)) for k in ("quality", "shift_sweep")}
 
 
-def calls(monkeypatch, spark, name, target="quality"):
+def calls(monkeypatch, spark, name, target="quality", sf="sf0.1"):
     """The full arguments with which a registered query calls a workload, which is not run."""
     seen, kind = [], KINDS[target]
 
@@ -18,7 +18,7 @@ def calls(monkeypatch, spark, name, target="quality"):
         return spark.createDataFrame([], workloads.SCHEMA)
 
     monkeypatch.setattr(workloads, target, stub)
-    registry.queries()[name](spark, "/root/testdata/sf0.001")
+    registry.queries()[name](spark, f"/root/testdata/{sf}")
     return seen
 
 
@@ -29,8 +29,9 @@ def test_workloads_are_registered_whole(spark, monkeypatch):
     assert max(a["ks"]) == 20 and a["cap"] == 5000 and a["iters"] == 100
     each = calls(monkeypatch, spark, "q_w2_grid")
     assert each[-1]["source"].count() == 1_000_000 and all(a["iters"] == 100 and max(a["ks"]) == 100 for a in each)
-    a = calls(monkeypatch, spark, "q_w5_real")[0]
-    assert max(a["ks"]) == 100 and a["cap"] == 15_000 and a["iters"] == 100 and a["rows_k"] == 50
+    assert calls(monkeypatch, spark, "q_w1_shift", "shift_sweep", "sf0.01")[0]["n"] == 15_000  # generated data follow the scale of the tables
+    for a in calls(monkeypatch, spark, "q_w5_real"):
+        assert max(a["ks"]) == 100 and a["cap"] == 15_000 and a["iters"] == 100 and a["rows_k"] == 50
 
 
 def test_rows_and_features_may_run_equally_long(spark, monkeypatch):
