@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 import pyarrow as pa
@@ -71,8 +72,7 @@ def shift_lineitem(spark: SparkSession, source: DataFrame, shifts=(0.0, 1e3, 1e5
 
 
 def _sweep(spark, rows_at, truth, shifts, cap, iters, precision, seeds, name) -> DataFrame:
-    out = []
-    for s in shifts:
+    def at(s: float) -> list[tuple]:
         seen: dict[tuple[str, str], list[float]] = {}
         for seed in range(seeds):
             rows = rows_at(s, seed).persist()
@@ -82,13 +82,16 @@ def _sweep(spark, rows_at, truth, shifts, cap, iters, precision, seeds, name) ->
                 summary = None if kind == "points" else collect(summarize(rows, cfg, compact=precision == "f64"))
                 model = _fit(rows, summary, method, "spherical", 2, iters, seed)
                 seen.setdefault((method, "mean_ll"), []).append(M.mean_loglik(rows, model))
-                # weighted as the table weighs its parts, as a component that cancelled may hold a few rows only
+                # weighted by component, as one that cancelled may hold a few rows only
                 var = float((model.weight[:, None] * model.var).sum() / model.var.shape[1])
                 seen.setdefault((method, "variance_error"), []).append(abs(var - truth(s)) / truth(s))
                 seen.setdefault((method, "least_variance"), []).append(model.least_var)
             rows.unpersist()
-        out += [(name, m, s, x, float(np.mean(v))) for (m, x), v in seen.items()]
-    return _rows(spark, out)
+        return [(name, m, s, x, float(np.mean(v))) for (m, x), v in seen.items()]
+
+    # no times are taken here, so shifts may share the cluster
+    with ThreadPoolExecutor(4) as pool:
+        return _rows(spark, [r for rs in pool.map(at, shifts) for r in rs])
 
 
 def quality(spark: SparkSession, source: DataFrame, axes: list, ks=(2, 5, 10, 20), cap: int = 5000, iters: int = 100, name: str = "quality", rows_k: int | None = None, precision: str = "f64", methods=METHODS) -> DataFrame:

@@ -666,7 +666,9 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 _S = [q_stable_group, q_classic_group, q_stable_merge, q_stable_fold, q_stable_weighted, q_cov_feature, q_convert_roundtrip, q_cancel_minutes, q_nearest_feature, q_absorb_flags, q_hier_first_merge, q_cells, q_tree_conservation, q_tree_limits, q_estep("overlap"), q_estep("centre"), q_estep("expected"), q_mstep_diagonal, q_loglik, q_assign_hard, q_compression, q_rollup_features, q_win_running_feature, q_stream_window, q_stream_sliding, q_op_join_interval, q_op_join_asof, q_stable_scalar, q_variance_form, q_feature_memory, q_op_zscore, q_op_topk_features, q_op_join_semi, q_op_join_anti]
 _S += [q_classic_merge, q_classic_point, q_stable_point, q_cov_merge, q_cov_fold, q_to_stable, q_derived_stats, q_kde, q_max_radius, q_single_at_rest, q_shift_exact, q_cells_multi, q_nearest_region, _mstep("spherical"), q_mstep_full, q_loglik_features, q_loglik_fitted, q_assign_soft, _em("points_stable"), _em("points_textbook"), _em("features_3"), q_kmeans_step, q_stream_session, q_summary_by_group, q_expand]
-_ROWS = [q_cancel_flags, q_summary_leaves, q_tree_stats, q_misrouting, q_kmeans_cost, q_hier, q_medoids, q_density_clusters, q_init_pp, q_shapes, q_routes, q_w1_shift, q_w1_lineitem, q_w1_single, q_w2_quality, q_w2_grid, q_w2_random, q_w3_build, q_w5_real, q_w6_hulls, q_w7_measures, q_w8_order, q_w9_kernels, q_w10_storage, q_w11_wide, *[_fit(f, s) for f, s in (("features_stable", "diagonal"), ("features_stable", "spherical"), ("features_classic", "spherical"), ("points_textbook", "spherical"), ("points_stable", "diagonal"), ("points_stable", "spherical"))]]
+_ROWS = [q_cancel_flags, q_summary_leaves, q_tree_stats, q_misrouting, q_kmeans_cost, q_hier, q_medoids, q_density_clusters, q_init_pp, q_shapes, q_routes]
+_WORKLOADS = [q_w1_shift, q_w1_lineitem, q_w1_single, q_w2_quality, q_w2_grid, q_w2_random, q_w3_build, q_w5_real, q_w6_hulls, q_w7_measures, q_w8_order, q_w9_kernels, q_w10_storage, q_w11_wide]
+_ROWS += [*[_fit(f, s) for f, s in (("features_stable", "diagonal"), ("features_stable", "spherical"), ("features_classic", "spherical"), ("points_textbook", "spherical"), ("points_stable", "diagonal"), ("points_stable", "spherical"))]]
 
 
 def _pair_query(kind: str, form: str):
@@ -684,6 +686,11 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {f.__name__: f for f in [*_S, *_PAIRS]} | relational.QUERIES | {f.__name__: f for f in _ROWS}
 
 
+def workloads() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    """The experiments: the longest queries."""
+    return {f.__name__: f for f in _WORKLOADS}
+
+
 LI = "li AS (SELECT l_returnflag, l_linestatus, l_orderkey, l_quantity AS x0, l_extendedprice / 1000 AS x1 FROM lineitem)"
 CU = "cu AS (SELECT c_nationkey AS k, c_acctbal / 1000 AS x0, CAST(c_custkey % 7 AS DOUBLE) AS x1 FROM customer)"
 

@@ -18,7 +18,7 @@ def calls(monkeypatch, spark, name, target="quality", sf="sf0.1"):
         return spark.createDataFrame([], workloads.SCHEMA)
 
     monkeypatch.setattr(workloads, target, stub)
-    registry.queries()[name](spark, f"/root/testdata/{sf}")
+    registry.workloads()[name](spark, f"/root/testdata/{sf}")
     return seen
 
 
