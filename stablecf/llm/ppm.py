@@ -1,7 +1,8 @@
 """Prediction by partial matching over bytes, as a language-model score.
 
 A text is its lower-cased words joined by single spaces, then one end byte (0).
-The model is a trie of byte contexts of up to four bytes.  A symbol's
+The model is a trie of byte contexts of up to ``order`` bytes (five by default,
+six at most).  A symbol's
 probability starts at the longest context seen in training; with counts c of
 the symbols there, their sum n and number q,
 
@@ -11,15 +12,17 @@ and an escape goes to the context shorter by one byte, from whose counts the
 symbols of the longer context are excluded; below order 0 all symbols not yet
 excluded are alike.
 
-Distributed form: a chunk sends its different five-byte strings with their
-training counts to owners chosen by the two bytes before the symbol, so an
-owner holds whole branches of orders 4, 3 and 2; orders 1 and 0 are a table of
+Distributed form: a chunk sends its different strings of ``order`` + 1 bytes with
+their training counts to owners chosen by the two bytes before the symbol, so an
+owner holds whole branches of orders 2 and above; orders 1 and 0 are a table of
 at most 65536 counts.  Owners answer with each string's log probability.  Words
 for the unigram base go the same way.  ``BytePPM`` is the same model as a trie in
-memory, which can also adapt while it codes.
+memory, which can also adapt while it codes; ``adaptive_documents`` codes each
+document so, from an empty trie.
 
 Defined results: null text is the end alone; without any training text every
-symbol has probability 1/256 and the base uses counts of 0; rows that repeat
+symbol has probability 1/256 and the base uses counts of 0; a NUL in a text is
+coded as byte 255, which UTF-8 lacks, as 0 is the end; rows that repeat
 are scored one by one; null ids are training documents.
 """
 
@@ -36,7 +39,7 @@ from stablecf.llm import census
 from stablecf.llm import kernels as K
 from stablecf.llm.common import NO_ID, chunked, ids_and_texts, ship
 
-ORDER = 4
+ORDER = 5
 SCHEMA = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double, n_bytes long"
 
 
@@ -97,7 +100,7 @@ def stream_of(text: str) -> bytes:
     return b" ".join(w for w in text.encode().translate(_PLAIN).split(b" ") if w) + b"\0"
 
 
-_PLAIN = bytes(32 if i in (9, 10, 11, 12, 13) else int(K.LOWER[i]) for i in range(256))
+_PLAIN = bytes(255 if not i else 32 if i in (9, 10, 11, 12, 13) else int(K.LOWER[i]) for i in range(256))
 
 
 def streams(data: np.ndarray, starts: np.ndarray, ends: np.ndarray):
@@ -109,6 +112,7 @@ def streams(data: np.ndarray, starts: np.ndarray, ends: np.ndarray):
     h = K.word_hashes(buf, ws, we)
     keep = K.NONBLANK[buf]
     buf = np.where(keep, buf, np.uint8(32))
+    buf[buf == 0] = 255
     keep[we] = True
     last = np.cumsum(words) - 1
     end = np.where(words > 0, we[last] if len(we) else e, e)
@@ -119,16 +123,16 @@ def streams(data: np.ndarray, starts: np.ndarray, ends: np.ndarray):
     return buf[keep], n, h, words
 
 
-def strings(stream: np.ndarray, n: np.ndarray) -> np.ndarray:
-    """Each symbol with the four bytes before it, as a 40-bit number; zeros stand before a text."""
+def strings(stream: np.ndarray, n: np.ndarray, order: int) -> np.ndarray:
+    """Each symbol with the ``order`` bytes before it, as a number; zeros stand before a text."""
     first = np.cumsum(n) - n
-    b = np.insert(stream, np.repeat(first, ORDER), 0).astype(np.uint64)
+    b = np.insert(stream, np.repeat(first, order), 0).astype(np.uint64)
     key = np.zeros(len(b), dtype=np.uint64)
-    for k in range(ORDER + 1):
+    for k in range(order + 1):
         key[k:] |= b[: len(b) - k] << np.uint64(8 * k)
     keep = np.ones(len(b), dtype=bool)
-    pad = first + ORDER * np.arange(len(n))
-    keep[(pad[:, None] + np.arange(ORDER)).ravel()] = False
+    pad = first + order * np.arange(len(n))
+    keep[(pad[:, None] + np.arange(order)).ravel()] = False
     return key[keep]
 
 
@@ -140,37 +144,38 @@ def _segment_sum(values: np.ndarray, group: np.ndarray, n: int) -> np.ndarray:
     return np.bincount(group, weights=values, minlength=n)
 
 
-def log_probabilities(keys: np.ndarray, counts: np.ndarray, table: np.ndarray) -> np.ndarray:
-    """log10 of each five-byte string's last symbol; ``keys`` sorted and different, with all strings of their two-byte contexts.
+def log_probabilities(keys: np.ndarray, counts: np.ndarray, table: np.ndarray, order: int = ORDER) -> np.ndarray:
+    """log10 of each string's last symbol; ``keys`` sorted and different, with all strings of their two-byte contexts.
 
     ``table``: 256 x 256 training counts of (byte, next symbol).
     """
+    high = range(order, 1, -1)
     sym = (keys & np.uint64(255)).astype(np.int64)
-    c = {4: counts.astype(np.float64)}
-    here = {4: np.arange(len(keys))}  # each string's (context, symbol) of an order
+    c = {order: counts.astype(np.float64)}
+    here = {order: np.arange(len(keys))}  # each string's (context, symbol) of an order
     ctx, n_ctx = {}, {}
-    for k in (3, 2):
+    for k in range(order - 1, 1, -1):
         u, back = np.unique(keys & np.uint64((1 << (8 * (k + 1))) - 1), return_inverse=True)
         here[k] = back
-        c[k] = _segment_sum(c[4], back, len(u))
-    for k in (4, 3, 2):
+        c[k] = _segment_sum(c[order], back, len(u))
+    for k in high:
         u, back = np.unique((keys >> np.uint64(8)) & np.uint64((1 << (8 * k)) - 1), return_inverse=True)
         ctx[k], n_ctx[k] = back, len(u)
     one = ((keys >> np.uint64(8)) & np.uint64(255)).astype(np.int64)
     table = table.astype(np.float64)
     n0 = table.sum(axis=0)
-    count_at = {4: c[4], 3: c[3][here[3]], 2: c[2][here[2]], 1: table[one, sym], 0: n0[sym]}
+    count_at = {k: c[k][here[k]] for k in high} | {1: table[one, sym], 0: n0[sym]}
     out, done = np.zeros(len(keys)), np.zeros(len(keys), dtype=bool)
     # what is left of a context's counts after the exclusions that its longer context brings
     left_n, left_q = {}, {}
-    first = {k: np.unique(here[k], return_index=True)[1] for k in (4, 3, 2)}
-    for k in (4, 3, 2):
+    first = {k: np.unique(here[k], return_index=True)[1] for k in high}
+    for k in high:
         f = first[k]
         left_n[k] = _segment_sum(count_at[k][f], ctx[k][f], n_ctx[k])[ctx[k]]
         left_q[k] = _segment_sum((count_at[k][f] > 0).astype(float), ctx[k][f], n_ctx[k])[ctx[k]]
     left_n[1], left_q[1] = table.sum(axis=1)[one], (table > 0).sum(axis=1).astype(float)[one]
     left_n[0], left_q[0] = np.full(len(keys), n0.sum()), np.full(len(keys), float((n0 > 0).sum()))
-    for k in (3, 2, 1):  # exclude the symbols of order k + 1 from order k
+    for k in range(order - 1, 0, -1):  # exclude the symbols of order k + 1 from order k
         f = first[k + 1]
         seen = count_at[k + 1][f] > 0
         g = ctx[k + 1][f]
@@ -179,7 +184,7 @@ def log_probabilities(keys: np.ndarray, counts: np.ndarray, table: np.ndarray) -
     seen1 = table > 0
     left_n[0] = left_n[0] - (seen1 * n0).sum(axis=1)[one]
     left_q[0] = left_q[0] - seen1.sum(axis=1)[one]
-    for k in (4, 3, 2, 1, 0):
+    for k in range(order, -1, -1):
         n, q = left_n[k], left_q[k]
         live = ~done & (q > 0)
         hit = live & (count_at[k] > 0)
@@ -196,13 +201,13 @@ def _held(ids: list[int], fold: int, of: int) -> np.ndarray:
     return np.array([x != NO_ID and zlib.crc32(str(x).encode()) % of == fold for x in ids], dtype=bool)
 
 
-def _items(t: pa.Table, fold: int, of: int):
+def _items(t: pa.Table, fold: int, of: int, order: int = ORDER):
     """Per block: (first text, last text, strings, lengths, word hashes, numbers of words, held out)."""
     data, starts, ends = K.as_bytes(t["text"])
     held = _held(t["doc_id"].to_pylist(), fold, of)
     for i, j in K.blocks(starts, ends):
         st, n, h, words = streams(data, starts[i:j], ends[i:j])
-        yield i, j, strings(st, n), n, h, words, held[i:j]
+        yield i, j, strings(st, n, order), n, h, words, held[i:j]
 
 
 def _counted(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
@@ -214,17 +219,14 @@ def _counted(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np
 
 def _tally(keys: np.ndarray, train: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Different keys, and how often each is a training key."""
-    u = np.unique(keys)
-    v, n = np.unique(keys[train], return_counts=True)
-    out = np.zeros(len(u), dtype=np.int64)
-    out[np.searchsorted(u, v)] = n
-    return u, out
+    u, back = _ranked(keys)
+    return u, np.bincount(back[train], minlength=len(u)).astype(np.int64)
 
 
-def _send(chunk: int, t: pa.Table, word_buckets: int, string_buckets: int, fold: int, of: int) -> pa.Table:
+def _send(chunk: int, t: pa.Table, word_buckets: int, string_buckets: int, fold: int, of: int, order: int) -> pa.Table:
     K.trim()
     s, w = [], []
-    for _, _, keys, n, h, words, held in _items(t, fold, of):
+    for _, _, keys, n, h, words, held in _items(t, fold, of, order):
         s.append(_tally(keys, np.repeat(~held, n)))
         w.append(_tally(h, np.repeat(~held, words)))
     keys, counts = _counted(w)
@@ -241,7 +243,8 @@ def _parcels(chunk: int, keys: np.ndarray, counts: np.ndarray, bucket: np.ndarra
     return [(int(x), chunk, K.squeeze(K.deltas(keys[order[i:j]]), counts[order[i:j]].astype(np.uint32))) for x, i, j in zip(every, lo.tolist(), hi.tolist(), strict=True)]
 
 
-def _answer(t: pa.Table, word_buckets: int, table: np.ndarray) -> pa.Table:
+def _answer(t: pa.Table, word_buckets: int, table: np.ndarray, order: int) -> pa.Table:
+    K.trim()
     bucket = t["bucket"][0].as_py()
     t = t.sort_by([("chunk", "ascending")])
     parts = [K.unsqueeze(x) for x in t["body"].to_pylist()]
@@ -252,7 +255,7 @@ def _answer(t: pa.Table, word_buckets: int, table: np.ndarray) -> pa.Table:
         tail = [np.array([int(n.sum()), int((n > 0).sum())], dtype=np.int64)]
         said = n.astype(np.int64)
     else:
-        tail, said = [], log_probabilities(u, n, table).astype(np.float32)
+        tail, said = [], log_probabilities(u, n, table, order).astype(np.float32)
     edge = np.cumsum([len(p[0]) for p in parts])[:-1]
     return pa.table({"bucket": t["bucket"], "chunk": t["chunk"], "body": pa.array([K.squeeze(x, *tail) for x in np.split(said[back], edge)], pa.binary())})
 
@@ -267,9 +270,9 @@ def _values(keys: np.ndarray, bucket: np.ndarray, got: dict[int, list[np.ndarray
     return out
 
 
-def _score(t: pa.Table, told: pa.Table, word_buckets: int, string_buckets: int, fold: int, of: int, train_docs: int) -> pa.Table:
+def _score(t: pa.Table, told: pa.Table, word_buckets: int, string_buckets: int, fold: int, of: int, train_docs: int, order: int) -> pa.Table:
     K.trim()
-    blocks = [(i, j, n, words, held, *np.unique(h, return_inverse=True), *_ranked(keys)) for i, j, keys, n, h, words, held in _items(t, fold, of)]
+    blocks = [(i, j, n, words, held, *np.unique(h, return_inverse=True), *_ranked(keys)) for i, j, keys, n, h, words, held in _items(t, fold, of, order)]
     got = {b: K.unsqueeze(x) for b, x in zip(told["bucket"].to_pylist(), told["body"].to_pylist(), strict=True)}
     total = train_docs + sum(int(got[b][1][0]) for b in range(word_buckets))
     different = (train_docs > 0) + sum(int(got[b][1][1]) for b in range(word_buckets))
@@ -292,15 +295,25 @@ def _score(t: pa.Table, told: pa.Table, word_buckets: int, string_buckets: int,
 
 
 def _ranked(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """np.unique with inverse, by one sort of key and place together (a block has under 2**24 symbols, a key 40 bits)."""
-    if len(keys) >= 1 << 24:
+    """np.unique with inverse, by one sort of key and place together, the bytes of the key written in as few bits as the block's bytes need."""
+    if not len(keys):
+        return keys, np.zeros(0, dtype=np.int32)
+    parts = keys.view(np.uint8).reshape(-1, 8)[:, : max(1, -(-int(keys.max()).bit_length() // 8))]  # newest byte first
+    used = np.unique(parts)
+    bits, place = max(1, int(len(used) - 1).bit_length()), int(len(keys) - 1).bit_length()
+    if bits * parts.shape[1] + place > 64:
         return np.unique(keys, return_inverse=True)
-    x = np.sort((keys << np.uint64(24)) | np.arange(len(keys), dtype=np.uint64))
-    k = x >> np.uint64(24)
+    rank = np.zeros(256, dtype=np.uint64)
+    rank[used] = np.arange(len(used), dtype=np.uint64)
+    x = np.zeros(len(keys), dtype=np.uint64)
+    for i in range(parts.shape[1]):
+        x |= rank[parts[:, i]] << np.uint64(bits * i)
+    x = np.sort((x << np.uint64(place)) | np.arange(len(keys), dtype=np.uint64))
+    k, at = x >> np.uint64(place), (x & np.uint64((1 << place) - 1)).astype(np.int64)
     new = np.append(True, k[1:] != k[:-1])
-    rank = np.empty(len(keys), dtype=np.int32)
-    rank[(x & np.uint64((1 << 24) - 1)).astype(np.int64)] = np.cumsum(new) - 1
-    return k[new], rank
+    out = np.empty(len(keys), dtype=np.int32)
+    out[at] = np.cumsum(new) - 1
+    return keys[at[new]], out
 
 
 def _per_text(values: np.ndarray, n: np.ndarray) -> np.ndarray:
@@ -318,8 +331,10 @@ def _bigrams(batches, fold: int, of: int):
     yield pa.RecordBatch.from_arrays([pa.array(i, pa.int32()), pa.array(total[i], pa.int64())], ["pair", "n"])
 
 
-def score_documents(spark: SparkSession, df: DataFrame, fold: int = 1, of: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score_documents(spark: SparkSession, df: DataFrame, fold: int = 1, of: int = 5, order: int = ORDER, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document, as ``SCHEMA`` says; documents whose crc32(id as text) mod ``of`` is ``fold`` are not learnt from."""
+    if not 2 <= order <= 6:
+        raise ValueError("2 <= order <= 6 is needed")
     ship(spark)
     docs = ids_and_texts(df, id_col, text_col)
     learnt = F.when((F.col("doc_id") == NO_ID) | (F.crc32(F.col("doc_id").cast("string")) % of != fold), 1).otherwise(0)
@@ -336,10 +351,24 @@ def score_documents(spark: SparkSession, df: DataFrame, fold: int = 1, of: int =
     chunks, _, _ = chunked(spark, docs, size, total)
 
     def send(key: tuple, t: pa.Table) -> pa.Table:
-        return _send(key[0].as_py(), t, word_buckets, string_buckets, fold, of)
+        return _send(key[0].as_py(), t, word_buckets, string_buckets, fold, of, order)
 
     def score(t: pa.Table, told: pa.Table) -> pa.Table:
-        return _score(t, told, word_buckets, string_buckets, fold, of, train_docs)
+        return _score(t, told, word_buckets, string_buckets, fold, of, train_docs, order)
 
-    told = chunks.groupBy("chunk").applyInArrow(send, census.BLOB).groupBy("bucket").applyInArrow(lambda t: _answer(t, word_buckets, table), census.BLOB)
+    told = chunks.groupBy("chunk").applyInArrow(send, census.BLOB).groupBy("bucket").applyInArrow(lambda t: _answer(t, word_buckets, table, order), census.BLOB)
     return chunks.groupBy("chunk").cogroup(told.groupBy("chunk")).applyInArrow(score, SCHEMA)
+
+
+def adaptive_documents(spark: SparkSession, df: DataFrame, order: int = ORDER, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, n_bytes, score): each document coded from an empty trie that learns every symbol after coding it."""
+    ship(spark)
+
+    def run(batches):
+        for b in batches:
+            data = [stream_of(t) for t in b.column(1).to_pylist()]
+            ids = pa.array([None if x == NO_ID else x for x in b.column(0).to_pylist()], pa.int64())
+            score = [BytePPM(order).code(s, adapt=True) for s in data]
+            yield pa.RecordBatch.from_arrays([ids, pa.array([len(s) for s in data], pa.int64()), pa.array(score, pa.float64())], ["doc_id", "n_bytes", "score"])
+
+    return ids_and_texts(df, id_col, text_col).mapInArrow(run, "doc_id long, n_bytes long, score double")

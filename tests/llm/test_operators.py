@@ -243,7 +243,16 @@ def test_ppm(spark, docs, empty):
         assert r.base_score == pytest.approx(sum(math.log10((count[x] + 0.5) / (n + 0.5 * (v + 1))) for x in w), rel=1e-9)
         if i != 40:
             assert r.score == pytest.approx(trie.code(ppm.stream_of(t or "")), rel=1e-4, abs=1e-4)
-    assert ppm.score_documents(spark, empty).count() == 0
+    assert ppm.score_documents(spark, empty).count() == 0 and ppm.adaptive_documents(spark, empty).count() == 0
+    few = spark.createDataFrame([(1, "abab abab"), (None, None), (2, "a\0b")], "doc_id long, text string")
+    got = {r.doc_id: r for r in ppm.adaptive_documents(spark, few).collect()}
+    assert got[1].score == pytest.approx(ppm.BytePPM().code(b"abab abab\0", adapt=True)) and got[2].n_bytes == 4
+    for order in (2, 6):
+        trie = ppm.BytePPM(order)
+        for t in ("abab abab", "", "a\0b"):
+            trie.train(ppm.stream_of(t))
+        for r in ppm.score_documents(spark, few, fold=9, order=order).collect():
+            assert r.score == pytest.approx(trie.code(ppm.stream_of({1: "abab abab", None: "", 2: "a\0b"}[r.doc_id])), rel=1e-5)
     assert ppm.BytePPM().code(b"abab" * 20, adapt=True) > 2 * ppm.BytePPM().code(b"abab" * 5, adapt=True)
 
 
