@@ -1,10 +1,13 @@
 """Licence scan by a positional index of rare licence words.
 
-Templates are short licence notices.  The index holds, for every template's
-rarest words (highest IDF over the templates), their postings (template,
-position).  A file's hits vote for (template, start = file position - template
-position); votes within ``slack`` words count together, so that small edits do
-not break a match.  A candidate is a licence if enough of its rare words agree
+Templates are one-line notices (below) and whole licence texts or headers
+(``licence_texts.txt``).  The index holds, for every template's rarest words
+(highest IDF over the templates; a text has one for every eight of its words),
+their postings (template, position).  Of a file's words those with postings are
+looked up, each at all its places, and vote for (template, start = file position
+- template position).  Votes whose starts are near count together, and an
+alignment's starts may drift by the slack and an eighth of the template in all,
+so that small edits do not break a match and repetitive text does not make one.  A candidate is a licence if enough of its rare words agree
 and each of its mandatory key phrases stands in the file word for word.  Exact
 base phrases are looked up in the same pass.
 
@@ -15,6 +18,8 @@ by one; ties between templates all count; an empty table gives no rows.
 from __future__ import annotations
 
 import math
+import os
+import re
 from collections import Counter, defaultdict
 
 import numpy as np
@@ -22,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from stablecf.llm import kernels as K
-from stablecf.llm.common import NO_ID, ids_and_texts, ship
+from stablecf.llm.common import LOWER, NO_ID, UPPER, ids_and_texts, ship
 
 # fixed values: base phrases and their labels
 BASE = {"under the mit license": "mit", "apache license version 2": "apache-2", "cc by nc": "cc-by-nc"}
@@ -55,16 +60,35 @@ TEMPLATES = [
 SCHEMA = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, matches array<struct<label:string, word:long, share:double>>"
 
 
+def words_of(text: str) -> str:
+    """A text as its lower-case words, blank between them."""
+    return " ".join(re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", text.translate(str.maketrans(UPPER, LOWER))))
+
+
+def whole_texts(path: str = os.path.join(os.path.dirname(os.path.abspath(__file__)), "licence_texts.txt")) -> list[tuple[str, str, list[str]]]:
+    """(label, text, mandatory phrases) of a file of sections: a line ``== label | phrase | phrase``, then the text."""
+    out = []
+    with open(path, encoding="utf-8") as f:
+        for part in f.read().split("\n== "):
+            head, _, body = part.removeprefix("== ").partition("\n")
+            label, *phrases = [x.strip() for x in head.split("|")]
+            out.append((label, words_of(body), phrases))
+    return out
+
+
 class LicenceIndex:
-    def __init__(self, templates=TEMPLATES, base=BASE, rare_words: int = 6, need: float = 0.75, slack: int = 3) -> None:
-        self.templates, self.base, self.need, self.slack = templates, base, need, slack
+    def __init__(self, templates=None, base=BASE, rare_words: int = 6, need: float = 0.75, slack: int = 3) -> None:
+        templates = [*TEMPLATES, *whole_texts()] if templates is None else templates
+        self.templates, self.base, self.need = templates, base, need
         words = [t[1].split() for t in templates]
+        self.slack = np.array([max(slack, len(ws) // 20) for ws in words])
+        self.drift = np.array([max(slack, len(ws) // 8) for ws in words])
         df = Counter(w for ws in words for w in set(ws))
         self.idf = {w: math.log((1 + len(words)) / n) for w, n in df.items()}
         self.rare: list[int] = []  # each template's number of rare places
         postings: dict[str, list[tuple[int, int]]] = defaultdict(list)
         for t, ws in enumerate(words):
-            top = set(sorted(set(ws), key=lambda w: (-self.idf[w], ws.index(w)))[:rare_words])
+            top = set(sorted(set(ws), key=lambda w: (-self.idf[w], ws.index(w)))[: max(rare_words, len(ws) // 8)])
             places = [(p, w) for p, w in enumerate(ws) if w in top]
             self.rare.append(len(places))
             for p, w in places:
@@ -115,19 +139,19 @@ class LicenceIndex:
         keys = {p: np.sort(self.places(p, codes, where, doc)) for p in {p for t in found for p in self.templates[t][2]}}
         edges = [*lo.tolist(), len(codes)]
 
-        def holds(p: str, notice: str, d: int, start: int) -> bool:
+        def holds(p: str, t: int, d: int, start: int) -> bool:
             """Whether the phrase lies in the aligned notice; one that the notice itself doesn't have may be anywhere in the text."""
-            a, b = edges[d], edges[d + 1]
+            a, b, notice, room = edges[d], edges[d + 1], self.templates[t][1], int(self.drift[t])
             if f" {p} " in f" {notice} ":
-                a, b = max(a, edges[d] + start - self.slack), min(b, edges[d] + start + len(notice.split()) + self.slack)
+                a, b = max(a, edges[d] + start - room), min(b, edges[d] + start + len(notice.split()) + room)
             i = np.searchsorted(keys[p], a)
             return bool(i < len(keys[p]) and keys[p][i] + len(self.phrases[p]) <= b)
 
         more: dict[int, list[tuple[str, int, float]]] = defaultdict(list)
         for t, hits in found.items():
-            label, notice, mandatory = self.templates[t]
+            label, _, mandatory = self.templates[t]
             for d, start, share in hits:
-                if all(holds(p, notice, d, start) for p in mandatory):
+                if all(holds(p, t, d, start) for p in mandatory):
                     more[d].append((label, max(0, start), share))
         out = []
         for d, n in enumerate((hi - lo).tolist()):
@@ -149,20 +173,36 @@ class LicenceIndex:
         found: dict[int, list[tuple[int, int, float]]] = defaultdict(list)
         if not len(t):
             return found
-        # votes whose starts are at most ``slack`` apart are one alignment
+        # votes whose starts are at most the slack apart are one chain
         new = np.ones(len(t), bool)
-        new[1:] = (t[1:] != t[:-1]) | (d[1:] != d[:-1]) | (rel[1:] - rel[:-1] > self.slack)
+        new[1:] = (t[1:] != t[:-1]) | (d[1:] != d[:-1]) | (rel[1:] - rel[:-1] > self.slack[t[1:]])
         first = np.flatnonzero(new)
         last = np.append(first[1:], len(t))
         need = np.array(self.rare)[t[first]] * self.need
         for a, b in zip(first[last - first >= need].tolist(), last[last - first >= need].tolist(), strict=True):
-            k = len(set(pos[a:b].tolist()))
-            share = k / self.rare[int(t[a])]
-            if share >= self.need:
-                found[int(t[a])].append((int(d[a]), int(rel[a]), share))
+            name, doc_, rare = int(t[a]), int(d[a]), self.rare[int(t[a])]
+            for start, k in _alignments(rel[a:b].tolist(), pos[a:b].tolist(), int(self.drift[name]), self.need * rare):
+                found[name].append((doc_, start, k / rare))
         return found
 
 
+def _alignments(rel: list[int], pos: list[int], drift: int, need: float) -> list[tuple[int, int]]:
+    """(start, different places) of the stretches of a chain, at most ``drift`` long, on which at least ``need`` places of the template agree."""
+    out, held, i = [], Counter(), 0
+    for j, (r, p) in enumerate(zip(rel, pos, strict=True)):
+        held[p] += 1
+        while r - rel[i] > drift:
+            held[pos[i]] -= 1
+            if not held[pos[i]]:
+                del held[pos[i]]
+            i += 1
+        full = j + 1 == len(rel) or rel[j + 1] - rel[i] > drift
+        if full and len(held) >= need:
+            out.append((rel[i], len(held)))
+            held, i = Counter(), j + 1
+    return out
+
+
 def scan_documents(spark: SparkSession, df: DataFrame, id_col: str = "doc_id", text_col: str = "text", index: LicenceIndex | None = None) -> DataFrame:
     """One row per document, as ``SCHEMA`` says.  The index is a few kilobytes whatever the input."""
     ship(spark)
