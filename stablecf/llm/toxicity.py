@@ -3,8 +3,11 @@
 Fit: up to ``per_class`` labelled documents of each class (the ones with the
 smallest hash of their id: a bound, not a share) are the examples.  Words whose
 presence depends on the label (chi-square of their document counts, at most
-``features`` of them) span the vectors.  The index keeps, for each word and
-block of examples, the largest weight: a bound on any score in the block.
+``features`` of them) span the vectors; over all words the cosine of long texts is
+that of their topics, and most toxic texts are missed (README).  Document
+frequencies are those of all documents.  The index keeps, for each word, its
+postings (block of examples, example, weight) and the largest weight of each
+block: a bound on any score in the block.
 
 Query: blocks are visited by falling bound, and only while the bound reaches
 the k-th best cosine, so the neighbours are the exact ones.  Their votes are
@@ -13,8 +16,9 @@ leave-one-out votes on the examples turns a vote into a probability.
 
 Defined results: a text without any of the words (null and empty texts too) has
 no neighbour and gets the examples' rate of such texts; ties go to the earlier
-example; rows that repeat are scored one by one; without examples of both
-classes every score is the share of label 1, or 0 without labels.
+example; rows that repeat are scored one by one; an id labelled both ways counts as
+label 1, and of several texts of a labelled id the least is the example; without
+examples of both classes every score is the share of label 1, or 0 without labels.
 """
 
 from __future__ import annotations
@@ -32,7 +36,7 @@ SCHEMA = "doc_id long, score double, vote double, evidence array<struct<doc_id:l
 
 
 class BlockMaxIndex:
-    """Unit vectors of examples in tiles of ``BLOCK``, with each tile's largest weight by feature."""
+    """Inverted index of unit vectors: postings by word and block of ``BLOCK`` examples, with the largest weight of each word in each block."""
 
     def __init__(self, rows: list[tuple[int, int, np.ndarray, np.ndarray]], idf: np.ndarray, share: float, k: int) -> None:
         self.k, self.idf = k, idf
@@ -42,10 +46,17 @@ class BlockMaxIndex:
         n = len(vectors)
         self.ids, self.labels = np.array([v[0] for v in vectors], np.int64), np.array([v[1] for v in vectors], np.int64)
         self.blocks = -(-n // BLOCK)
-        self.tiles = np.zeros((self.blocks, len(idf), BLOCK), dtype=np.float32)
-        for e, (_, _, f, w) in enumerate(vectors):
-            self.tiles[e // BLOCK, f, e % BLOCK] = w
-        self.peak = self.tiles.max(axis=2) if n else np.zeros((0, len(idf)), np.float32)
+        word = np.concatenate([v[2] for v in vectors]) if n else np.zeros(0, np.int64)
+        who = np.repeat(np.arange(n), [len(v[2]) for v in vectors])
+        weight = np.concatenate([v[3] for v in vectors]) if n else np.zeros(0, np.float32)
+        order = np.lexsort((who, word))
+        self.who, self.weight = who[order], weight[order]
+        run = word[order] * max(1, self.blocks) + self.who // BLOCK  # a list of one word in one block
+        self.run_at = np.flatnonzero(np.append(True, run[1:] != run[:-1])) if n else np.zeros(0, np.int64)
+        self.run_end = np.append(self.run_at[1:], len(run))
+        self.peak = np.maximum.reduceat(self.weight, self.run_at) if n else np.zeros(0, np.float32)
+        self.block = (run % max(1, self.blocks))[self.run_at] if n else np.zeros(0, np.int64)
+        self.first = np.searchsorted((run // max(1, self.blocks))[self.run_at] if n else np.zeros(0), np.arange(len(idf) + 1))
         every = np.array([r[1] for r in rows], dtype=float)
         self.share = share
         # examples are drawn class by class; votes count with the classes' true shares
@@ -66,16 +77,26 @@ class BlockMaxIndex:
 
     def nearest(self, f: np.ndarray, w: np.ndarray, skip: int | None = None) -> tuple[np.ndarray, np.ndarray]:
         """(examples, cosines) of the k nearest with a positive cosine, nearest first."""
-        bound = self.peak[:, f] @ w
+        n = self.first[f + 1] - self.first[f]
+        runs = np.repeat(self.first[f] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+        mine = np.repeat(w.astype(np.float64), n)
+        bound = np.bincount(self.block[runs], weights=mine * self.peak[runs], minlength=self.blocks)
         order = np.argsort(-bound, kind="stable")
         order = order[bound[order] > 0]
         who, cos, at, step = np.zeros(0, np.int64), np.zeros(0), 0, 2
         while at < len(order):
             if len(cos) >= self.k and bound[order[at]] < cos[self.k - 1] - 1e-6:
                 break
-            b = order[at : at + step]
-            c = np.einsum("f,bfe->be", w, self.tiles[b][:, f, :]).astype(np.float64).ravel()
-            e = (b[:, None] * BLOCK + np.arange(BLOCK)).ravel()
+            place = np.full(self.blocks, -1)
+            place[order[at : at + step]] = np.arange(len(order[at : at + step]))
+            use = place[self.block[runs]] >= 0
+            r, x = runs[use], mine[use]
+            size = self.run_end[r] - self.run_at[r]
+            post = np.repeat(self.run_at[r] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+            local = place[self.who[post] // BLOCK] * BLOCK + self.who[post] % BLOCK
+            c = np.bincount(local, weights=np.repeat(x, size) * self.weight[post], minlength=BLOCK * step)
+            e = (order[at : at + step][:, None] * BLOCK + np.arange(BLOCK)).ravel()
+            c = c[: len(e)]
             ok = (c > 0) & (e < len(self.ids))
             if skip is not None:
                 ok &= self.ids[np.minimum(e, len(self.ids) - 1)] != skip
@@ -98,11 +119,12 @@ class BlockMaxIndex:
 
 def isotonic(x: np.ndarray, y: np.ndarray, w: np.ndarray, prior: float) -> tuple[np.ndarray, np.ndarray]:
     """Pool-adjacent-violators steps of P(y | x): (left ends, values).  A step carries one average example of the prior."""
-    order = np.argsort(x, kind="stable")
+    u, back = np.unique(x, return_inverse=True)  # equal votes are one point before any pooling
+    mass, ones = np.bincount(back, weights=w), np.bincount(back, weights=w * y)
     pools: list[list[float]] = []  # left end, sum of w, sum of w*y
-    for i in order:
-        pools.append([float(x[i]), float(w[i]), float(w[i] * y[i])])
-        while len(pools) > 1 and (pools[-2][0] == pools[-1][0] or pools[-2][2] * pools[-1][1] >= pools[-1][2] * pools[-2][1]):
+    for left, m, o in zip(u.tolist(), mass.tolist(), ones.tolist(), strict=True):
+        pools.append([left, m, o])
+        while len(pools) > 1 and pools[-2][2] * pools[-1][1] >= pools[-1][2] * pools[-2][1]:
             a = pools.pop()
             pools[-1][1] += a[1]
             pools[-1][2] += a[2]
@@ -139,7 +161,8 @@ def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, per_class: int
     total = sum(share.values())
     rate = share.get(1, 0) / total if total else 0.0
     ids = labels.where("label = 1").orderBy(*order).limit(per_class).unionByName(labels.where("label = 0").orderBy(*order).limit(per_class))
-    sample = docs.join(F.broadcast(ids), "doc_id").dropDuplicates(["doc_id"])  # the ids are at most 2 * per_class
+    # the ids are at most 2 * per_class
+    sample = docs.join(F.broadcast(ids), "doc_id").groupBy("doc_id", "label").agg(F.min("text").alias("text"))
 
     def bags(batches):
         for b in batches:
@@ -159,8 +182,20 @@ def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, per_class: int
     stat = F.lit(all_) * (a * d - b * c) * (a * d - b * c) / ((a + b) * (c + d) * float(n1) * float(n0))
     top = counts.where((F.col("df") >= min_docs) & (F.col("df") < all_)).withColumn("chi2", stat).where(F.col("chi2") >= chi2).orderBy(F.desc("chi2"), "word").limit(features).collect()
     keys = np.sort(np.array([r["word"] for r in top], dtype=np.int64).view(np.uint64)) if top else np.zeros(1, np.uint64)
-    df = {int(np.int64(r["word"]).view(np.uint64)): r["df"] for r in top}
-    idf = np.array([np.log((all_ + 1) / (df.get(int(x), all_) + 0.5)) for x in keys])
+
+    def held_by(batches):
+        n, seen = 0, np.zeros(len(keys), np.int64)
+        for b in batches:
+            n += b.num_rows
+            for f, _ in word_counts(b.column(1), keys):
+                seen[f] += 1
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(-1, len(keys)), pa.int32()), pa.array(np.append(n, seen), pa.int64())], ["f", "n"])
+
+    # document frequencies of the words over all documents: at most ``features`` + 1 rows
+    df = np.zeros(len(keys) + 1)
+    for r in docs.mapInArrow(held_by, "f int, n long").groupBy("f").agg(F.sum("n").alias("n")).collect():
+        df[r["f"] + 1] = r["n"]
+    idf = np.log((df[0] + 1) / (df[1:] + 0.5))
 
     def vectors(batches):
         for b in batches:
@@ -209,7 +244,7 @@ def toxicity(spark: SparkSession, df: DataFrame, labels: DataFrame, id_col: str
     ship(spark)
     docs = ids_and_texts(df, id_col, text_col)
     fold_of = lambda c: F.crc32(F.col(c).cast("string")) % of
-    known = labels.select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("label")).where("doc_id is not null and label in (0, 1)").dropDuplicates(["doc_id"])
+    known = labels.select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("label")).where("doc_id is not null and label in (0, 1)").groupBy("doc_id").agg(F.max("label").alias("label"))
     keys, index = fit(spark, docs, known.where(fold_of("doc_id") != fold), **fit_args)
     out = score(spark, docs, keys, index)
     return out.select("doc_id", F.coalesce(fold_of("doc_id") == fold, F.lit(False)).alias("held_out"), "score", F.when(F.col("score") >= 0.5, 1).otherwise(0).alias("predicted"), "vote", "evidence")

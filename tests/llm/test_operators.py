@@ -269,7 +269,10 @@ def test_toxicity(spark, empty):
     # the pruned search finds what a scan of all examples finds
     vec = [(i, i % 2, np.unique(rng.integers(0, 40, 6)), None) for i in range(300)]
     ix = toxicity.BlockMaxIndex([(i, y, f, np.ones(len(f))) for i, y, f, _ in vec], np.linspace(1, 2, 40), 0.5, 7)
-    dense = ix.tiles.transpose(0, 2, 1).reshape(-1, 40)[: len(ix.ids)]
+    of = {i: (f, ix.weights(f, np.ones(len(f)))) for i, _, f, _ in vec}
+    dense = np.zeros((len(ix.ids), 40))
+    for e, i in enumerate(ix.ids.tolist()):
+        dense[e, of[i][0]] = of[i][1]
     for _, _, f, _ in vec[:40]:
         w = ix.weights(f, np.ones(len(f)))
         want = np.sort(dense[:, f] @ w)[::-1][:7]
