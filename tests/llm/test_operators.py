@@ -52,6 +52,23 @@ def test_exact_dedup(spark, docs, empty):
     assert exact_dedup.exact_dedup(spark, empty).count() == 0
 
 
+def test_buckets_split_and_the_directory_covers(spark):
+    rng = np.random.default_rng(6)
+    keys = [int(k) for k in rng.integers(-(1 << 63), 1 << 63, 300)] + [int(k) >> 8 for k in rng.integers(0, 1 << 63, 60)] + [7] * 40
+    keyed = spark.createDataFrame([(k, i % 3) for i, k in enumerate(keys)], "key long, salt int")
+    for cap, deep in ((10, 12), (40, 3), (1000, 5)):
+        entries, depth = exact_dedup.build_index(spark, keyed, cap, deep)
+        held = {}
+        for r in entries.collect():
+            assert (r.key % (1 << 64)) >> (64 - r.depth) == r.prefix if r.depth else r.prefix == 0
+            held.setdefault((r.depth, r.prefix), set()).add(r.key)
+        assert entries.agg(F.sum("n")).first()[0] == len(keys) and sum(map(len, held.values())) == len(set(keys))
+        assert all(len(v) <= cap or d == deep for (d, _), v in held.items()) and depth == max(d for d, _ in held) <= deep
+        cells = {r.cell: (r.bucket_depth, r.bucket_prefix) for r in exact_dedup.directory(entries, depth).collect()}
+        assert all(cells[(k % (1 << 64)) >> (64 - depth) if depth else 0] == b for b, v in held.items() for k in v)
+    assert len(exact_dedup.build_index(spark, keyed, 10, 12)[0].select("depth").distinct().collect()) > 1
+
+
 def test_jaccard(spark, docs, empty):
     sets = []
     for i, t in texts():
