@@ -11,7 +11,9 @@
    first paired with one leader for each of four smallest hashes of their sets, then
    in two rounds with one leader, of few unshared shingles, for each prefix token
    whose documents are still in different components; what then remains so is paired
-   in full, token by token.  Length, positional and
+   in full, token by token.  A token of many documents is dealt to several tasks: its
+   documents to blocks of about ``HOT``, joined with copies of the leader or, in full,
+   block by block.  Length, positional and
    suffix (parity sketch) filters drop pairs that can't reach the threshold.
 5. Each different pair is verified once on the whole shared sets.
 
@@ -42,6 +44,8 @@ MORE = 1 << 62
 WORDS = 8
 #: Rounds with one leader a token before the exhaustive one.
 ROUNDS = 2
+#: Documents of one prefix token that one task pairs.
+HOT = 512
 SETS = "doc_id long, n_shingles long, tokens array<long>, sketch array<long>, heads array<long>"
 
 
@@ -96,7 +100,7 @@ def _rare_first(t: pa.Table, told: pa.Table, n: int, buckets: int, percent: int)
     return pa.table({"doc_id": t["doc_id"], "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "tokens": pa.array(out, pa.list_(pa.int64())), "sketch": pa.array(sketches, pa.list_(pa.int64())), "heads": pa.array(heads, pa.list_(pa.int64()))})
 
 
-def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
+def links(spark: SparkSession, sets: DataFrame, percent: int, hot: int = HOT) -> DataFrame:
     """(node, component) of the linked representatives among ``sets`` (rid, n, tokens)."""
     need = lambda a, b: F.ceil(F.lit(percent) * (a + b) / F.lit(100 + percent))
     prefix = F.col("n") - F.ceil(F.lit(percent) * F.col("n") / F.lit(100)) + 1 - (F.col("n") - F.size("tokens"))
@@ -145,23 +149,29 @@ def links(spark: SparkSession, sets: DataFrame, percent: int) -> DataFrame:
     label = joined(pairs, None)
     for r in range(ROUNDS + 1):
         now = entries.join(label.withColumnRenamed("node", "rid"), "rid", "left").withColumn("comp", F.coalesce("component", "rid")).drop("component")
-        open_groups = now.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("token")
-        entries = now = staged(spark, now.join(open_groups, "token", "left_semi"), "open-entries")
-        entries = entries.drop("comp")
+        blocks = F.ceil(F.count(F.lit(1)) / hot).cast("int")
+        open_groups = now.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), blocks.alias("blocks")).where("lo <> hi").select("token", "blocks")
+        now = staged(spark, now.join(open_groups, "token").withColumn("block", F.pmod(F.xxhash64("rid"), F.col("blocks")).cast("int")), "open-entries")
+        entries = now.drop("comp", "blocks", "block")
         if not now.take(1):
             break
         if r < ROUNDS:
             # a document with few shingles of its own lies amid its group and links with most of it
             order = F.struct(F.ceil(F.log2(F.col("n") - F.col("m") + 1)), F.xxhash64("rid", F.lit(r)), "rid")
-            lead = now.groupBy("token").agg(F.min_by(F.struct("rid", "n", "m", "sketch", "pos", "comp"), order).alias("l")).select("token", "l.*")
-            pairs = pair(now.alias("x"), lead.alias("y"), (F.col("x.token") == F.col("y.token")) & (F.col("x.comp") != F.col("y.comp")))
+            lead = now.groupBy("token", "blocks").agg(F.min_by(F.struct("rid", "n", "m", "sketch", "pos", "comp"), order).alias("l"))
+            lead = lead.select("token", "l.*", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"))
+            pairs = pair(now.alias("x"), lead.alias("y"), (F.col("x.token") == F.col("y.token")) & (F.col("x.block") == F.col("y.block")) & (F.col("x.comp") != F.col("y.comp")))
         else:
-            pairs = pair(now.alias("x"), now.alias("y"), (F.col("x.token") == F.col("y.token")) & (F.col("x.comp") < F.col("y.comp")))
+            # every two blocks of a token meet once: the one as the first, the other as the second
+            x = now.withColumn("other", F.explode(F.sequence(F.col("block"), F.col("blocks") - 1)))
+            y = now.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("block"))))
+            met = (F.col("x.token") == F.col("y.token")) & (F.col("x.block") == F.col("y.other")) & (F.col("x.other") == F.col("y.block"))
+            pairs = pair(x.alias("x"), y.alias("y"), met & (F.col("x.comp") != F.col("y.comp")))
         label = joined(pairs, label)
     return label
 
 
-def similar(spark: SparkSession, df: DataFrame, n: int = 5, percent: int = 75, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def similar(spark: SparkSession, df: DataFrame, n: int = 5, percent: int = 75, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT) -> DataFrame:
     """(doc_id, n_shingles, component_id), one row per document; component_id is null only for null ids."""
     ship(spark)
     docs = ids_and_texts(df, id_col, text_col)
@@ -188,7 +198,7 @@ def similar(spark: SparkSession, df: DataFrame, n: int = 5, percent: int = 75, i
     rep = rep.join(repeated, "doc_id", "left").select("sig", "doc_id", key.alias("rid"))
     reps = some.join(rep.select("doc_id", "rid", F.col("sig").alias("s2")), "doc_id").where("sig = s2").dropDuplicates(["rid"])
     reps = staged(spark, reps.select("rid", F.col("n_shingles").cast("int").alias("n"), "tokens", "sketch", "heads"), "representatives")
-    label = links(spark, reps, percent)
+    label = links(spark, reps, percent, hot)
     member = staged(spark, ids.distinct().join(rep.select("sig", "rid"), "sig").select("doc_id", "rid"), "members")
     at = member.join(label.withColumnRenamed("node", "rid"), "rid", "left").select("doc_id", F.coalesce("component", "rid").alias("component"))
     several = at.groupBy("doc_id").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("doc_id", "lo")

@@ -146,6 +146,33 @@ def test_decontaminate(spark, docs, empty):
     assert all(not r[5] for r in run(docs, bench.where("false")))
 
 
+def test_jaccard_hot_tokens_in_blocks(spark):
+    """A passage that all documents have, in documents that link in chains only: every round works, tokens are dealt to blocks of three."""
+    rng = np.random.default_rng(8)
+    common = " ".join(f"c{i}" for i in range(12))
+    rows = []
+    for g in range(6):
+        words = [f"g{g}w{i}" for i in range(60)]
+        for v in range(5):
+            for x in rng.integers(0, 60, 2):
+                words[x] = f"g{g}v{v}x{x}"
+            rows.append((100 * g + v, f"{common} {' '.join(words)}"))
+    sets = {}
+    for i, t in rows:
+        w = t.split()
+        sets[i] = {tuple(w[j : j + 5]) for j in range(len(w) - 4)}
+    comp = {i: i for i in sets}
+    for _ in sets:
+        for i in sets:
+            for j in sets:
+                if 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j]):
+                    comp[i] = comp[j] = min(comp[i], comp[j])
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert len(set(comp.values())) > 6
+    for hot in (3, 512):
+        assert {r.doc_id: r.component_id for r in jaccard.similar(spark, df, hot=hot).collect()} == comp
+
+
 def test_jaccard_rows_that_share_an_id(spark):
     word = lambda p, n: " ".join(f"{p}{i}" for i in range(n))
     for ids in ((None, None), (90, 90)):
