@@ -7,8 +7,8 @@ root first; a branch is descended only where its hashes differ, so that the
 records of intact ranges are never joined.
 
 Defined results: null payloads hash as empty with length 0 and a null marker;
-a repeated id hashes in the order of its payload hash and is reported once, with
-its number of copies in each replica; a missing record has status ``missing``
+a repeated id hashes the tree of its payload hashes and their counts and is reported
+once, with its number of copies in each replica; a missing record has status ``missing``
 (``extra`` if only the replica has it); empty replicas differ in every range of
 the other; null ids are records of range -1; only the named columns are read.
 """
@@ -30,23 +30,37 @@ def leaves(df: DataFrame, id_col: str, payload_cols: list[str], span: int) -> Da
         parts += [F.coalesce(F.octet_length(c).cast("string"), F.lit("null")), F.lit(":"), F.coalesce(F.col(c), F.lit(""))]
     rid = F.col(id_col).cast("long")
     each = df.select(rid.alias("rid"), length.alias("length"), F.sha2(F.concat(F.coalesce(rid.cast("string"), F.lit("null")), F.lit("|"), *parts), 256).alias("h"))
-    # copies of an id: a count per different payload first, so that a hot id sends few rows
-    each = each.groupBy("rid", "h").agg(F.sum("length").alias("length"), F.count(F.lit(1)).alias("n")).groupBy("rid").agg(
-        F.array_sort(F.collect_list(F.struct("h", "n"))).alias("hs"), F.sum("length").alias("length"), F.sum("n").alias("copies")
-    )
-    one = F.when((F.size("hs") == 1) & (F.col("copies") == 1), F.col("hs")[0]["h"]).otherwise(F.sha2(F.array_join(F.transform("hs", lambda x: F.concat(x["h"], F.lit("*"), x["n"].cast("string"))), ","), 256))
-    return each.select("rid", F.coalesce(F.floor(F.col("rid") / span), F.lit(-1)).cast("long").alias("range_id"), one.alias("leaf"), "length", "copies")
-
-
-def with_offsets(leaf: DataFrame) -> DataFrame:
-    """Adds the record's byte offset: a sum over ranges, of which there are few, plus one within the range."""
-    sums = leaf.groupBy("range_id").agg(F.sum("length").alias("len"))
-    block = sums.withColumn("block", F.floor(F.col("range_id") / 4096))
-    by_block = block.groupBy("block").agg(F.sum("len").alias("blen"))
-    before = by_block.select("block", (F.sum("blen").over(Window.orderBy("block")) - F.col("blen")).alias("b0"))
-    start = block.join(F.broadcast(before), "block").select("range_id", (F.col("b0") + F.sum("len").over(Window.partitionBy("block").orderBy("range_id")) - F.col("len")).alias("start"))
+    # one row a record, unless an id repeats
+    key = [F.col("rid").isNull().alias("no_id"), F.coalesce("rid", F.lit(0)).alias("k")]
+    each = each.select(*key, "length", "h")
+    whole = each.groupBy("no_id", "k").agg(F.count(F.lit(1)).alias("copies"), F.sum("length").alias("length"), F.min("h").alias("one"))
+    # the payloads of a repeated id hash in a small tree by the digits of their hashes, so that no task holds all of them
+    many = each.join(whole.where("copies > 1").select("no_id", "k"), ["no_id", "k"], "left_semi").groupBy("no_id", "k", "h").agg(F.count(F.lit(1)).alias("n"))
+    nodes = many.select("no_id", "k", F.concat("h", F.lit("*"), F.col("n").cast("string")).alias("h"), F.col("h").alias("at"))
+    for digits in (6, 4, 2, 0):
+        nodes = nodes.groupBy("no_id", "k", F.substring("at", 1, digits).alias("at")).agg(F.sha2(F.array_join(F.array_sort(F.collect_list("h")), ","), 256).alias("h"))
+    both = whole.join(nodes.select("no_id", "k", F.col("h").alias("several")), ["no_id", "k"], "left")
+    rid = F.when(~F.col("no_id"), F.col("k"))
+    return both.select(rid.alias("rid"), F.coalesce(F.floor(rid / span), F.lit(-1)).cast("long").alias("range_id"), F.coalesce("several", "one").alias("leaf"), "length", "copies")
+
+
+def with_offsets(leaf: DataFrame, fanout: int = 4096) -> DataFrame:
+    """Adds the record's byte offset: sums over ranges, over blocks of ranges and so on up to a few, and back down within each block."""
+    levels = [leaf.groupBy(F.col("range_id").alias("node")).agg(F.sum("length").alias("len"))]
+    lo, hi = leaf.agg(F.min("range_id"), F.max("range_id")).first()
+    while lo is not None and hi - lo > fanout:
+        lo, hi = lo // fanout, hi // fanout
+        levels.append(levels[-1].groupBy(F.floor(F.col("node") / fanout).cast("long").alias("node")).agg(F.sum("len").alias("len")))
+    start = None
+    for at in reversed(levels):
+        up = F.floor(F.col("node") / fanout).cast("long")
+        if start is None:  # at most ``fanout`` + 1 nodes
+            start = at.select("node", (F.sum("len").over(Window.orderBy("node")) - F.col("len")).alias("start"))
+        else:
+            inside = at.withColumn("up", up).withColumn("before", F.sum("len").over(Window.partitionBy("up").orderBy("node")) - F.col("len"))
+            start = inside.join(start.select(F.col("node").alias("up"), "start"), "up").select("node", (F.col("start") + F.col("before")).alias("start"))
     inside = F.sum("length").over(Window.partitionBy("range_id").orderBy("rid")) - F.col("length")
-    return leaf.join(start, "range_id").select("rid", "range_id", "leaf", "length", "copies", (F.col("start") + inside).alias("offset"))
+    return leaf.join(start.withColumnRenamed("node", "range_id"), "range_id").select("rid", "range_id", "leaf", "length", "copies", (F.col("start") + inside).alias("offset"))
 
 
 def parents(nodes: DataFrame, fanout: int) -> DataFrame:
@@ -64,11 +78,11 @@ def height(a: DataFrame, b: DataFrame, fanout: int) -> int:
 
 
 def tree(spark: SparkSession, leaf: DataFrame, fanout: int, levels: int) -> list[DataFrame]:
-    """Levels of (node, hash) from the ranges to the top; the ranges are stored, so that descending does not hash again."""
+    """Levels of (node, hash) from the ranges to the top; each is stored, so that neither the next level nor the descent hashes again."""
     ranges = leaf.groupBy(F.col("range_id").alias("node")).agg(F.sha2(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("rid", "leaf"))), lambda x: x["leaf"]), ","), 256).alias("hash"))
     out = [staged(spark, ranges, "merkle-ranges")]
     for _ in range(levels):
-        out.append(parents(out[-1], fanout))
+        out.append(staged(spark, parents(out[-1], fanout), "merkle-level"))
     return out
 
 

@@ -144,6 +144,8 @@ def test_decontaminate(spark, docs, empty):
     assert run(docs, bench, broadcast_bytes=-1) == want
     assert not run(empty, bench)
     assert all(not r[5] for r in run(docs, bench.where("false")))
+    hot = spark.createDataFrame([(None, "a hot text two " + str(i % 3)) for i in range(500)] + [(None, "clean")], "doc_id long, text string")
+    assert sorted((r[1], r[2]) for r in run(hot, bench).elements()) == [(1, 0)] + [(5, 1)] * 500
 
 
 def test_jaccard_hot_tokens_in_blocks(spark):
@@ -331,6 +333,28 @@ def test_merkle(spark):
     assert run(a, a) == set() and len(run(a, a.where("false"))) == 301
 
 
+def test_merkle_empty_hot_and_far_ids(spark):
+    schema = "page_id long, url string, html string, rid long, hash string, node long, leaf string"
+    row = lambda i, u, h: (i, u, h, 5, "clash", 6, "leaf")
+    rows = [row(i, f"u{i}", "é" * (i % 7)) for i in range(50)] + [row(None, f"n{i}", "z" * i) for i in range(3000)] + [row(10**7 + i, "far", None) for i in range(5)] + [row(-(10**5), "low", ""), row(9, "u9", "more" * 500000)]
+    a = spark.createDataFrame(rows, schema).repartition(5)
+    b = spark.createDataFrame([r for r in rows if r[1] != "n77"] + [row(None, "n5", "z" * 5)], schema)
+    none = a.where("false")
+    run = lambda x, y: merkle_audit.audit(spark, x, y, "page_id", ["url", "html"], span=8).collect()
+    assert [(r.rid, r.status, r.left_copies, r.right_copies) for r in run(a, b)] == [(None, "corrupt", 3000, 3000)]
+    extra = run(none, b)
+    assert {r.status for r in extra} == {"extra"} and len(extra) == 57
+    got = {r.rid: r.offset for r in run(a, none)}
+    at, want = 0, {}
+    size = {}
+    for r in rows:
+        size[r[0]] = size.get(r[0], 0) + len(r[1].encode()) + len((r[2] or "").encode())
+    # null ids are the first of range -1; the others in order
+    for i in sorted(size, key=lambda i: (-8 if i is None else i)):
+        want[i], at = at, at + size[i]
+    assert got == want
+
+
 def test_merkle_root_and_copies(spark):
     a = spark.createDataFrame([(i * 100_000, "u", "h") for i in range(20)] + [(0, "u", "h")], "page_id long, url string, html string")
     b = a.where("page_id <> 500000").dropDuplicates()
