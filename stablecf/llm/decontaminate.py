@@ -61,26 +61,29 @@ def decontaminate(
 
     The prefixes are broadcast if the item texts, which bound them, are at most ``broadcast_bytes``; else they are joined by shuffle.
     """
-    texts = ids_and_texts(docs, id_col, text_col)
-    d = texts.select("doc_id", words("text").alias("ws"))
+    # a row is known by its id and text, so that repeated or missing ids don't make one group of many rows
+    texts = ids_and_texts(docs, id_col, text_col).select(F.xxhash64("doc_id", "text").alias("row"), "doc_id", "text")
+    d = texts.select("row", words("text").alias("ws"))
     raw = items.select(F.col(item_col).alias("item_id"), F.coalesce(F.col(item_text_col), F.lit("")).alias("text"))
     wins = staged(spark, windows_of(raw.select("item_id", words("text").alias("ws")), length), "windows")
     total, single = raw.agg(F.sum(F.octet_length("text"))).first()[0] or 0, bool(wins.where(F.size("win") == 1).take(1))
     small = F.broadcast if total <= broadcast_bytes else lambda x: x
-    place = d.select("doc_id", F.posexplode(_pairs("ws")).alias("pos", "h"))
+    place = d.select("row", F.posexplode(_pairs("ws")).alias("pos", "h"))
     if single:
-        place = place.unionByName(d.select("doc_id", F.posexplode(_singles("ws")).alias("pos", "h")))
+        place = place.unionByName(d.select("row", F.posexplode(_singles("ws")).alias("pos", "h")))
     vocabulary = wins.select(F.explode("shingles").alias("h")).distinct()
-    seen = place.join(small(vocabulary), "h").groupBy("h").agg(F.count(F.lit(1)).alias("n"))
+    # the places of the benchmark's shingles in the documents, stored, as they are counted and then joined
+    place = staged(spark, place.join(small(vocabulary), "h").select("row", "pos", "h"), "places")
+    seen = place.groupBy("h").agg(F.count(F.lit(1)).alias("n"))
     ranked = wins.select(F.xxhash64("win").alias("wid"), "win", "items", F.posexplode("shingles").alias("at", "h")).join(seen, "h")
     # a window with a shingle that no document has cannot occur; of the others the rarest shingle is the prefix
     first = ranked.groupBy("win").agg(F.min_by(F.struct("at", "h"), F.struct("n", "at")).alias("p"), F.count(F.lit(1)).alias("found"), F.first("items").alias("items"))
     prefix = first.where(F.col("found") == F.when(F.size("win") > 1, F.size("win") - 1).otherwise(F.size("win"))).select(F.col("p.h").alias("h"), F.col("p.at").alias("at"), "win", "items")
     prefix = staged(spark, prefix, "prefixes")
     near = place.join(small(prefix), "h").where("pos >= at")
-    cands = near.groupBy("doc_id").agg(F.collect_set(F.struct((F.col("pos") - F.col("at")).alias("start"), "win", "items")).alias("cands"))
+    cands = near.groupBy("row").agg(F.collect_set(F.struct((F.col("pos") - F.col("at")).alias("start"), "win", "items")).alias("cands"))
     # whole texts are joined, as they are smaller than their arrays of words
-    out = texts.join(cands, "doc_id", "left").select("doc_id", words("text").alias("ws"), "cands")
+    out = texts.join(cands, "row", "left").select("doc_id", words("text").alias("ws"), "cands")
     hits = F.filter(F.coalesce("cands", F.expr("cast(array() as array<struct<start:int, win:array<string>, items:array<bigint>>>)")), lambda c: F.slice(F.col("ws"), c["start"] + 1, F.size(c["win"])) == c["win"])
     out = out.select("doc_id", F.size("ws").cast("long").alias("n_words"), hits.alias("hits"))
     covered = F.array_distinct(F.flatten(F.transform("hits", lambda c: F.sequence(c["start"], c["start"] + F.size(c["win"]) - 1))))
