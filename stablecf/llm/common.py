@@ -10,6 +10,8 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from stablecf.sources.session import ship  # noqa: F401  (the operators take it from here)
+
 #: No stored id: null ids take part as this value, the largest, and come back as null.
 NO_ID = (1 << 63) - 1
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -20,12 +22,14 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a temporary one only where the session names none (tests)."""
+    """The cluster's shared folder; a temporary one only where the session names none and runs on one machine (tests)."""
     d = spark.conf.get("spark.checkpoint.dir", None)
     if not d:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
         if found.isDefined():
             return found.get()
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         d = tempfile.mkdtemp(prefix="stablecf-shared-")
         spark.sparkContext.setCheckpointDir(d)
         return spark.sparkContext._jsc.sc().getCheckpointDir().get()
@@ -74,26 +78,3 @@ def chunked(spark: SparkSession, docs: DataFrame, chunk_bytes: int = 4 << 20, to
     n = max(1, math.ceil(total / chunk_bytes))
     c = F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(n)).cast("int").alias("chunk")
     return docs.select(c, "doc_id", "text").repartition(partitions(spark), "chunk"), n, total
-
-
-_shipped: dict[str, bool] = {}
-
-
-def ship(spark: SparkSession) -> None:
-    """Sends this package to the executors' Python, once per application."""
-    import os
-    import zipfile
-
-    app = spark.sparkContext.applicationId
-    if app in _shipped:
-        return
-    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
-    out = os.path.join(tempfile.mkdtemp(prefix="stablecf-code-"), "stablecf_code.zip")
-    with zipfile.ZipFile(out, "w") as z:
-        for d, _, names in os.walk(root):
-            for n in names:
-                if n.endswith(".py"):
-                    full = os.path.join(d, n)
-                    z.write(full, os.path.join("stablecf", os.path.relpath(full, root)))
-    spark.sparkContext.addPyFile(out)
-    _shipped[app] = True
