@@ -44,8 +44,8 @@ MORE = 1 << 62
 WORDS = 8
 #: Rounds with one leader a token before the exhaustive one.
 ROUNDS = 2
-#: Documents of one prefix token that one task pairs.
-HOT = 512
+#: Documents of one prefix token that one task pairs, and the most tokens above that which are broadcast (a megabyte).
+HOT, FEW = 512, 1 << 16
 SETS = "doc_id long, n_shingles long, tokens array<long>, sketch array<long>, heads array<long>"
 
 
@@ -100,6 +100,16 @@ def _rare_first(t: pa.Table, told: pa.Table, n: int, buckets: int, percent: int)
     return pa.table({"doc_id": t["doc_id"], "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "tokens": pa.array(out, pa.list_(pa.int64())), "sketch": pa.array(sketches, pa.list_(pa.int64())), "heads": pa.array(heads, pa.list_(pa.int64()))})
 
 
+def with_groups(entries: DataFrame, groups: DataFrame) -> DataFrame:
+    """Entries joined with their token's row of ``groups`` (token, blocks).  Documents of a token of many blocks stay where they are,
+    as such tokens are broadcast while they are few; beyond that all are joined by shuffle."""
+    many = groups.where("blocks > 1")
+    if not 0 < many.count() <= FEW:
+        return entries.join(groups, "token")
+    rest = entries.join(F.broadcast(many.select("token")), "token", "left_anti").join(groups.where("blocks = 1"), "token")
+    return entries.join(F.broadcast(many), "token").unionByName(rest)
+
+
 def links(spark: SparkSession, sets: DataFrame, percent: int, hot: int = HOT) -> DataFrame:
     """(node, component) of the linked representatives among ``sets`` (rid, n, tokens)."""
     need = lambda a, b: F.ceil(F.lit(percent) * (a + b) / F.lit(100 + percent))
@@ -107,8 +117,9 @@ def links(spark: SparkSession, sets: DataFrame, percent: int, hot: int = HOT) ->
     entries = sets.select("rid", "n", F.size("tokens").alias("m"), "sketch", F.slice("tokens", F.lit(1), F.greatest(prefix, F.lit(0)).cast("int")).alias("head"))
     entries = entries.select("rid", "n", "m", "sketch", F.posexplode("head").alias("pos", "token"))
     entries = staged(spark, entries, "prefix-entries")
-    groups = entries.groupBy("token").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("token")
-    entries = staged(spark, entries.join(groups, "token", "left_semi"), "shared-entries")
+    blocks = F.ceil(F.count(F.lit(1)) / hot).cast("int").alias("blocks")
+    groups = staged(spark, entries.groupBy("token").agg(F.count(F.lit(1)).alias("size"), blocks).where("size > 1").select("token", "blocks"), "shared-tokens")
+    entries = staged(spark, with_groups(entries, groups).drop("blocks"), "shared-entries")
 
     def may(x: str, y: str, placed: bool) -> Column:
         a, b = F.col(f"{x}.n"), F.col(f"{y}.n")
@@ -149,9 +160,8 @@ def links(spark: SparkSession, sets: DataFrame, percent: int, hot: int = HOT) ->
     label = joined(pairs, None)
     for r in range(ROUNDS + 1):
         now = entries.join(label.withColumnRenamed("node", "rid"), "rid", "left").withColumn("comp", F.coalesce("component", "rid")).drop("component")
-        blocks = F.ceil(F.count(F.lit(1)) / hot).cast("int")
-        open_groups = now.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), blocks.alias("blocks")).where("lo <> hi").select("token", "blocks")
-        now = staged(spark, now.join(open_groups, "token").withColumn("block", F.pmod(F.xxhash64("rid"), F.col("blocks")).cast("int")), "open-entries")
+        open_groups = now.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), blocks).where("lo <> hi").select("token", "blocks")
+        now = staged(spark, with_groups(now, staged(spark, open_groups, "open-tokens")).withColumn("block", F.pmod(F.xxhash64("rid"), F.col("blocks")).cast("int")), "open-entries")
         entries = now.drop("comp", "blocks", "block")
         if not now.take(1):
             break
