@@ -32,21 +32,36 @@ def nearest(cf: DataFrame, key: str, others: DataFrame, other_key: str, kind: st
     return d.groupBy(key).agg(F.min_by("other", F.struct("value", "other")).alias("other"), F.min("value").alias("value"))
 
 
-def distance(a: Column, b: Column, kind: str, form: str = "stable") -> Column:
+def distance(a: Column, b: Column, kind: str, form: str = "stable", squared: bool = False, clamp: str = "none") -> Column:
+    """The measure ``kind``, or its square, which needs no root and shows a classic radicand that went negative; ``clamp``: none or zero."""
+    if not squared and clamp == "none":
+        return _distance(a, b, kind, form)
+    d2 = _radicand(a, b, kind, form)
+    d2 = F.greatest(d2, F.lit(0.0)) if clamp == "zero" else d2
+    return d2 if squared else F.sqrt(d2)
+
+
+def _distance(a: Column, b: Column, kind: str, form: str) -> Column:
     """``kind``: centre Euclid (D0, and E as a test), centre Manhattan, inter-cluster, intra-cluster (diameter of the union), variance increase, radius of the union.
 
     A classic radicand may be negative; the root is then NaN, as the baseline has it.
     """
+    d2 = _radicand(a, b, kind, form)
+    return F.sqrt(d2)
+
+
+def _radicand(a: Column, b: Column, kind: str, form: str) -> Column:
     if form == "classic":
         return _classic(a, b, kind)
     diff = F.zip_with(a["m"], b["m"], lambda x, y: x - y)
     if kind == "D1":
-        return total(F.transform(diff, F.abs))
+        one = total(F.transform(diff, F.abs))
+        return one * one
     d2 = total(F.transform(diff, lambda v: v * v))
     w = a["w"] + b["w"]
     g = a["w"] * b["w"] / w * d2
     s = total(a["q"]) + total(b["q"]) + g
-    return F.sqrt({"D0": d2, "E": d2, "D2": total(a["q"]) / a["w"] + total(b["q"]) / b["w"] + d2, "D3": F.when(w > 1, 2 * s / (w - 1)), "D4": g, "R": s / w}[kind])
+    return {"D0": d2, "E": d2, "D2": total(a["q"]) / a["w"] + total(b["q"]) / b["w"] + d2, "D3": F.when(w > 1, 2 * s / (w - 1)), "D4": g, "R": s / w}[kind]
 
 
 def _classic(a: Column, b: Column, kind: str) -> Column:
@@ -54,18 +69,17 @@ def _classic(a: Column, b: Column, kind: str) -> Column:
     sq = lambda v: total(F.transform(v, lambda x: x * x))
     diff = F.zip_with(F.transform(a["ls"], lambda v: v / a["n"]), F.transform(b["ls"], lambda v: v / b["n"]), lambda x, y: x - y)
     if kind == "D1":
-        return total(F.transform(diff, F.abs))
+        one = total(F.transform(diff, F.abs))
+        return one * one
     dot = total(F.zip_with(a["ls"], b["ls"], lambda x, y: x * y))
-    return F.sqrt(
-        {
-            "D0": sq(diff),
-            "E": sq(diff),
-            "D2": a["ss"] / a["n"] + b["ss"] / b["n"] - 2 * dot / (a["n"] * b["n"]),
-            "D3": 2 / (u["n"] - 1) * (u["ss"] - sq(u["ls"]) / u["n"]),
-            "D4": sq(a["ls"]) / a["n"] + sq(b["ls"]) / b["n"] - sq(u["ls"]) / u["n"],
-            "R": classic_var(u),
-        }[kind]
-    )
+    return {
+        "D0": sq(diff),
+        "E": sq(diff),
+        "D2": a["ss"] / a["n"] + b["ss"] / b["n"] - 2 * dot / (a["n"] * b["n"]),
+        "D3": 2 / (u["n"] - 1) * (u["ss"] - sq(u["ls"]) / u["n"]),
+        "D4": sq(a["ls"]) / a["n"] + sq(b["ls"]) / b["n"] - sq(u["ls"]) / u["n"],
+        "R": classic_var(u),
+    }[kind]
 
 
 def squared_np(w, m, q, W, M, Q, kind: str) -> np.ndarray:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -42,6 +43,13 @@ class Mixture:
         """The model as rows (comp, weight, mean, var), var packed row by row."""
         return [{"comp": i, "weight": float(w), "mean": m.tolist(), "var": v.ravel().tolist()} for i, (w, m, v) in enumerate(zip(self.weight, self.mean, self.var, strict=True))]
 
+    def to_json(self) -> str:
+        return json.dumps(self.rows())
+
+    @staticmethod
+    def of_json(text: str) -> Mixture:
+        return Mixture.of_rows(json.loads(text))
+
     @staticmethod
     def of_rows(rows: list) -> Mixture:
         rows = sorted(rows, key=lambda r: r["comp"])

@@ -38,15 +38,30 @@ def _lists(col) -> np.ndarray:
     return col.flatten().to_numpy(zero_copy_only=False).reshape(len(col), -1)
 
 
-def project(df: DataFrame, axes: list[Column], weight: Column | None = None) -> DataFrame:
-    """(w, m, q) of rows; rows with a null, NaN or infinite coordinate or a weight that is not positive are left out."""
-    cols = [a.cast("double").alias(f"x{i}") for i, a in enumerate(axes)]
-    out = df.select((weight.cast("double") if weight is not None else F.lit(1.0)).alias("w"), *cols)
-    ok = F.col("w") > 0
+def _checked(df: DataFrame, axes: list[Column], weight: Column | None) -> tuple[DataFrame, Column]:
+    cols = [a.cast("double").alias(f"_x{i}") for i, a in enumerate(axes)]
+    out = df.select("*", (weight.cast("double") if weight is not None else F.lit(1.0)).alias("_w"), *cols)
+    ok = F.coalesce((F.col("_w") > 0) & (F.col("_w") < float("inf")), F.lit(False))
     for i in range(len(axes)):
-        x = F.col(f"x{i}")
+        x = F.col(f"_x{i}")
         ok = ok & x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))
-    return out.where(ok).select("w", F.array(*[F.col(f"x{i}") for i in range(len(axes))]).alias("m"), F.array(*[F.lit(0.0)] * len(axes)).alias("q"))
+    return out, ok
+
+
+def project(df: DataFrame, axes: list[Column], weight: Column | None = None, on_invalid: str = "drop") -> DataFrame:
+    """(w, m, q) of rows.  A row with a null, NaN or infinite coordinate, or a weight that is not positive and finite, is left out
+    (``drop``) or ends the job when it is read (``fail``); ``invalid_rows`` gives them."""
+    rows, ok = _checked(df, axes, weight)
+    if on_invalid == "fail":
+        ok = F.when(ok, True).otherwise(F.raise_error(F.lit("a row has an invalid coordinate or weight")).cast("boolean"))
+    d = len(axes)
+    return rows.where(ok).select(F.col("_w").alias("w"), F.array(*[F.col(f"_x{i}") for i in range(d)]).alias("m"), F.array(*[F.lit(0.0)] * d).alias("q"))
+
+
+def invalid_rows(df: DataFrame, axes: list[Column], weight: Column | None = None) -> DataFrame:
+    """The rows, as they are, that ``project`` leaves out."""
+    rows, ok = _checked(df, axes, weight)
+    return rows.where(~ok).select(*df.columns)
 
 
 def _dims(df: DataFrame) -> int:

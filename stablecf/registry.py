@@ -641,6 +641,11 @@ def _em(kind):
     return q
 
 
+def q_op_cte_chain(spark, d):
+    """Three EM steps on features as chained common tables, planned as one query."""
+    return spark.sql(_em_features_sql(3).replace("FROM lineitem", "FROM {lineitem}"), lineitem=read(spark, d, "lineitem"))
+
+
 def q_kmeans_step(spark, d):
     """One weighted step on the cells with four literal centres."""
     cf = compact_cells(_li(spark, d), xy(), [5.0, 10.0])
@@ -665,7 +670,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _S = [q_stable_group, q_classic_group, q_stable_merge, q_stable_fold, q_stable_weighted, q_cov_feature, q_convert_roundtrip, q_cancel_minutes, q_nearest_feature, q_absorb_flags, q_hier_first_merge, q_cells, q_tree_conservation, q_tree_limits, q_estep("overlap"), q_estep("centre"), q_estep("expected"), q_mstep_diagonal, q_loglik, q_assign_hard, q_compression, q_rollup_features, q_win_running_feature, q_stream_window, q_stream_sliding, q_op_join_interval, q_op_join_asof, q_stable_scalar, q_variance_form, q_feature_memory, q_op_zscore, q_op_topk_features, q_op_join_semi, q_op_join_anti]
-_S += [q_classic_merge, q_classic_point, q_stable_point, q_cov_merge, q_cov_fold, q_to_stable, q_derived_stats, q_kde, q_max_radius, q_single_at_rest, q_shift_exact, q_cells_multi, q_nearest_region, _mstep("spherical"), q_mstep_full, q_loglik_features, q_loglik_fitted, q_assign_soft, _em("points_stable"), _em("points_textbook"), _em("features_3"), q_kmeans_step, q_stream_session, q_summary_by_group, q_expand]
+_S += [q_classic_merge, q_classic_point, q_stable_point, q_cov_merge, q_cov_fold, q_to_stable, q_derived_stats, q_kde, q_max_radius, q_single_at_rest, q_shift_exact, q_cells_multi, q_nearest_region, _mstep("spherical"), q_mstep_full, q_loglik_features, q_loglik_fitted, q_assign_soft, _em("points_stable"), _em("points_textbook"), _em("features_3"), q_kmeans_step, q_op_cte_chain, q_stream_session, q_summary_by_group, q_expand]
 _ROWS = [q_cancel_flags, q_summary_leaves, q_tree_stats, q_misrouting, q_kmeans_cost, q_hier, q_medoids, q_density_clusters, q_init_pp, q_shapes, q_routes]
 _WORKLOADS = [q_w1_shift, q_w1_lineitem, q_w1_single, q_w2_quality, q_w2_grid, q_w2_random, q_w3_build, q_w5_real, q_w6_hulls, q_w7_measures, q_w8_order, q_w9_kernels, q_w10_storage, q_w11_wide]
 _ROWS += [*[_fit(f, s) for f, s in (("features_stable", "diagonal"), ("features_stable", "spherical"), ("features_classic", "spherical"), ("points_textbook", "spherical"), ("points_stable", "diagonal"), ("points_stable", "spherical"))]]
@@ -736,11 +741,11 @@ def _em_features_sql(n: int) -> str:
     """``n`` iterations of EM on the features of 20 groups, unrolled as chained common tables."""
     vals = ", ".join(f"({i}, {w}, {mu[0]}, {mu[1]}, {v[0]}, {v[1]})" for i, (w, mu, v) in enumerate(MODEL))
     out = f"WITH {LI}, f AS (SELECT CAST(l_orderkey % 20 AS BIGINT) AS g, CAST(count(*) AS DOUBLE) AS w, avg(x0) AS a0, avg(x1) AS a1, var_pop(x0) AS v0, var_pop(x1) AS v1 FROM li GROUP BY 1), c0(comp, p, u0, u1, s0, s1) AS (VALUES {vals})"
-    dens = " ".join(f"- 0.5 * (ln(2 * pi() * (c.s{i} + f.v{i})) + (f.a{i} - c.u{i}) ** 2 / (c.s{i} + f.v{i}))" for i in (0, 1))
+    dens = " ".join(f"- 0.5 * (ln(2 * pi() * (c.s{i} + f.v{i})) + power(f.a{i} - c.u{i}, 2) / (c.s{i} + f.v{i}))" for i in (0, 1))
     for i in range(n):
         out += f", l{i} AS (SELECT f.*, comp, ln(p) {dens} AS l FROM f, c{i} c), e{i} AS (SELECT *, exp(l - max(l) OVER (PARTITION BY g)) AS e FROM l{i}), r{i} AS (SELECT *, w * e / sum(e) OVER (PARTITION BY g) AS s FROM e{i})"
         out += f", m{i} AS (SELECT comp, sum(s) AS mass, sum(s * a0) / sum(s) AS u0, sum(s * a1) / sum(s) AS u1 FROM r{i} GROUP BY comp)"
-        out += f", c{i + 1} AS (SELECT r.comp, max(mass) / (SELECT sum(mass) FROM m{i}) AS p, max(u0) AS u0, max(u1) AS u1, sum(s * (v0 + (a0 - u0) ** 2)) / max(mass) AS s0, sum(s * (v1 + (a1 - u1) ** 2)) / max(mass) AS s1 FROM r{i} r JOIN m{i} m ON r.comp = m.comp GROUP BY r.comp)"
+        out += f", c{i + 1} AS (SELECT r.comp, max(mass) / (SELECT sum(mass) FROM m{i}) AS p, max(u0) AS u0, max(u1) AS u1, sum(s * (v0 + power(a0 - u0, 2))) / max(mass) AS s0, sum(s * (v1 + power(a1 - u1, 2))) / max(mass) AS s1 FROM r{i} r JOIN m{i} m ON r.comp = m.comp GROUP BY r.comp)"
     return f"{out} SELECT CAST(comp AS INTEGER) AS comp, round(p, 4) + 0.0 AS weight, round(u0, 3) + 0.0 AS m0, round(u1, 3) + 0.0 AS m1, round(s0, 3) + 0.0 AS v0, round(s1, 3) + 0.0 AS v1 FROM c{n}"
 
 
@@ -816,7 +821,7 @@ def oracle_sql() -> dict[str, str]:
         "q_expand": "SELECT CAST(count(*) AS DOUBLE) AS w, TRUE AS clusters_ok FROM lineitem",
     }
     out["q_cov_merge"] = out["q_cov_fold"] = out["q_cov_feature"]
-    out["q_cells_multi"] = out["q_cells"]
+    out["q_cells_multi"], out["q_op_cte_chain"] = out["q_cells"], out["q_em_features_3"]
     out |= relational.SQL
     for k in ("overlap", "centre", "expected"):
         out[f"q_estep_{k}"] = f"WITH {_estep_sql(k)} SELECT g, " + ", ".join(f"round(sum(CASE WHEN comp = {i} THEN r END), 6) + 0.0 AS r{i}" for i in range(3)) + " FROM r GROUP BY g"

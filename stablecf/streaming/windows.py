@@ -34,6 +34,11 @@ def session_features(events: DataFrame, axes: list[Column], ts: str, gap: str, k
     return stable_agg(e.withColumn("win", F.session_window("_ts", gap)), axes, ["win", *keys])
 
 
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that the watermark dropped so far; rows that are late but allowed merge, as features add up."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
+
+
 def score_stream(stream: DataFrame, axes: list[Column], model: Mixture, keep: list[str]) -> DataFrame:
     """Rows of a stream with their most likely component: the model is a few rows that go with the task."""
     rows = stream.select(*keep, F.lit(1.0).alias("w"), F.array(*[a.cast("double") for a in axes]).alias("m"))

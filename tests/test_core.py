@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 from stablecf.functions import features as A
 from stablecf.functions import measures as B
 from stablecf.operators import mixture as M
-from stablecf.operators.summarize import collect, collect_stable, features_to_cells, project, summarize
+from stablecf.operators.summarize import collect, collect_stable, features_to_cells, invalid_rows, project, summarize
 from stablecf.operators.tree import FeatureTree, TreeConfig
 from stablecf.sources import generators as G
 
@@ -87,6 +87,28 @@ def test_bad_rows_are_left_out(spark):
     assert project(df, [F.col("x")], F.col("w")).count() == 1
 
 
+def test_invalid_rows_are_found_or_end_the_job(spark):
+    df = spark.createDataFrame([(1.0, 1.0), (None, 1.0), (2.0, None), (3.0, float("inf"))], "x double, w double")
+    assert invalid_rows(df, [F.col("x")], F.col("w")).count() == 3
+    with pytest.raises(Exception, match="invalid coordinate"):
+        project(df, [F.col("x")], F.col("w"), "fail").collect()
+    assert project(df.where("x = 1"), [F.col("x")], F.col("w"), "fail").count() == 1
+
+
+def test_squares_and_clamps(spark):
+    far = spark.sql("SELECT struct(3D AS n, array(3e9D) AS ls, 3e18D AS ss) AS a, struct(1D AS n, array(1e9D) AS ls, 1e18D - 1024 AS ss) AS b")
+    one = far.select(*[B.distance(F.col("a"), F.col("b"), "R", "classic", squared=x, clamp=c).alias(f"{x}{c}") for x in (True, False) for c in ("none", "zero")]).first()
+    assert one["Truenone"] < 0 and np.isnan(one["Falsenone"]) and one["Truezero"] == one["Falsezero"] == 0
+    v = far.select(*[A.classic_var(F.col("b"), c).alias(c) for c in ("none", "zero", "nan")]).first()
+    assert v["none"] < 0 and v["zero"] == 0 and np.isnan(v["nan"])
+
+
+def test_hard_start_and_json():
+    x = np.concatenate([np.random.default_rng(1).normal(size=(60, 1)), np.full((20, 1), 30.0)])
+    m = M.start(np.ones(80), x, np.zeros_like(x), 2, 0, assign="hard")
+    assert sorted(m.weight) == pytest.approx([0.25, 0.75]) and M.Mixture.of_json(m.to_json()).mean == pytest.approx(m.mean)
+
+
 def test_agglomerate():
     w = np.ones(4)
     m = np.array([[0.0], [0.1], [5.0], [5.1]])
