@@ -244,11 +244,11 @@ def test_packing(spark, docs, empty):
         want[(i, len(ids))] += 1
     rows = packing.pack_documents(spark, docs).collect()
     assert Counter({k: n for k, n in Counter((r.doc_id, r.doc_tokens) for r in rows if r.start == 0).items()}) == want
-    t = dict(texts())[40]
-    ids = np.array(tok.encode(t, add_special_tokens=False).ids + [1], "<u4")
+    seen = Counter(i for i, _ in texts())
+    each = {i: np.array(tok.encode(t or "", add_special_tokens=False).ids + [1], "<u4") for i, t in texts() if seen[i] == 1}
     for r in rows:
-        if r.doc_id == 40:
-            assert zlib.crc32(ids[r.start : r.start + r.length].tobytes()) == r.ids_crc32
+        if r.doc_id in each:
+            assert zlib.crc32(each[r.doc_id][r.start : r.start + r.length].tobytes()) == r.ids_crc32
     at = {}
     for r in sorted(rows, key=lambda r: (r.sequence_id, r.offset)):
         assert r.offset == at.get(r.sequence_id, 0)
