@@ -86,16 +86,38 @@ def kmeanspp(w: np.ndarray, m: np.ndarray, k: int, seed: int, weighted: bool = T
     return np.array(c)
 
 
-def kmeanspp_rows(features: DataFrame, k: int, seed: int, rounds: int = 5, oversample: float = 2.0) -> np.ndarray:
+def packed(features: DataFrame) -> DataFrame:
+    """Rows as one row a batch, whose numbers are bytes: what an iterative fit keeps and reads again without converting each number."""
+    ship(features.sparkSession)
+
+    def run(batches):
+        for b in batches:
+            if b.num_rows:
+                w, x, q = b.column(0).to_numpy(), _lists(b.column(1)), _lists(b.column(2))
+                yield pa.RecordBatch.from_arrays([pa.array([x.shape[1]], pa.int32()), *(pa.array([np.ascontiguousarray(a, np.float64).tobytes()], pa.binary()) for a in (w, x, q))], ["d", "w", "m", "q"])
+
+    return features.select("w", "m", "q").mapInArrow(run, "d int, w binary, m binary, q binary")
+
+
+def _numbers(batches):
+    """(w, x, q) of plain or packed batches."""
+    for b in batches:
+        if not b.num_rows:
+            continue
+        if b.schema.names[0] == "d":
+            for d, w, m, q in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                yield np.frombuffer(w), np.frombuffer(m).reshape(-1, d), np.frombuffer(q).reshape(-1, d)
+        else:
+            yield b.column(0).to_numpy(), _lists(b.column(1)), _lists(b.column(2))
+
+
+def kmeanspp_rows(features: DataFrame, k: int, seed: int, rounds: int = 5, oversample: float = 2.0, kept: DataFrame | None = None) -> np.ndarray:
     """k-means++ seeding on rows by oversampled rounds: each pass draws about ``oversample * k`` rows with probability proportional to
-    their squared distance from what was drawn, the draws are weighted by the rows nearest to them, and k are picked of these."""
+    their squared distance from what was drawn, the draws are weighted by the rows nearest to them, and k are picked of these.  ``kept``: the rows packed."""
 
     def draw(centres: np.ndarray, cost: float, salt: int):
         def run(batches):
-            for b in batches:
-                if not b.num_rows:
-                    continue
-                w, x = b.column(0).to_numpy(), _lists(b.column(1))
+            for w, x, _ in _numbers(batches):
                 d = w * _nearest(x, centres)[1]
                 h = np.frombuffer(np.ascontiguousarray(x + 0.0).tobytes(), np.uint64).reshape(len(x), -1)
                 key = np.full(len(x), salt * 0x9E3779B97F4A7C15 % (1 << 64), np.uint64)
@@ -110,24 +132,24 @@ def kmeanspp_rows(features: DataFrame, k: int, seed: int, rounds: int = 5, overs
         return run
 
     ship(features.sparkSession)
+    kept = features.select("w", "m", "q") if kept is None else kept
     first = features.select("m").orderBy(F.xxhash64("m", F.lit(seed)), "m").limit(1).toArrow()
     if not first.num_rows:
         return np.zeros((0, 0))
     centres, cost = _lists(first["m"]), 0.0
     for i in range(rounds + 1):
-        t = features.select("w", "m").mapInArrow(draw(centres, cost, seed * 64 + i + 1), "cost double, x array<double>").toArrow()
+        t = kept.mapInArrow(draw(centres, cost, seed * 64 + i + 1), "cost double, x array<double>").toArrow()
         cost = float(np.sum(t["cost"].to_numpy()))
         got = [x for x in t["x"].to_pylist() if x is not None]
         centres = np.unique(np.concatenate([centres, np.array(got)]), axis=0) if got else centres
 
     def count(batches):
         total = np.zeros(len(centres))
-        for b in batches:
-            if b.num_rows:
-                total += np.bincount(_nearest(_lists(b.column(1)), centres)[0], weights=b.column(0).to_numpy(), minlength=len(centres))
+        for w, x, _ in _numbers(batches):
+            total += np.bincount(_nearest(x, centres)[0], weights=w, minlength=len(centres))
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(centres)), pa.int32()), pa.array(total)], ["c", "n"])
 
-    t = features.select("w", "m").mapInArrow(count, "c int, n double").toArrow()
+    t = kept.mapInArrow(count, "c int, n double").toArrow()
     w = np.bincount(t["c"].to_numpy(), weights=t["n"].to_numpy(), minlength=len(centres))
     return kmeanspp(w, centres, k, seed)
 
@@ -286,11 +308,8 @@ def row_step(features: DataFrame, model: Mixture, variance: str, full: bool = Fa
 
     def run(batches):
         kind = pa.list_(pa.float64())
-        for b in batches:
-            if not b.num_rows:
-                continue
-            w, x = b.column(0).to_numpy(), _lists(b.column(1))
-            q = _lists(b.column(2)) if variance == "overlap" else None
+        for w, x, q in _numbers(batches):
+            q = q if variance == "overlap" else None
             r, ll = _softmax(model.log_joint(x, q / w[:, None] if q is not None else None))
             s = w[:, None] * r
             mass = s.sum(axis=0)
@@ -305,8 +324,7 @@ def row_step(features: DataFrame, model: Mixture, variance: str, full: bool = Fa
                     second = np.stack([(s[:, c : c + 1] * (x - first[c]) ** 2).sum(axis=0) + (r[:, c] @ q if q is not None else 0.0) for c in range(k)])
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(k), pa.int32()), pa.array(mass), pa.array(list(first), kind), pa.array(list(second), kind), pa.array(np.full(k, (w * ll).sum() / k))], ["c", "s", "a", "b", "ll"])
 
-    cols = ["w", "m", "q"] if variance == "overlap" else ["w", "m"]
-    t = features.select(*cols).mapInArrow(run, "c int, s double, a array<double>, b array<double>, ll double").toArrow()
+    t = (features if features.columns[0] == "d" else features.select("w", "m", "q")).mapInArrow(run, "c int, s double, a array<double>, b array<double>, ll double").toArrow()
     c, s, a, b = t["c"].to_numpy(), t["s"].to_numpy(), _lists(t["a"]), _lists(t["b"])
     mass = np.maximum(np.bincount(c, weights=s, minlength=k), 1e-300)
     mean, dev = np.zeros((k, d)), np.zeros((k, d * d if full else d))
@@ -327,9 +345,9 @@ def fit_rows(features: DataFrame, k: int, shape: str = "diagonal", variance: str
 
     With ``variance="overlap"`` the rows are features and this is the features' EM for summaries too long for the driver.
     """
-    features = features.persist()
+    kept = packed(features).persist()
     if model is None:
-        x = kmeanspp_rows(features, k, seed)
+        x = kmeanspp_rows(features, k, seed, kept=kept)
         d = x.shape[1]
         st = features.agg(*[F.var_pop(F.col("m")[i]).alias(f"v{i}") for i in range(d)]).first()
         var = np.maximum(np.array([st[f"v{i}"] for i in range(d)]) / len(x), 1e-12)
@@ -338,11 +356,11 @@ def fit_rows(features: DataFrame, k: int, shape: str = "diagonal", variance: str
         model = Mixture(model.weight, model.mean, np.stack([np.diag(v) for v in model.var]))
 
     def step(now: Mixture):
-        mass, mean, dev, ll = row_step(features, now, variance, shape == "full")
+        mass, mean, dev, ll = row_step(kept, now, variance, shape == "full")
         return ll / mass.sum(), finish(mass, mean, dev, shape, floor, **options), None
 
     out = _iterate(step, model, max_iter, tol)
-    features.unpersist()
+    kept.unpersist()
     return out
 
 

@@ -353,8 +353,9 @@ def q_w2_quality(spark, d):
 
 
 def _sizes(spark, d, make, name):
+    """Three sizes with the 100 components that the data have, the largest with fewer too."""
     top = scale(spark, d)
-    each = [W.quality(spark, make(spark, m * top), [F.col("x_0"), F.col("x_1")], ks=(10, 20, 100), name=f"{name}-{m}") for m in (0.01, 0.1, 1.0)]
+    each = [W.quality(spark, make(spark, m * top), [F.col("x_0"), F.col("x_1")], ks=ks, name=f"{name}-{m}") for m, ks in ((0.01, (100,)), (0.1, (100,)), (1.0, (10, 20, 100)))]
     return reduce(DataFrame.unionByName, each)
 
 
