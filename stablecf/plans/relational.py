@@ -5,7 +5,6 @@ Rounded values get 1e-9 first on both sides, as means of cents are often exact t
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 from functools import reduce
@@ -15,6 +14,7 @@ from pyspark.sql import functions as F
 
 from stablecf.functions import features as A
 from stablecf.functions import measures as B
+from stablecf.sources.session import shared_dir
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -64,7 +64,7 @@ def q_op_scan_parquet(s, d):
 @query("WITH g AS (SELECT l_returnflag, count(*) AS w, round(avg(l_quantity), 2) AS m0 FROM lineitem GROUP BY 1) SELECT format, l_returnflag, CAST(w AS DOUBLE) AS w, m0 FROM g, (VALUES ('parquet'), ('json'), ('csv'), ('orc')) f(format)")
 def q_op_scan_roundtrip(s, d):
     """Features written in four formats to the shared folder and read back."""
-    folder = s.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="stablecf-formats-")
+    folder = shared_dir(s)
     g = read(s, d, "lineitem").groupBy("l_returnflag").agg(F.count(F.lit(1)).cast("double").alias("w"), F.round(F.avg("l_quantity"), 2).alias("m0"))
     out = []
     for name in ("parquet", "json", "csv", "orc"):

@@ -26,3 +26,16 @@ def ship(spark: SparkSession) -> None:
                     z.write(full, os.path.join("stablecf", os.path.relpath(full, root)))
     spark.sparkContext.addPyFile(out)
     _shipped[app] = True
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share; a temporary one only where none is named and all run on one machine."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named:
+        return named
+    found = spark.sparkContext._jsc.sc().getCheckpointDir()
+    if found.isDefined():
+        return found.get()
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return tempfile.mkdtemp(prefix="stablecf-shared-")
